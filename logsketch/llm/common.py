@@ -66,4 +66,4 @@ def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def bounded_bytes(df: DataFrame, limit: int) -> bool:
     """Whether the optimizer's size of df (file sizes, not a guess about rows) is at most limit."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().longValue()) <= limit
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())) <= limit

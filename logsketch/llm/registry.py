@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import line_dedup, near_dedup
+from . import decontaminate, line_dedup, near_dedup
 from .common import read
 
 
@@ -15,6 +16,13 @@ def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.without_lines(docs, line_dedup.repeated_lines(docs)).select("doc_id", "n_lines", "n_removed", "text")
 
 
+def op2_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, benchmark = read(spark, sf_dir, "documents").select("doc_id", "text"), read(spark, sf_dir, "benchmark")
+    found = decontaminate.contaminated(docs, benchmark).withColumnRenamed("doc_id", "_doc")
+    out = docs.select("doc_id").join(found, F.col("doc_id") == F.col("_doc"), "left")
+    return out.select("doc_id", F.col("_doc").isNotNull().alias("contaminated"), F.coalesce("items", F.array().cast("array<bigint>")).alias("items"), F.coalesce("shared_words", F.lit(0)).alias("shared_words"))
+
+
 def op7_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_dedup.near_duplicates(read(spark, sf_dir, "documents"), words=3, numerator=85)
 
