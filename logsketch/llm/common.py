@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import tempfile
 import uuid
 
@@ -48,6 +49,12 @@ def table(df: DataFrame, what: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def sweep(spark: SparkSession) -> None:
+    """Lets Spark's cleaner delete shuffle files that nothing refers to any more, before the next large step needs room."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def release(*dfs: DataFrame) -> None:
     """Deletes tables written by table() that no later step reads."""
     for df in dfs:
