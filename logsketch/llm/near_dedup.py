@@ -6,9 +6,10 @@ node that is still large sends its members further down by other tokens, chosen
 members choose alike. Independent trees raise the recall: a pair of similarity s misses `trees` roots with
 probability (1-s)**trees. All links are confirmed on whole sets.
 
-No node ever lists its pairs while they are not needed. First each member meets only its node's smallest member; what
-that links is one component already. Only members of nodes that still hold several components meet again: in small
-nodes exhaustively, in large ones only those outside the main component, each block of the node in its own task.
+Small nodes compare all members by sketches, but first put forward only a spanning forest of the likely links, so that
+a group of copies costs as many confirmations as it has members. Only where one of these fails do the pairs across
+the components that are left follow. A node that stays large after the last branch is cut into blocks that share its
+smallest member; afterwards those outside that member's component meet every block.
 """
 
 from __future__ import annotations
@@ -16,7 +17,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -24,12 +24,15 @@ from pyspark.sql import functions as F
 from . import textkernel as K
 from .common import release, table
 from .components import components
+from .sketch import count_sketch
 
 WORDS, NUMERATOR = 5, 80
 COORDS = 64
-#: Pairs at the threshold agree in about 54 of 64 coordinates; fewer than 34 lie seven deviations below.
-AGREE = 34
+#: Bits of the odd sketch: bit k tells whether an odd number of the set's tokens fall there. Two sketches differ in at
+#: most as many bits as their sets do in tokens, so no pair at the threshold is ever refused.
+ODD = 1024
 TREES, DEPTH, BRANCHES, NODE = 8, 3, 3, 256
+SEEN = 1 << 22
 _rng = np.random.default_rng(7)
 _mul = _rng.integers(1 << 62, size=COORDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _xor = _rng.integers(1 << 63, size=COORDS, dtype=np.uint64)
@@ -52,31 +55,42 @@ def minwise(s: np.ndarray) -> np.ndarray:
     return (out >> np.uint64(32)).astype(np.uint32).view(np.int32)
 
 
+def odd_sketch(s: np.ndarray) -> bytes:
+    bits = np.bincount((s >> np.uint64(20)).astype(np.int64) & (ODD - 1), minlength=ODD) & 1
+    return np.packbits(bits.astype(np.uint8)).tobytes()
+
+
+def _digests(s: np.ndarray) -> tuple[int, int]:
+    return int(s.sum(dtype=np.uint64).astype(np.int64)), int(K.mix(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64).astype(np.int64))
+
+
 def _features(n: int):
     def run(batches):
         for batch in batches:
-            size, one, two, sig = [], [], [], []
-            for s in shingle_sets(batch.column("text"), n):
-                size.append(len(s))
-                one.append(int(s.sum(dtype=np.uint64).astype(np.int64)))
-                two.append(int(K.mix(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64).astype(np.int64)))
-                sig.append(minwise(s).tobytes() if len(s) else None)
-            yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(size, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(sig, pa.binary())],
-                names=["doc_id", "n_shingles", "d1", "d2", "sig"],
-            )
+            rows = [(len(s), *_digests(s), minwise(s).tobytes() if len(s) else None, odd_sketch(s) if len(s) else None) for s in shingle_sets(batch.column("text"), n)]
+            columns = zip(*rows, strict=True) if rows else [[]] * 5
+            kinds = (pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.binary())
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), *(pa.array(list(c), k) for c, k in zip(columns, kinds, strict=True))], names=["doc_id", "n_shingles", "d1", "d2", "sig", "odd"])
 
     return run
 
 
-def _sets(n: int):
+def _id_keys(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
+    yield K.mix(batch.column("doc_id").to_numpy().view(np.uint64))
+
+
+def _sets(n: int, seen):
+    """Token sets of the documents that the fixed-size table marks; a few others slip in and are joined away."""
+
     def run(batches):
         for batch in batches:
+            ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
+            some = seen.value[(K.mix(ids.astype(np.int64).view(np.uint64)) & np.uint64(SEEN - 1)).astype(np.int64)] > 0
+            batch = batch.filter(pa.array(some))
             whole = list(shingle_sets(batch.column("text"), n))
-            one = [int(s.sum(dtype=np.uint64).astype(np.int64)) for s in whole]
-            two = [int(K.mix(s ^ np.uint64(0x5851F42D4C957F2D)).sum(dtype=np.uint64).astype(np.int64)) for s in whole]
+            both = [_digests(s) for s in whole]
             yield pa.RecordBatch.from_arrays(
-                [batch.column("doc_id"), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array([len(s) for s in whole], pa.int64()), pa.array([s.tobytes() for s in whole], pa.binary())],
+                [batch.column("doc_id"), pa.array([d[0] for d in both], pa.int64()), pa.array([d[1] for d in both], pa.int64()), pa.array([len(s) for s in whole], pa.int64()), pa.array([s.tobytes() for s in whole], pa.binary())],
                 names=["doc_id", "d1", "d2", "n_shingles", "tokens"],
             )
 
@@ -132,31 +146,83 @@ def _confirm(numerator: int):
     return run
 
 
-def _sketch_agrees(batches):
+def _groups(batches, columns: tuple[str, ...]) -> Iterator[list[np.ndarray]]:
+    """The groups of equal (node, block) in a sorted partition; a group may run over several batches."""
+    held: list[list] = []
     for batch in batches:
-        if batch.num_rows:
-            x, y = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.int32).reshape(-1, COORDS) for c in ("sig_a", "sig_b"))
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], names=["a", "b"]).filter(pa.array((x == y).sum(axis=1) >= AGREE))
-
-
-def _exhaust(group: pd.DataFrame) -> pd.DataFrame:
-    """In one node (or one block of a large one): pairs of different components whose tokens agree often enough.
-
-    Rows with probe set meet every other row; rows without meet only those."""
-    group = group.sort_values("rep").drop_duplicates("rep")
-    sig = np.frombuffer(b"".join(group["sig"]), np.int32).reshape(-1, COORDS)
-    rep, part, probe = group["rep"].to_numpy(), group["component"].to_numpy(), group["probe"].to_numpy()
-    a, b = [], []
-    for k in np.flatnonzero(probe):
-        near = (part != part[k]) & (~probe | (rep > rep[k]))
-        at = np.flatnonzero(near)
-        at = at[(sig[at] == sig[k]).sum(axis=1) >= AGREE]
-        a += [rep[at]]
-        b += [np.full(len(at), rep[k])]
-    if not a:
-        return pd.DataFrame({"a": np.zeros(0, np.int64), "b": np.zeros(0, np.int64)})
-    a, b = np.concatenate(a), np.concatenate(b)
-    return pd.DataFrame({"a": np.maximum(a, b), "b": np.minimum(a, b)})
+        if not batch.num_rows:
+            continue
+        now = [np.frombuffer(b"".join(batch.column(c).to_pylist()), np.uint64).reshape(-1, ODD // 64) if c == "odd" else batch.column(c).to_numpy(zero_copy_only=False) for c in columns]
+        if held:
+            now = [np.concatenate(x) for x in zip(held, now, strict=True)]
+        cut = np.flatnonzero((np.diff(now[0]) != 0) | (np.diff(now[1]) != 0)) + 1
+        for a, b in zip(np.append(0, cut[:-1]), cut, strict=True) if len(cut) else ():
+            yield [c[a:b] for c in now]
+        held = [c[cut[-1] if len(cut) else 0 :] for c in now]
+    if held:
+        yield held
+
+
+def _near(size: np.ndarray, odd: np.ndarray, k: int, at: np.ndarray, numerator: int) -> tuple[np.ndarray, np.ndarray]:
+    """Of the rows `at`, those that may reach the threshold with row k, and in how many bits they differ."""
+    n, m = int(size[k]), size[at]
+    ok = 100 * np.minimum(n, m) >= numerator * np.maximum(n, m)
+    at = at[ok]
+    differ = np.bitwise_count(odd[at] ^ odd[k]).sum(axis=1, dtype=np.int64)
+    total = n + size[at]
+    most = total - 2 * (-((-numerator * total) // (100 + numerator)))
+    return at[differ <= most], differ[differ <= most]
+
+
+def _forest(numerator: int):
+    """A spanning forest of each group's likely links, the likeliest first."""
+
+    def run(batches):
+        a, b, nodes = [], [], []
+        for node, _, rep, size, odd in _groups(batches, ("node", "block", "rep", "n_shingles", "odd")):
+            top = list(range(len(rep)))
+            links = []
+            for k in range(len(rep) - 1):
+                at, differ = _near(size, odd, k, np.arange(k + 1, len(rep)), numerator)
+                links.append(np.stack([differ, np.full(len(at), k), at]))
+            links = np.concatenate(links, axis=1) if links else np.zeros((3, 0), np.int64)
+            for k in np.argsort(links[0], kind="stable"):
+                x, y = int(links[1, k]), int(links[2, k])
+                while top[x] != x:
+                    top[x] = x = top[top[x]]
+                while top[y] != y:
+                    top[y] = y = top[top[y]]
+                if x != y:
+                    top[max(x, y)] = min(x, y)
+                    i, j = rep[links[1, k]], rep[links[2, k]]
+                    a.append(max(i, j)), b.append(min(i, j)), nodes.append(node[0])
+            if len(a) > 50_000:
+                yield _pairs(a, b, nodes)
+                a, b, nodes = [], [], []
+        yield _pairs(a, b, nodes)
+
+    return run
+
+
+def _pairs(a, b, nodes):
+    return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.array(nodes, pa.int64())], names=["a", "b", "node"])
+
+
+def _across(numerator: int):
+    """All likely links between different components of a group; rows without probe meet only those with it."""
+
+    def run(batches):
+        for node, _, rep, size, odd, part, probe in _groups(batches, ("node", "block", "rep", "n_shingles", "odd", "component", "probe")):
+            a, b = [], []
+            probe = probe.astype(bool)
+            for k in np.flatnonzero(probe):
+                at, _ = _near(size, odd, k, np.flatnonzero((part != part[k]) & (~probe | (rep > rep[k]))), numerator)
+                a += np.maximum(rep[at], rep[k]).tolist()
+                b += np.minimum(rep[at], rep[k]).tolist()
+            if a:
+                yield _pairs(a, b, [node[0]] * len(a))
+
+    return run
 
 
 def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERATOR, trees: int = TREES) -> DataFrame:
@@ -167,74 +233,70 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     is linked with nothing and stays, with a null component. Other columns are not read. No rows: no rows.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    features = table(docs.mapInArrow(_features(words), "doc_id long, n_shingles long, d1 long, d2 long, sig binary"), "features")
+    features = table(docs.mapInArrow(_features(words), "doc_id long, n_shingles long, d1 long, d2 long, sig binary, odd binary"), "features")
     some = features.where("doc_id is not null and n_shingles > 0")
-    groups = table(some.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "groups")
-    # A representative's tokens: its own row's (equal ids may carry different texts, hence the set's digest too).
-    own = some.join(groups.withColumnRenamed("rep", "doc_id"), ["doc_id", "d1", "d2", "n_shingles"]).select(F.col("doc_id").alias("rep"), "d1", "d2", "n_shingles", "sig").distinct()
-    # Ids that stand for several texts get a name for each text, so that sets are never mixed.
-    reps = table(own.select(F.xxhash64("rep", "d1", "d2", "n_shingles").alias("rep"), F.col("rep").alias("doc_id"), "sig"), "representatives")
-
-    frontier = reps.mapInArrow(_roots(trees), "rep long, node long")
-    levels, wide = [], None
+    groups = table(some.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("rep")), "groups")
+    # A representative goes by a name made of its id and its set, as rows that share an id may differ in text.
+    own = some.join(groups.withColumnRenamed("rep", "doc_id"), ["doc_id", "d1", "d2", "n_shingles"]).dropDuplicates(["doc_id", "d1", "d2", "n_shingles"])
+    reps = table(own.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "doc_id", "n_shingles", "sig", "odd"), "representatives")
+
+    frontier, small, large = reps.select("rep", "sig").mapInArrow(_roots(trees), "rep long, node long"), None, None
     for depth in range(DEPTH + 1):
         frontier = table(frontier.distinct() if depth else frontier, f"paths-{depth}")
-        size = frontier.groupBy("node").agg(F.count("*").alias("n"), F.min("rep").alias("pivot")).where("n > 1")
-        sized = table(frontier.join(size, "node"), f"nodes-{depth}")
+        size = frontier.groupBy("node").agg(F.count("*").alias("n"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").cast("decimal(38,0)")).alias("same")).where("n > 1")
+        # Nodes with the same members are one.
+        size = size.groupBy("same", "n", "pivot").agg(F.min("node").alias("node"))
+        sized = table(frontier.join(size.select("node", "n", "pivot"), "node"), f"nodes-{depth}")
         release(frontier)
-        levels.append(sized)
-        wide = sized.where(F.col("n") > NODE)
-        if depth == DEPTH or not wide.limit(1).count():
+        fits = sized.where(F.col("n") <= NODE)
+        small = fits if small is None else small.unionByName(fits)
+        large = sized.where(F.col("n") > NODE)
+        if depth == DEPTH or not large.limit(1).count():
             break
-        frontier = wide.join(reps.select("rep", "sig"), "rep").select("rep", "node", "sig").mapInArrow(_branch, "rep long, node long")
-    nodes = levels[0]
-    for more in levels[1:]:
-        nodes = nodes.unionByName(more)
+        frontier = large.join(reps.select("rep", "sig"), "rep").select("rep", "node", "sig").mapInArrow(_branch, "rep long, node long")
+    blocks = F.ceil(F.col("n") / NODE).cast("int")
+    own_block = F.pmod(F.xxhash64("rep"), blocks).cast("int")
+    sketches = reps.select("rep", "n_shingles", "odd")
+
+    def gathered(rows: DataFrame) -> DataFrame:
+        return rows.join(sketches, "rep").repartition("node", "block").sortWithinPartitions("node", "block")
 
-    members = reps.join(nodes.select("rep").distinct(), "rep", "left_semi")
-    texts = docs.join(members.select("doc_id").distinct(), "doc_id", "left_semi")
-    sets = texts.mapInArrow(_sets(words), "doc_id long, d1 long, d2 long, n_shingles long, tokens binary")
-    sets = sets.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "tokens")
-    sets = table(sets.join(members.select("rep"), "rep", "left_semi").dropDuplicates(["rep"]), "sets")
+    in_blocks = large.withColumn("block", F.explode(F.when(F.col("rep") == F.col("pivot"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(own_block))))
+    first = small.withColumn("block", F.lit(0)).select("rep", "node", "block").unionByName(in_blocks.select("rep", "node", "block"))
+    tried = table(gathered(first).select("node", "block", "rep", "n_shingles", "odd").mapInArrow(_forest(numerator), "a long, b long, node long"), "forest")
 
     def confirmed(pairs: DataFrame, what: str) -> DataFrame:
+        ends = pairs.select(F.col("a").alias("rep")).unionByName(pairs.select(F.col("b").alias("rep"))).distinct()
+        ids = table(reps.join(ends, "rep", "left_semi").select("rep", "doc_id"), f"ends-{what}")
+        seen = docs.sparkSession.sparkContext.broadcast(count_sketch(ids, SEEN, _id_keys) > 0)
+        sets = docs.where("doc_id is not null").mapInArrow(_sets(words, seen), "doc_id long, d1 long, d2 long, n_shingles long, tokens binary")
+        sets = sets.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "tokens")
+        sets = table(sets.join(ids.select("rep"), "rep", "left_semi"), f"sets-{what}").dropDuplicates(["rep"])
         one, two = sets.select(F.col("rep").alias("a"), F.col("tokens").alias("tokens_a")), sets.select(F.col("rep").alias("b"), F.col("tokens").alias("tokens_b"))
-        return table(pairs.join(one, "a").join(two, "b").select("a", "b", "tokens_a", "tokens_b").mapInArrow(_confirm(numerator), "a long, b long"), what)
-
-    sig_a, sig_b = reps.select(F.col("rep").alias("a"), F.col("sig").alias("sig_a")), reps.select(F.col("rep").alias("b"), F.col("sig").alias("sig_b"))
-    stars = nodes.where("rep <> pivot").select(F.col("rep").alias("a"), F.col("pivot").alias("b")).distinct()
-    stars = stars.join(sig_a, "a").join(sig_b, "b").select("a", "b", "sig_a", "sig_b").mapInArrow(_sketch_agrees, "a long, b long")
-    first = confirmed(table(stars, "stars"), "links-1")
-    parts = components(first)
-
-    # Nodes that still hold several components; in those over NODE that were not branched, only the minority probes.
-    last = levels[-1]
-    small = levels[0].where(F.col("n") <= NODE)
-    for more in levels[1:]:
-        small = small.unionByName(more.where(F.col("n") <= NODE))
-    part_of = lambda x, key: x.join(parts.select(F.col("node").alias(f"{key}_"), F.col("component").alias(f"{key}_part")), F.col(key) == F.col(f"{key}_"), "left").withColumn(f"{key}_part", F.coalesce(f"{key}_part", key)).drop(f"{key}_")
-    split = part_of(small, "rep").select("node", "rep", F.col("rep_part").alias("component"))
-    open_ = split.groupBy("node").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("node")
-    # The same members in several nodes need to meet once.
-    split = table(split.join(open_, "node", "left_semi"), "open")
-    once = split.groupBy("node").agg(F.sum(F.xxhash64("rep").cast("decimal(38,0)")).alias("same"), F.count("*").alias("n")).groupBy("same", "n").agg(F.min("node").alias("node"))
-    to_meet = split.join(once.select("node"), "node", "left_semi").withColumn("probe", F.lit(True)).withColumn("block", F.lit(0))
-    if wide is not None and len(levels) == DEPTH + 1:
-        large = part_of(part_of(last.where(F.col("n") > NODE), "rep"), "pivot").select("node", "rep", F.col("rep_part").alias("component"), (F.col("rep_part") != F.col("pivot_part")).alias("probe"), F.ceil(F.col("n") / NODE).cast("int").alias("blocks"))
-        has = large.where("probe").select("node").distinct()
-        own_block = F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")
-        large = large.join(has, "node", "left_semi").withColumn("block", F.explode(F.when(F.col("probe"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array(own_block))))
-        to_meet = to_meet.unionByName(large.select("node", "rep", "component", "probe", "block"))
-    to_meet = to_meet.join(reps.select("rep", "sig"), "rep").select("node", "block", "rep", "component", "probe", "sig")
-    pairs = to_meet.groupBy("node", "block").applyInPandas(_exhaust, "a long, b long").distinct()
-    second = confirmed(table(pairs, "pairs"), "links-2")
-    links = first.unionByName(second)
-    final = components(links) if second.limit(1).count() else parts
-
-    # Back to documents: representative names -> smallest doc_id of the component -> every row of the group.
-    labelled = reps.select("rep", "doc_id").join(final, F.col("rep") == F.col("node"), "left").select("rep", "doc_id", F.coalesce("component", "rep").alias("component"))
+        return table(pairs.join(one, "a").join(two, "b").select("a", "b", "tokens_a", "tokens_b").mapInArrow(_confirm(numerator), "a long, b long"), f"links-{what}")
+
+    links = confirmed(table(tried.select("a", "b").distinct(), "pairs-1"), "1")
+    parts = components(links)
+    # Nodes of which a likely link failed may hold others; large nodes, members outside the main component.
+    failed = tried.join(links, ["a", "b"], "left_anti").select("node").distinct()
+    part_of = lambda x, key: x.join(parts.select(F.col("node").alias("_n"), F.col("component").alias(f"{key}_part")), F.col(key) == F.col("_n"), "left").withColumn(f"{key}_part", F.coalesce(f"{key}_part", key)).drop("_n")
+    again = part_of(small.join(failed, "node", "left_semi"), "rep").select("rep", "node", F.lit(0).alias("block"), F.col("rep_part").alias("component"), F.lit(True).alias("probe"))
+    outside = part_of(part_of(large, "rep"), "pivot").withColumn("probe", F.col("rep_part") != F.col("pivot_part"))
+    outside = outside.join(outside.where("probe").select("node").distinct(), "node", "left_semi")
+    outside = outside.withColumn("block", F.explode(F.when(F.col("probe"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(own_block))))
+    again = again.unionByName(outside.select("rep", "node", "block", F.col("rep_part").alias("component"), "probe"))
+    rest = gathered(again).select("node", "block", "rep", "n_shingles", "odd", "component", "probe").mapInArrow(_across(numerator), "a long, b long, node long")
+    rest = table(rest.select("a", "b").distinct().join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs-2")
+    if rest.limit(1).count():
+        more = confirmed(rest, "2")
+        if more.limit(1).count():
+            parts = components(links.unionByName(more))
+
+    # Back to documents: names -> the component's smallest doc_id -> every row of the group.
+    labelled = reps.select("rep", "doc_id").join(parts, F.col("rep") == F.col("node"), "left").select("rep", "doc_id", F.coalesce("component", "rep").alias("component"))
     least = labelled.groupBy("component").agg(F.min("doc_id").alias("component_id"))
-    labelled = labelled.join(least, "component").select(F.col("rep").alias("name"), "component_id")
-    of_group = groups.withColumn("name", F.xxhash64("rep", "d1", "d2", "n_shingles")).join(labelled, "name").select("d1", "d2", "n_shingles", "component_id")
-    out = features.join(of_group.withColumnRenamed("n_shingles", "n"), (features.d1 == of_group.d1) & (features.d2 == of_group.d2) & (features.n_shingles == F.col("n")) & features.doc_id.isNotNull(), "left")
+    named = labelled.join(least, "component").select(F.col("rep").alias("name"), "component_id")
+    of_group = groups.withColumn("name", F.xxhash64("rep", "d1", "d2", "n_shingles")).join(named, "name").select(F.col("d1").alias("e1"), F.col("d2").alias("e2"), F.col("n_shingles").alias("e3"), "component_id")
+    rows = features.select("doc_id", "n_shingles", "d1", "d2")
+    out = rows.join(of_group, (F.col("d1") == F.col("e1")) & (F.col("d2") == F.col("e2")) & (F.col("n_shingles") == F.col("e3")) & F.col("doc_id").isNotNull(), "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
