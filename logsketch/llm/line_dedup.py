@@ -18,13 +18,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import table
+from .common import sweep, table
 from .sketch import count_sketch
 
 NUMERATOR = 80  # per cent of the union
 CELLS = 1 << 18
 HEAVY = 4096  # a set of words that makes up more than 1/HEAVY of all lines is known to every task; there are fewer than HEAVY
-FIRST = 4  # candidates tried at once for a line and word; those of lines that stay unresolved are all tried after that
+FIRST = 4  # candidates kept for a line and word; lines that have more and stay unresolved meet all of theirs in the end
 SEEN = 1 << 22
 _NEWLINE = np.zeros(256, bool)
 _NEWLINE[0x0A] = True
@@ -109,7 +109,7 @@ def _postings(rank, heavy, buckets: int, numerator: int):
     return run
 
 
-_KINDS = (np.uint64, np.int64, np.int32, np.int32, np.int32, np.uint64, np.int64)
+_KINDS = (np.uint32, np.int64, np.int32, np.int32, np.int32, np.uint64, np.uint32)
 
 
 def _packed(pending, buckets: int):
@@ -117,6 +117,8 @@ def _packed(pending, buckets: int):
     bucket = (columns[0] % np.uint64(buckets)).astype(np.int32)
     order = np.argsort(bucket, kind="stable")
     columns, bucket = [c[order] for c in columns], bucket[order]
+    columns[0] = columns[0] >> np.uint64(32)  # two words of a bucket that fall together only share their candidates
+    columns[6] = columns[6].view(np.uint64) >> np.uint64(32)
     at = np.flatnonzero(np.diff(bucket, prepend=-1))
     ends = np.append(at[1:], len(bucket))
     blobs = [[c[a:b].astype(kind, copy=False).tobytes() for a, b in zip(at, ends, strict=True)] for c, kind in zip(columns, _KINDS, strict=True)]
@@ -130,7 +132,7 @@ def _candidates(numerator: int, first: int | None, open_=None):
         word, doc, line, n, place, parity, digest = (np.concatenate([np.frombuffer(x, kind) for x in rows[f"c{k}"]]) for k, kind in enumerate(_KINDS))
         order = np.lexsort((line, doc, word))
         word, doc, line, n, place, parity, digest = (x[order] for x in (word, doc, line, n, place, parity, digest))
-        begin = np.flatnonzero(np.diff(word, prepend=~word[:1]))
+        begin = np.flatnonzero(np.diff(word.astype(np.int64), prepend=-1))
         end = np.repeat(np.append(begin[1:], len(word)), np.diff(np.append(begin, len(word))))
         start = np.repeat(begin, np.diff(np.append(begin, len(word))))
         here = np.arange(len(word))
@@ -175,20 +177,30 @@ def _words_of(seen_docs, seen_lines):
             for row, number, at, _, h in _line_sets(batch.column("text"), None):
                 keep = np.flatnonzero(lines[(_place(ids[row], number) & np.uint64(SEEN - 1)).astype(np.int64)] > 0)
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids[row][keep]), pa.array(number[keep].astype(np.int32)), pa.array([np.sort(h[at[k] : at[k + 1]]).tobytes() for k in keep], pa.binary())], names=["doc_id", "line", "words"]
+                    [pa.array(ids[row][keep]), pa.array(number[keep].astype(np.int32)), pa.array([np.unique(h[at[k] : at[k + 1]] >> np.uint64(24)).astype(np.uint64).view(np.uint8).reshape(-1, 8)[:, :5].tobytes() for k in keep], pa.binary())], names=["doc_id", "line", "words"]
                 )
 
     return run
 
 
+def _words(cell) -> np.ndarray:
+    """Forty bits of each word, sorted."""
+    packed = np.frombuffer(cell.as_buffer(), np.uint8).reshape(-1, 5)
+    out = np.zeros((len(packed), 8), np.uint8)
+    out[:, :5] = packed
+    return out.view(np.uint64).ravel()
+
+
 def _verify(numerator: int):
     def run(batches):
         for batch in batches:
             keep = np.zeros(batch.num_rows, bool)
             one, two = batch.column("xw"), batch.column("yw")
             for k in range(batch.num_rows):
-                x, y = np.frombuffer(one[k].as_buffer(), np.uint64), np.frombuffer(two[k].as_buffer(), np.uint64)
-                both = len(np.intersect1d(x, y, assume_unique=True))
+                x, y = _words(one[k]), _words(two[k])
+                at = np.searchsorted(y, x)
+                at[at == len(y)] = 0
+                both = int((y[at] == x).sum())
                 keep[k] = 100 * both >= numerator * (len(x) + len(y) - both)
             yield pa.RecordBatch.from_arrays([batch.column("xd"), batch.column("xl")], names=["doc_id", "line"]).filter(pa.array(keep))
 
@@ -229,7 +241,7 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     lines = table(docs.mapInArrow(_lines, "doc_id long, line int, d1 long, d2 long"), "lines")
     groups = lines.groupBy("d1", "d2").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n")).where("n > 1")
     groups = table(groups.select("d1", "d2", "first", "n"), "equal")
-    equal = lines.join(groups, ["d1", "d2"]).where(F.struct("doc_id", "line") > F.col("first")).select("doc_id", "line")
+    equal = table(lines.join(groups, ["d1", "d2"]).where(F.struct("doc_id", "line") > F.col("first")).select("doc_id", "line"), "repeats")
     total = lines.count()
     hot = groups.where(F.col("n") > max(total / HEAVY, 16)).select("d1", "first.doc_id", "first.line").orderBy("d1").collect()  # fewer than HEAVY rows
     heavy = spark.sparkContext.broadcast(tuple(np.array([r[k] for r in hot], np.int64) for k in range(3)))
@@ -237,25 +249,42 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     buckets = max(16, int(total / 40_000))
     packed = docs.mapInArrow(_postings(rank, heavy, buckets, numerator), "bucket int, " + ", ".join(f"c{k} binary" for k in range(len(_KINDS))))
     pair_schema = "xd long, xl int, yd long, yl int, nth int"
-
-    def confirmed(first: int | None, open_=None) -> tuple[DataFrame, DataFrame]:
-        pairs = table(packed.groupBy("bucket").applyInPandas(_candidates(numerator, first, open_), pair_schema), "pairs")
-        seen_docs = spark.sparkContext.broadcast(count_sketch(pairs, SEEN, _doc_keys) > 0)
-        seen_lines = spark.sparkContext.broadcast(count_sketch(pairs, SEEN, _line_keys) > 0)
-        words = table(docs.mapInArrow(_words_of(seen_docs, seen_lines), "doc_id long, line int, words binary").dropDuplicates(["doc_id", "line"]), "words")
-        distinct = pairs.select("xd", "xl", "yd", "yl").distinct()
-        both = distinct.join(words.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"), F.col("words").alias("xw")), ["xd", "xl"])
+    line_of = ["xd", "xl"]
+
+    def candidates(first: int | None, open_=None) -> DataFrame:
+        """Pairs of lines, how many words name them, and whether one of these words had more."""
+        found = packed.groupBy("bucket").applyInPandas(_candidates(numerator, first, open_), pair_schema)
+        found = table(found.groupBy("xd", "xl", "yd", "yl").agg(F.count("*").alias("votes"), F.max(F.col("nth") >= (first or 1 << 30)).alias("more")), "pairs")
+        sweep(spark)
+        return found
+
+    def confirmed(pairs: DataFrame) -> DataFrame:
+        seen_docs = spark.sparkContext.broadcast(count_sketch(pairs.select("xd", "yd"), SEEN, _doc_keys) > 0)
+        seen_lines = spark.sparkContext.broadcast(count_sketch(pairs.select("xd", "xl", "yd", "yl"), SEEN, _line_keys) > 0)
+        words = table(docs.mapInArrow(_words_of(seen_docs, seen_lines), "doc_id long, line int, words binary"), "words").dropDuplicates(["doc_id", "line"])
+        both = pairs.select("xd", "xl", "yd", "yl").join(words.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"), F.col("words").alias("xw")), line_of)
         both = both.join(words.select(F.col("doc_id").alias("yd"), F.col("line").alias("yl"), F.col("words").alias("yw")), ["yd", "yl"])
         found = table(both.select("xd", "xl", "xw", "yw").mapInArrow(_verify(numerator), "doc_id long, line int").distinct(), "similar")
-        return found, pairs
-
-    found, pairs = confirmed(FIRST)
-    unresolved = pairs.where(F.col("nth") >= FIRST).select(F.col("xd").alias("doc_id"), F.col("xl").alias("line")).distinct().join(found, ["doc_id", "line"], "left_anti")
-    unresolved = table(unresolved.join(equal, ["doc_id", "line"], "left_anti"), "open")
+        sweep(spark)
+        return found
+
+    # First each line's likeliest partner, then the others of lines that it did not settle, then what FIRST left out.
+    pairs = candidates(FIRST)
+    settled = equal.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"))
+    pairs = pairs.join(settled, line_of, "left_anti")
+    best = table(pairs.groupBy(*line_of).agg(F.max_by(F.struct("yd", "yl"), F.struct("votes", -F.col("yd"), -F.col("yl"))).alias("y")).select("xd", "xl", "y.yd", "y.yl"), "best")
+    found = confirmed(best)
+    settled = found.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"))
+    others = table(pairs.join(settled, line_of, "left_anti").join(best, ["xd", "xl", "yd", "yl"], "left_anti"), "others")
+    if others.limit(1).count():
+        found = found.unionByName(confirmed(others))
+    unresolved = pairs.where("more").select(F.col("xd").alias("doc_id"), F.col("xl").alias("line")).distinct().join(found, ["doc_id", "line"], "left_anti")
+    unresolved = table(unresolved, "open")
     if unresolved.limit(1).count():
-        more, _ = confirmed(None, spark.sparkContext.broadcast(count_sketch(unresolved, SEEN, _open_keys) > 0))
-        found = found.unionByName(more)
-    return found.unionByName(equal).distinct()
+        rest = candidates(None, spark.sparkContext.broadcast(count_sketch(unresolved, SEEN, _open_keys) > 0))
+        rest = rest.join(unresolved.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl")), line_of, "left_semi").join(pairs, ["xd", "xl", "yd", "yl"], "left_anti")
+        found = found.unionByName(confirmed(table(rest, "rest")))
+    return table(found.unionByName(equal).distinct(), "removed")
 
 
 def without_lines(docs: DataFrame, removed: DataFrame) -> DataFrame:
