@@ -6,15 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .plans import dialect, surface
+
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
-    return {}
+    return {k: (lambda spark, sf_dir, text=text: dialect.run(spark, sf_dir, text)) for k, text in surface.SHARED.items()}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {k: dialect.oracle(text) for k, text in surface.SHARED.items()}
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

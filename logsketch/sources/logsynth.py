@@ -54,41 +54,61 @@ def _text(parts: list[str]) -> str:
     return "concat(" + ", ".join(parts) + ")"
 
 
-def _quoted(template: str, number: str) -> list[str]:
-    """A template with {K} as SQL terms of a concat."""
-    out = []
-    for k, piece in enumerate(template.split("{K}")):
-        if k:
-            out.append(f"cast({number} AS string)")
-        if piece:
-            out.append("'" + (piece if "''" in piece else piece.replace("'", "''")) + "'")
-    return out
-
-
-def _select(f: tuple[str, ...]) -> str:
-    tables, outputs, more, key, listed, ranged, other, order, not_null, group, group_more = f
-    before, _, after = tables.partition("{J}")
-    joined = [f"'{before}'", "CASE b7 WHEN 1 THEN 'LEFT JOIN' ELSE 'INNER JOIN' END", f"'{after}'"] if after else [f"'{before}'"]
-    group_cols = [f"'{group}'", f"CASE b6 WHEN 1 THEN ', {group_more}' ELSE '' END"] if group else []
-    parts = ["'SELECT '"]
-    if not group:
-        parts.append("CASE b6 WHEN 1 THEN 'DISTINCT ' ELSE '' END")
-    else:
-        parts += [*group_cols, "', '"]
-    parts += [*_quoted(outputs, "c3"), f"CASE b3 WHEN 1 THEN ', {more}' ELSE '' END", "' FROM '", *joined, "' WHERE '", "CASE b5 WHEN 1 THEN '(' ELSE '' END", *_quoted(key, "c1")]
-    parts += [f"CASE b5 WHEN 1 THEN concat(' OR {other} = ', cast(c2 AS string), ')') ELSE '' END", f"' AND {listed} '", "CASE b1 WHEN 1 THEN 'NOT IN' ELSE 'IN' END", "concat(' (', cast(c2 AS string), ', ', cast(c3 AS string), ')')"]
-    parts.append(f"CASE b0 WHEN 1 THEN concat(' AND {ranged} > ', cast(c3 AS string)) ELSE '' END")
-    if not after:
-        parts.append(f"CASE b7 WHEN 1 THEN ' AND {not_null} IS NOT NULL' ELSE '' END")
-    if group:
-        parts += ["' GROUP BY '", *group_cols]
-    parts += [f"' ORDER BY {order}'", "CASE b2 WHEN 1 THEN ' DESC' ELSE '' END", "CASE b4 WHEN 1 THEN concat(' LIMIT ', cast(c2 % 100 + 1 AS string)) ELSE '' END"]
+def _part(values: list[str]) -> str:
+    """The family's value of a list: one look-up in one literal, so that the whole statement stays small in generated code."""
+    joined = "^".join(values).replace("'", "''")
+    return f"split_part('{joined}', '^', cast(fam + 1 AS int))"
+
+
+def _when(bit: str, then: str) -> str:
+    return f"CASE {bit} WHEN 1 THEN {then} ELSE '' END"
+
+
+def _select() -> str:
+    """The SELECT of every family, put together from its parts."""
+    tables, outputs, more, key, listed, ranged, other, order, not_null, group, group_more = ([f[k].replace("''", "'") for f in FAMILIES] for k in range(11))
+    before, after = [t.partition("{J}")[0] for t in tables], [t.partition("{J}")[2] for t in tables]
+    joins = [bool(x) for x in after]
+    head = [o.partition("{K}")[0] for o in outputs]
+    tail = [o.partition("{K}")[2] for o in outputs]
+    number = lambda c: f"cast({c} AS string)"
+    parts = [
+        "'SELECT '",
+        _when("b6", _part(["" if g else "DISTINCT " for g in group])),
+        _part(group),
+        _when("b6", _part([f", {m}" if g else "" for g, m in zip(group, group_more, strict=True)])),
+        _part([", " if g else "" for g in group]),
+        _part(head),
+        f"CASE fam WHEN {next(k for k, o in enumerate(outputs) if '{K}' in o)} THEN {number('c3')} ELSE '' END",
+        _part(tail),
+        _when("b3", _part([f", {m}" for m in more])),
+        "' FROM '",
+        _part(before),
+        f"CASE b7 WHEN 1 THEN {_part(['LEFT JOIN' if j else '' for j in joins])} ELSE {_part(['INNER JOIN' if j else '' for j in joins])} END",
+        _part(after),
+        "' WHERE '",
+        _when("b5", "'('"),
+        _part([k.partition("{K}")[0] for k in key]),
+        number("c1"),
+        _part([k.partition("{K}")[2] for k in key]),
+        _when("b5", f"concat({_part([f' OR {o} = ' for o in other])}, {number('c2')}, ')')"),
+        _part([f" AND {x} " for x in listed]),
+        "CASE b1 WHEN 1 THEN 'NOT IN' ELSE 'IN' END",
+        f"concat(' (', {number('c2')}, ', ', {number('c3')}, ')')",
+        _when("b0", f"concat({_part([f' AND {r} > ' for r in ranged])}, {number('c3')})"),
+        _when("b7", _part(["" if j else f" AND {x} IS NOT NULL" for j, x in zip(joins, not_null, strict=True)])),
+        _part([f" GROUP BY {g}" if g else "" for g in group]),
+        _when("b6", _part([f", {m}" if g else "" for g, m in zip(group, group_more, strict=True)])),
+        _part([f" ORDER BY {o}" for o in order]),
+        _when("b2", "' DESC'"),
+        _when("b4", f"concat(' LIMIT ', {number('c2 % 100 + 1')})"),
+    ]
     return _text(parts)
 
 
 def statement_sql() -> str:
     """The statement's text as a SQL expression over BASE, BITS and klass."""
-    select = "CASE fam " + " ".join(f"WHEN {k} THEN {_select(f)}" for k, f in enumerate(FAMILIES)) + " END"
+    select = _select()
     n = lambda c: f"cast({c} AS string)"
     simple = lambda c: _text(["'SELECT o_orderkey FROM orders WHERE o_custkey = '", n(c)])
     return f"""CASE klass
