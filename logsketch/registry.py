@@ -6,18 +6,19 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from . import workloads
 from .plans import dialect, surface
 
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
-    return {k: (lambda spark, sf_dir, text=text: dialect.run(spark, sf_dir, text)) for k, text in surface.SHARED.items()}
+    return {k: (lambda spark, sf_dir, text=text: dialect.run(spark, sf_dir, text)) for k, text in surface.SHARED.items()} | workloads.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return {k: dialect.oracle(text) for k, text in surface.SHARED.items()}
+    return {k: dialect.oracle(text) for k, text in surface.SHARED.items()} | workloads.ORACLES
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    return workloads.flagship(spark, sf_dir)
