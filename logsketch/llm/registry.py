@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import ann, decontaminate, html_extract, language, line_dedup, lm_score, near_dedup, packing, quality, url_filter
-from .common import read
+from .common import bounded_bytes, read
 
 
 def op1_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -55,6 +55,7 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op10_lm_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents").select("doc_id", "text")
     good = read(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
+    good = F.broadcast(good) if bounded_bytes(good, 64 << 20) else good
     return lm_score.score(docs, docs.join(good, "doc_id", "left_semi"))
 
 
