@@ -31,7 +31,7 @@ COORDS = 64
 #: Bits of the odd sketch: bit k tells whether an odd number of the set's tokens fall there. Two sketches differ in at
 #: most as many bits as their sets do in tokens, so no pair at the threshold is ever refused.
 ODD = 1024
-TREES, DEPTH, BRANCHES, NODE = 8, 3, 3, 256
+TREES, DEPTH, BRANCHES, NODE = 8, 3, 2, 256
 SEEN = 1 << 22
 _rng = np.random.default_rng(7)
 _mul = _rng.integers(1 << 62, size=COORDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
