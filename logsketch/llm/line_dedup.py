@@ -3,7 +3,7 @@
 A line is the set of its words. Words are ordered by rarity (counts over all lines, in a table of fixed size; any
 one order gives the same result, a rarer front only fewer candidates). Two lines at the threshold must share a word
 among the first few of both (prefix filter), at places from which the overlap can still be reached (positional
-filter), and have sizes near each other (length filter). Candidates that also pass a parity test on 64 bits are
+filter), and have sizes near each other (length filter). Candidates that also pass a parity test on 128 bits are
 compared word by word. A line goes when an earlier line (by doc_id, then number) is similar enough.
 """
 
@@ -93,12 +93,14 @@ def _postings(rank, heavy, buckets: int, numerator: int):
                 if len(hot_digest):
                     near = np.minimum(np.searchsorted(hot_digest, one), len(hot_digest) - 1)
                     keep &= (hot_digest[near] != one) | ((hot_doc[near] == doc) & (hot_line[near] == number))
-                parity = np.bitwise_xor.reduceat(np.uint64(1) << (h >> np.uint64(58)), at[:-1])
+                # 128 bits: the first six pick a bit, the seventh picks the half.
+                half = (h >> np.uint64(51)) & np.uint64(1)
+                parity = [np.bitwise_xor.reduceat(np.where(half == k, np.uint64(1) << (h >> np.uint64(58)), np.uint64(0)), at[:-1]) for k in (0, 1)]
                 front = np.where(keep, n - -((-numerator * n) // 100) + 1, 0)
                 of = np.repeat(np.arange(len(n)), front)
                 place = np.arange(len(of)) - np.repeat(np.cumsum(front) - front, front)
                 word = K.mix(key[at[of] + place])
-                pending.append((word, doc[of], number[of].astype(np.int32), n[of].astype(np.int32), place.astype(np.int32), parity[of], one[of]))
+                pending.append((word, doc[of], number[of].astype(np.int32), n[of].astype(np.int32), place.astype(np.int32), parity[0][of], parity[1][of], one[of]))
                 size += len(of)
                 if size > 400_000:
                     yield from _packed(pending, buckets)
@@ -109,7 +111,7 @@ def _postings(rank, heavy, buckets: int, numerator: int):
     return run
 
 
-_KINDS = (np.uint32, np.int64, np.int32, np.int32, np.int32, np.uint64, np.uint32)
+_KINDS = (np.uint32, np.int64, np.int32, np.int32, np.int32, np.uint64, np.uint64, np.uint32)
 
 
 def _packed(pending, buckets: int):
@@ -118,7 +120,7 @@ def _packed(pending, buckets: int):
     order = np.argsort(bucket, kind="stable")
     columns, bucket = [c[order] for c in columns], bucket[order]
     columns[0] = columns[0] >> np.uint64(32)  # two words of a bucket that fall together only share their candidates
-    columns[6] = columns[6].view(np.uint64) >> np.uint64(32)
+    columns[7] = columns[7].view(np.uint64) >> np.uint64(32)
     at = np.flatnonzero(np.diff(bucket, prepend=-1))
     ends = np.append(at[1:], len(bucket))
     blobs = [[c[a:b].astype(kind, copy=False).tobytes() for a, b in zip(at, ends, strict=True)] for c, kind in zip(columns, _KINDS, strict=True)]
@@ -129,9 +131,9 @@ def _candidates(numerator: int, first: int | None, open_=None):
     """In one bucket: pairs (later line, earlier line) that pass all filters, for each later line the first few, or all for the lines still open."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
-        word, doc, line, n, place, parity, digest = (np.concatenate([np.frombuffer(x, kind) for x in rows[f"c{k}"]]) for k, kind in enumerate(_KINDS))
+        word, doc, line, n, place, one, two, digest = (np.concatenate([np.frombuffer(x, kind) for x in rows[f"c{k}"]]) for k, kind in enumerate(_KINDS))
         order = np.lexsort((line, doc, word))
-        word, doc, line, n, place, parity, digest = (x[order] for x in (word, doc, line, n, place, parity, digest))
+        word, doc, line, n, place, one, two, digest = (x[order] for x in (word, doc, line, n, place, one, two, digest))
         begin = np.flatnonzero(np.diff(word.astype(np.int64), prepend=-1))
         end = np.repeat(np.append(begin[1:], len(word)), np.diff(np.append(begin, len(word))))
         start = np.repeat(begin, np.diff(np.append(begin, len(word))))
@@ -149,7 +151,9 @@ def _candidates(numerator: int, first: int | None, open_=None):
             need = _need(n[x].astype(np.int64), n[y].astype(np.int64), numerator)
             room = 1 + np.minimum(n[x] - place[x], n[y] - place[y]) - 1
             ok = (digest[x] != digest[y]) & (room >= need) & (100 * np.minimum(n[x], n[y]).astype(np.int64) >= numerator * np.maximum(n[x], n[y]))
-            ok[ok] = np.bitwise_count(parity[x[ok]] ^ parity[y[ok]]) <= (n[x] + n[y] - 2 * need)[ok]
+            i, j = x[ok], y[ok]
+            differ = np.bitwise_count(one[i] ^ one[j]).astype(np.int64) + np.bitwise_count(two[i] ^ two[j])
+            ok[ok] = differ <= (n[x] + n[y] - 2 * need)[ok]
             at = np.flatnonzero(ok)
             if len(at):
                 out.append(np.stack([doc[x[at]], line[x[at]].astype(np.int64), doc[y[at]], line[y[at]].astype(np.int64), got[x[at]] + 1]))
@@ -268,16 +272,9 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
         sweep(spark)
         return found
 
-    # First each line's likeliest partner, then the others of lines that it did not settle, then what FIRST left out.
-    pairs = candidates(FIRST)
     settled = equal.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"))
-    pairs = pairs.join(settled, line_of, "left_anti")
-    best = table(pairs.groupBy(*line_of).agg(F.max_by(F.struct("yd", "yl"), F.struct("votes", -F.col("yd"), -F.col("yl"))).alias("y")).select("xd", "xl", "y.yd", "y.yl"), "best")
-    found = confirmed(best)
-    settled = found.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"))
-    others = table(pairs.join(settled, line_of, "left_anti").join(best, ["xd", "xl", "yd", "yl"], "left_anti"), "others")
-    if others.limit(1).count():
-        found = found.unionByName(confirmed(others))
+    pairs = table(candidates(FIRST).join(settled, line_of, "left_anti"), "open-pairs")
+    found = confirmed(pairs)
     unresolved = pairs.where("more").select(F.col("xd").alias("doc_id"), F.col("xl").alias("line")).distinct().join(found, ["doc_id", "line"], "left_anti")
     unresolved = table(unresolved, "open")
     if unresolved.limit(1).count():
@@ -289,6 +286,7 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
 
 def without_lines(docs: DataFrame, removed: DataFrame) -> DataFrame:
     """docs with `removed` lines cut from text; adds n_lines, n_removed. Lines stay apart by \\n; null text stays null."""
+    docs = docs.drop("_doc", "_gone", "n_lines", "n_removed")
     per_doc = removed.groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
     out = docs.join(per_doc, docs.doc_id == F.col("_doc"), "left").drop("_doc")
     parts = F.split("text", "\n", -1)
