@@ -255,4 +255,4 @@ def contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 def decontaminate(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """docs without the leaking documents; columns stay. Rows with a null doc_id stay."""
     bad = table(leaks(docs, benchmark).select(F.col("doc_id").alias("_bad")).distinct(), "leaking")
-    return docs.join(bad, docs.doc_id == F.col("_bad"), "left_anti")
+    return docs.join(bad, docs["doc_id"] == bad["_bad"], "left_anti")

@@ -304,7 +304,7 @@ def extract(pages: DataFrame, column: str = "html", key: str = "page_id", sample
     No pages, no rows. The labeller is fitted on at most `sample` pages, chosen by a hash of `key`.
     """
     spark = pages.sparkSession
-    columns = [c for c in pages.columns if c not in (column, "text", "n_chars")]
+    columns = [c for c in pages.columns if c not in (column, "text", "n_chars", "_html")]
     some = pages.where(F.octet_length(column) <= SAMPLE_BYTES).orderBy(F.xxhash64(key), column).select(column).limit(sample)
     rows: pd.DataFrame = some.toPandas()
     labeller = Labeller().fit(*training(rows[column].tolist())) if len(rows) else Labeller()

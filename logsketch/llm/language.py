@@ -27,6 +27,8 @@ PLAUSIBLE = 0.2  # of the trigrams of a text in some language
 WEIGHT = 20.0  # rows that a level's prior weighs at the level below
 SMOOTH = 0.5
 PRIORS_BYTES = 32 << 20
+ADDED = ("language", "posterior", "accepted", "text_language")
+_OWN = ("_text", "_said", "_host", "_where", "_grams", "_good", "_letters", "_ll", "_best", "_prior", "_known", "_belief", "_top")
 _fold = K._fold.astype(np.uint32)
 _LETTER = np.zeros(256, bool)
 _LETTER[0x41:0x5B] = _LETTER[0x61:0x7B] = _LETTER[0x80:] = True
@@ -76,7 +78,7 @@ def _likelihoods(shared, n: int):
                 good.append(np.bincount(row[likely[cell]], minlength=rows))
                 held = np.concatenate([[0], np.cumsum(_LETTER[data])])
                 letters.append(held[offsets[1:]] - held[offsets[:-1]])
-                out.append(np.stack([np.bincount(row, weights=logs[k][cell], minlength=rows) for k in range(n)], axis=1))
+                out.append(np.stack([np.bincount(row, weights=logs[k][cell], minlength=rows) for k in range(n)], axis=1).astype(np.float64))
             size, good, letters = (np.concatenate(x).astype(np.int64) if x else np.zeros(0, np.int64) for x in (size, good, letters))
             flat = np.concatenate(out).ravel() if out else np.zeros(0)
             ll = pa.ListArray.from_arrays(pa.array(np.arange(len(size) + 1, dtype=np.int32) * n), pa.array(flat))
@@ -121,9 +123,10 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
     url: column of addresses whose host is used where `host` is None. A null in any of them is no evidence. Null text
     is empty: no letters, hence rejected, with the prior's language. Repeated rows and ties: equal rows get equal
     results; of equally believed languages the first by name. Without any declared language there is nothing to learn
-    from: language is null and nothing is accepted. Columns of docs keep their names; those added must be new.
+    from: language is null and nothing is accepted. Columns of docs keep their names; those with an added name are replaced.
     """
     spark = docs.sparkSession
+    docs = docs.drop(*ADDED, *_OWN)
     columns = docs.columns
     said = F.lower(F.split(F.col(declared).cast("string"), "[-_]")[0]) if declared else F.lit(None).cast("string")
     where = F.lower(F.col(host).cast("string")) if host else F.lower(F.regexp_extract(F.col(url).cast("string"), r"://([^/?#]*)", 1)) if url else F.lit(None).cast("string")

@@ -100,9 +100,9 @@ def judge(pages: DataFrame, url: str = "url", rules=RULES) -> DataFrame:
 
     Null addresses and those without :// have an empty host and path. Rules come first, the longest that fits; else
     the template decides, and templates without a labelled address are allowed. Labels are the rules' own verdicts.
-    Repeated rows count and are judged each time; no rows, no rows; columns of pages other than those added are kept.
+    Repeated rows count and are judged each time; no rows, no rows; columns of pages are kept, but for those added and names that begin with _.
     """
-    columns = [c for c in pages.columns if c not in ("host", "path", "template", "purity", "rule", "verdict")]
+    columns = [c for c in pages.columns if c not in ("host", "path", "template", "purity", "rule", "verdict") and not c.startswith("_")]
     host, path = host_path(F.col(url))
     rows = pages.select(*columns, host.alias("_host"), path.alias("_path"))
     rule, verdict = by_rule(F.col("_host"), F.col("_path"), rules)
