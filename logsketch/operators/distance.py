@@ -119,7 +119,6 @@ def approx_within(bag: DataFrame, tau: float, tables: int = 6, seed: int = 7) ->
 
 def sparse_vectors(bag: DataFrame) -> DataFrame:
     """tree_id, features: MLlib vectors over dense feature numbers."""
-    from pyspark.ml.functions import array_to_vector  # noqa: F401
     from pyspark.ml.linalg import SparseVector, VectorUDT
 
     ids = table(bag.select("feature_id").distinct(), "features")

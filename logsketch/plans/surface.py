@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from .dialect import Text
 
+DUCK_DAYS = "datediff('day', cast(o_orderdate AS date), cast(l_shipdate AS date))"
 SHARED: dict[str, Text] = {
     # scans, projections, filters
     "op_scan_prune": lambda x: "SELECT event_type, count(*) AS n FROM events WHERE ts >= timestamp '2024-01-05 00:00:00' AND ts < timestamp '2024-01-06 00:00:00' GROUP BY event_type",
@@ -47,7 +48,7 @@ SHARED: dict[str, Text] = {
     "op_pivot": lambda x: "SELECT user_id, " + ", ".join(f"count(CASE WHEN event_type = '{e}' THEN 1 END) AS {e}" for e in ("click", "error", "purchase", "signup", "view")) + " FROM events GROUP BY user_id",
     "op_having": lambda x: "SELECT user_id, count(*) AS n FROM log GROUP BY user_id HAVING count(*) > 12",
     # windows
-    "op_win_rank": lambda x: "SELECT user_id, n, row_number() OVER (ORDER BY n DESC, user_id) AS rn, rank() OVER (ORDER BY n DESC) AS rk, dense_rank() OVER (ORDER BY n DESC) AS dr, round(percent_rank() OVER (ORDER BY n), 6) AS pr, round(cume_dist() OVER (ORDER BY n), 6) AS cd FROM (SELECT user_id, count(*) AS n FROM log GROUP BY user_id) t".replace("row_number()", "row_number()"),
+    "op_win_rank": lambda x: "SELECT user_id, n, row_number() OVER (ORDER BY n DESC, user_id) AS rn, rank() OVER (ORDER BY n DESC) AS rk, dense_rank() OVER (ORDER BY n DESC) AS dr, round(percent_rank() OVER (ORDER BY n), 6) AS pr, round(cume_dist() OVER (ORDER BY n), 6) AS cd FROM (SELECT user_id, count(*) AS n FROM log GROUP BY user_id) t",
     "op_win_offset": lambda x: f"SELECT event_id, t - lag(t) OVER (PARTITION BY user_id ORDER BY t, event_id) AS gap, lead(event_id) OVER (PARTITION BY user_id ORDER BY t, event_id) AS next_event FROM (SELECT event_id, user_id, {x.epoch('ts')} AS t FROM events) e",
     "op_win_value": lambda x: "SELECT event_id, first_value(event_id) OVER w AS first_event, last_value(event_id) OVER w AS last_event, nth_value(event_id, 2) OVER w AS second_event FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
     "op_win_rows": lambda x: "SELECT event_id, round(avg(value) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW), 6) AS moving FROM events",
@@ -70,7 +71,7 @@ SHARED: dict[str, Text] = {
     "op_str_hash": lambda x: f"SELECT stmt_id, md5(sql) AS m, {x.sha('sql')} AS s FROM log",
     "op_str_distance": lambda x: "SELECT stmt_id, cast(levenshtein(substr(sql, 1, 30), 'SELECT o_orderkey FROM orders') AS bigint) AS d FROM log WHERE klass IN ('UNION', 'DELETE')",
     "op_date_parts": lambda x: f"SELECT event_id, year(ts) AS y, month(ts) AS m, day(ts) AS d, hour(ts) AS h, {x.pick('dayofweek(ts) - 1', 'dayofweek(ts)')} AS w FROM events",
-    "op_date_arith": lambda x: f"SELECT o_orderkey, {x.pick('datediff(l_shipdate, o_orderdate)', chr(100) + 'atediff(' + chr(39) + 'day' + chr(39) + ', cast(o_orderdate AS date), cast(l_shipdate AS date))')} AS days FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_linenumber = 1".replace("AS days", "AS days"),
+    "op_date_arith": lambda x: f"SELECT o_orderkey, {x.pick('datediff(l_shipdate, o_orderdate)', DUCK_DAYS)} AS days FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE l_linenumber = 1",
     "op_date_trunc": lambda x: "SELECT date_trunc('hour', ts) AS h, count(*) AS n FROM events GROUP BY date_trunc('hour', ts)",
     "op_math": lambda x: "SELECT event_id, round(ln(value + 1), 6) AS l, round(sqrt(value), 6) AS s, round(power(value, 1.5), 4) AS p, cast(floor(value) AS bigint) AS f, cast(ceil(value) AS bigint) AS c, round(abs(value - 50), 4) AS a, event_id % 7 AS m, greatest(value, 10.0) AS g FROM events",
     "op_arr_hof": lambda x: f"SELECT l_orderkey, {x.pick('aggregate(transform(filter(q, v -> v > 10), v -> v * 2), 0.0D, (a, b) -> a + b)', 'coalesce(list_sum(list_transform(list_filter(q, lambda v: v > 10), lambda v: v * 2)), 0.0)')} AS total FROM (SELECT l_orderkey, {x.pick('collect_list(l_quantity)', 'list(l_quantity)')} AS q FROM lineitem GROUP BY l_orderkey) t",
