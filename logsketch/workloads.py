@@ -612,6 +612,13 @@ def w_role_classifier(spark, sf_dir):
     return compare.confusion(got.select((F.col("role") == 0).alias("truth"), (F.col("prediction") == 0).alias("guess")))
 
 
+def w_compression_log(spark, sf_dir):
+    """The compression curve over the sample's own feature bags, for both item orders."""
+    bags = _bags([t for t, _, _ in _sample(spark.sparkContext.applicationId, sf_dir)])
+    rows = spark.createDataFrame([(k, f, n) for k, b in enumerate(bags) for f, n in b.items()], "tree_id long, feature_key string, mult int")
+    return fptree.compression_curve(fptree.itemsets(rows), [14 * k for k in range(1, 11)])
+
+
 # -- run times
 
 
