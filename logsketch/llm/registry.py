@@ -54,9 +54,9 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_lm_cross_entropy_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents").select("doc_id", "text")
-    good = read(spark, sf_dir, "labels").where("quality = 1").select("doc_id")
+    good = read(spark, sf_dir, "labels").where("quality = 1").select("doc_id").distinct().withColumn("good", F.lit(True))
     good = F.broadcast(good) if bounded_bytes(good, 64 << 20) else good
-    return lm_score.score(docs, docs.join(good, "doc_id", "left_semi"))
+    return lm_score.score(docs.join(good, "doc_id", "left"), "good")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

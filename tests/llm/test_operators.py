@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import collections
 import itertools
 import random
 import re
@@ -283,3 +284,42 @@ def test_vocabulary_is_the_most_frequent_words(spark):
     known = lm_score.vocabulary(docs(spark, [(1, "a a a b b c"), (2, "A d")]), 2)
     both = lm_score.vocabulary(docs(spark, [(1, "a b")]), 5)
     assert set(known.tolist()) == set(both.tolist())
+
+
+def test_lm_losses_equal_brute_force(spark, monkeypatch):
+    """Every word and pair counts as it is, over several chunks and shares of the keys: no cap, no shared cells."""
+    monkeypatch.setattr(lm_score, "VOCABULARY", 5)  # what the counting must not depend on
+    monkeypatch.setattr(lm_score, "CHUNK", 2000)
+    monkeypatch.setattr(lm_score, "SHARE", 4000)
+    r = random.Random(3)
+    rows = [(k, " ".join(f"w{int(r.paretovariate(0.6))}" for _ in range(r.randint(0, 60)))) for k in range(200)]
+    target = rows[:40] + [(900, "only here w1 w2")]
+
+    def model(some):
+        single, first, pair = collections.Counter(), collections.Counter(), collections.Counter()
+        for _, t in some:
+            for a, b in zip(["^", *words(t)], words(t)):
+                single[b] += 1
+                first[a] += 1
+                pair[a, b] += 1
+        return single, first, pair
+
+    models = model(target), model(rows)
+    size = len(models[1][0]) + 1
+
+    def loss(m, t):
+        single, first, pair = m
+        out = []
+        for a, b in zip(["^", *words(t)], words(t)):
+            p = (single[b] + 1) / (sum(single.values()) + size)
+            out.append(-np.log(0.5 * pair[a, b] / first[a] + 0.5 * p if first[a] else p))
+        return sum(out) / max(1, len(out))
+
+    marked = lm_score.score(docs(spark, rows).withColumn("good", F.col("doc_id") < 40), "good").collect()
+    apart = lm_score.score(docs(spark, rows), docs(spark, rows[:40])).collect()
+    assert {x.doc_id: round(x.difference, 9) for x in marked} == {x.doc_id: round(x.difference, 9) for x in apart}
+    got = {x.doc_id: x for x in lm_score.score(docs(spark, rows), docs(spark, target)).collect()}
+    assert len(got) == len(rows)
+    for k, t in rows:
+        assert got[k].n_words == len(words(t))
+        assert abs(got[k].loss_target - loss(models[0], t)) < 1e-9 and abs(got[k].loss_background - loss(models[1], t)) < 1e-9
