@@ -2,14 +2,15 @@
 
 Every document's ids are cut only where it is longer than a sequence. Packing is bin completion: the largest piece left
 opens a sequence, the fillings around it that no other filling dominates are enumerated, the one that wastes least goes
-first, and in small groups the others are tried as well, as long as the waste so far could still save a sequence over
-the best solution known (at first, best-fit decreasing). Pieces are dealt at random to groups of bounded size, so that
+first, and the others are tried as well, as long as the waste so far could still save a sequence over the best solution
+known (at first, best-fit decreasing) and that is above the lower bound. Pieces are dealt at random to groups of bounded size, so that
 all cost is local; a group loses less than one sequence.
 """
 
 from __future__ import annotations
 
 import zlib
+from itertools import islice
 
 import numpy as np
 import pandas as pd
@@ -22,8 +23,7 @@ from .common import table
 
 CAPACITY, END = 4096, 1
 GROUP = 8192  # pieces that are packed together, on average
-SMALL = 160  # pieces up to which other fillings are tried
-NODES = 4000  # fillings tried in one group at most; the incumbent stands after that
+NODES, TRIES = 4000, 4  # fillings looked at in one group at most: so many, and so many for each piece; the incumbent stands after that
 KNOWN = 600_000  # words whose ids a worker keeps; others are encoded each time
 
 
@@ -146,11 +146,81 @@ def best_fit(lengths: np.ndarray, capacity: int) -> list[list[int]]:
     return out
 
 
-def _fillings(count: np.ndarray, room: int) -> list[tuple[int, ...]]:
-    """The best filling by one, two and three pieces, those that are not dominated, least waste first."""
+def _ones(bits: int) -> int:
+    return (1 << bits) - 1
+
+
+def _dominated(filling: tuple[int, ...], count: np.ndarray, free: int, waste: int) -> bool:
+    """Whether a piece that is left over could take the place of smaller ones: of none, of one, or of several together."""
+    one, many = 0, 0  # sums of single pieces and of two or more, as bits
+    for n in filling:
+        many |= (one | many) << n
+        one |= 1 << n
+    for n in set(filling):
+        if count[n] == filling.count(n):
+            free &= ~(1 << n)
+
+    def up(bits: int, by: int) -> int:
+        """The bits and those up to `by` above them."""
+        done = 0
+        while done < by:
+            step = min(done + 1, by - done)
+            bits, done = bits | bits << step, done + step
+        return bits
+
+    return bool(free & up(many, waste) or waste and free & up((one | 1) << 1, waste - 1))
+
+
+def _fillings(count: np.ndarray, room: int, spare: int, tries: list[int]):
+    """The fillings of any number of pieces that are not dominated, least waste first, larger pieces first, with at most `spare` waste.
+
+    Each filling looked at takes one of tries[0].
+    """
+    have = np.flatnonzero(count[: room + 1]).tolist()
+    free = 0
+    for n in have:
+        free |= 1 << n
+    reach, mask = [1], _ones(room + 1)  # the sums that the smallest lengths give, as bits
+    for n in have:
+        bits, c, step = reach[-1], min(int(count[n]), room // n), 1
+        while c:
+            k = min(step, c)
+            bits |= bits << k * n & mask
+            c, step = c - k, 2 * step
+        reach.append(bits)
+
+    def exact(i: int, s: int):
+        if not s:
+            yield ()
+            return
+        for j in range(i - 1, -1, -1):
+            if not reach[j + 1] >> s & 1:
+                return
+            n = have[j]
+            for c in range(min(int(count[n]), s // n), 0, -1):
+                if reach[j] >> s - c * n & 1:
+                    for rest in exact(j, s - c * n):
+                        yield (n,) * c + rest
+
+    sums = reach[-1]
+    while sums:
+        s = sums.bit_length() - 1
+        if room - s > spare:
+            return
+        for filling in exact(len(have), s):
+            if tries[0] <= 0:
+                return
+            tries[0] -= 1
+            if not _dominated(filling, count, free, room - s):
+                yield filling
+        sums ^= 1 << s
+
+
+def _quick(count: np.ndarray, room: int) -> tuple[int, ...]:
+    """A good filling by one, two or three pieces: few pieces leave the small ones for later."""
     have = np.flatnonzero(count[: room + 1])
     if not len(have):
-        return [()]
+        return ()
     below = np.zeros(room + 1, np.int64)  # the largest length up to here
     below[have] = have
     np.maximum.accumulate(below, out=below)
@@ -184,7 +254,15 @@ def _fillings(count: np.ndarray, room: int) -> list[tuple[int, ...]]:
                 k = int(np.argmax(total))
                 if total[k] > sum(found[-1]):
                     found.append((int(x[k]), int(y[k]), int(z[k])))
-    return sorted(found, key=lambda f: (-sum(f), len(f)))
+    return min(found, key=lambda f: (-sum(f), len(f)))
+
+
+def _options(count: np.ndarray, room: int, spare: int, tries: list[int]):
+    """The quick filling, then all others that are not dominated."""
+    first = _quick(count, room)
+    yield first
+    first = tuple(sorted(first))
+    yield from (f for f in _fillings(count, room, spare, tries) if tuple(sorted(f)) != first)
 
 
 def complete(lengths: np.ndarray, capacity: int = CAPACITY) -> list[list[int]]:
@@ -196,52 +274,37 @@ def complete(lengths: np.ndarray, capacity: int = CAPACITY) -> list[list[int]]:
     if len(best) > bound:
         total = int(lengths.sum())
         count = np.bincount(lengths, minlength=capacity + 1)
+        most, tries = len(best), [NODES + TRIES * len(lengths)]
         incumbent: list[tuple[int, ...]] | None = None
-        most, nodes = len(best), 0
-
-        def descend(done: list[tuple[int, ...]]) -> None:
-            nonlocal incumbent, most, nodes
-            stack = [(None, iter([None]))]
-            while stack:
-                undo, options = stack[-1]
-                chosen = next(options, "end")
-                if isinstance(chosen, str):
-                    stack.pop()
-                    if undo is not None:
-                        for n in undo:
-                            count[n] += 1
-                        done.pop()
-                    continue
-                if chosen is not None:
-                    # Each option stands in its own frame, so that leaving it gives its pieces back.
-                    for n in chosen:
-                        count[n] -= 1
-                    done.append(chosen)
-                    stack.append((chosen, iter([None])))
-                    continue
-                left = np.flatnonzero(count)
-                if not len(left):
-                    if len(done) < most:
-                        incumbent, most = list(done), len(done)
-                    continue
-                waste = len(done) * capacity - (total - int((left * count[left]).sum()))
-                if waste > (most - 1) * capacity - total or len(done) + 1 >= most and len(left):
-                    continue
-                if incumbent is not None and (nodes > NODES or len(lengths) > SMALL):
-                    return
-                nodes += 1
+        done: list[tuple[int, ...]] = []
+        taken = [0]  # fillings tried so far for each open place; they are enumerated anew on the way back, not kept
+        waste = 0
+        while taken and most > bound and tries[0] > 0:
+            left = np.flatnonzero(count)
+            chosen = None
+            spare = (most - 1) * capacity - total - waste
+            if not len(left):
+                if len(done) < most:
+                    incumbent, most = list(done), len(done)
+            elif spare >= 0 and len(done) + 1 < most:
                 large = int(left[-1])
                 count[large] -= 1
-                fillings = _fillings(count, capacity - large)
+                chosen = next(islice(_options(count, capacity - large, spare, tries), taken[-1], None), None)
                 count[large] += 1
-                if len(lengths) > SMALL:
-                    fillings = fillings[:1]
-                elif nodes > NODES:
-                    return
-                undo, _ = stack.pop()
-                stack.append((undo, iter([(large, *f) for f in fillings])))
-
-        descend([])
+                tries[0] -= 1
+            if chosen is not None:
+                chosen = (large, *chosen)
+                taken[-1] += 1
+                taken.append(0)
+                done.append(chosen)
+                np.subtract.at(count, list(chosen), 1)
+                waste += capacity - sum(chosen)
+                continue
+            taken.pop()
+            if done:
+                chosen = done.pop()
+                np.add.at(count, list(chosen), 1)
+                waste -= capacity - sum(chosen)
         if incumbent is not None:
             by: dict[int, list[int]] = {}
             for k, n in enumerate(lengths.tolist()):
