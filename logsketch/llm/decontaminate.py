@@ -1,9 +1,9 @@
 """Benchmark passages in documents, re-parameterised ones included.
 
 Texts become templates: numbers, names and units give way to typed placeholders. Windows of a few template words of
-every benchmark item are looked up for every document by hash. Windows that line up are joined to a stretch, and the
-stretch counts only if what fills the placeholders is consistent: one value of the item always stands for one value
-of the document, and two for two.
+every benchmark item are looked up for every document by hash. Windows that line up are joined to a stretch, and
+of the stretch counts the longest part in which what fills the placeholders is consistent: one value of the item always
+stands for one value of the document, and two for two.
 """
 
 from __future__ import annotations
@@ -169,8 +169,10 @@ class Items:
                     a -= 1
                 while b < len(t.shape) and b + shift < len(shape) and shape[b + shift] == t.shape[b]:
                     b += 1
-                if b - a >= enough and consistent(t.shape[a:b], t.value[a:b], value[a + shift : b + shift]):
-                    out[k] = max(out.get(k, 0), int(b - a))
+                if b - a >= enough:
+                    n = longest(t.shape[a:b], t.value[a:b], value[a + shift : b + shift], np.array([p - a for p in places if a <= p < b]))
+                    if n >= enough:
+                        out[k] = max(out.get(k, 0), n)
         return out
 
     def found_short(self, shape: np.ndarray, value: np.ndarray) -> dict[int, int]:
@@ -200,6 +202,39 @@ def consistent(shape: np.ndarray, ours: np.ndarray, theirs: np.ndarray) -> bool:
     return True
 
 
+def longest(shape: np.ndarray, ours: np.ndarray, theirs: np.ndarray, windows: np.ndarray) -> int:
+    """The length of the longest run of words in which the placeholders' values map one to one and one of the windows lies."""
+    windows = np.sort(windows)
+    forth: dict[tuple[int, int], list[int]] = {}  # value -> its partner in the run and how often
+    back: dict[tuple[int, int], list[int]] = {}
+    most = a = 0
+
+    def close(b: int) -> None:
+        nonlocal most
+        k = int(np.searchsorted(windows, a))
+        if b - a > most and k < len(windows) and windows[k] + WINDOW <= b:
+            most = b - a
+
+    kinds, ours, theirs = shape.tolist(), ours.tolist(), theirs.tolist()
+    for b, kind in enumerate(kinds):
+        if kind > UNIT:
+            continue
+        x, y = (kind, ours[b]), (kind, theirs[b])
+        if forth.get(x, [theirs[b]])[0] != theirs[b] or back.get(y, [ours[b]])[0] != ours[b]:
+            close(b)
+            while forth.get(x, [theirs[b]])[0] != theirs[b] or back.get(y, [ours[b]])[0] != ours[b]:
+                if kinds[a] <= UNIT:
+                    for of, key in ((forth, (kinds[a], ours[a])), (back, (kinds[a], theirs[a]))):
+                        of[key][1] -= 1
+                        if not of[key][1]:
+                            del of[key]
+                a += 1
+        forth.setdefault(x, [theirs[b], 0])[1] += 1
+        back.setdefault(y, [ours[b], 0])[1] += 1
+    close(len(kinds))
+    return most
+
+
 def _lookup(shared):
     def run(batches):
         items = shared.value
