@@ -20,7 +20,8 @@ from .common import bounded_bytes, table
 from .sketch import count_sketch
 
 GRAMS = 1 << 16
-SHARE = 0.001  # of all declarations that a language needs to be known
+ROWS = 20  # declared rows that are enough for a model of a language, however many other rows there are
+SHARE = 0.001  # of all declarations: enough as well, where all rows are few
 TEMPER = 0.25  # neighbouring trigrams overlap, so their evidence counts for less
 WRONG = 0.05  # rate of wrong declarations
 PLAUSIBLE = 0.2  # of the trigrams of a text in some language
@@ -123,7 +124,9 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
     url: column of addresses whose host is used where `host` is None. A null in any of them is no evidence. Null text
     is empty: no letters, hence rejected, with the prior's language. Repeated rows and ties: equal rows get equal
     results; of equally believed languages the first by name. Without any declared language there is nothing to learn
-    from: language is null and nothing is accepted. Columns of docs keep their names; those with an added name are replaced.
+    from: language is null and nothing is accepted. Every language that ROWS rows declare has a model, or SHARE of the
+    declarations where these are fewer; a rarer one is the row's language, accepted with posterior 1 - WRONG, where the
+    row would be rejected otherwise and holds letters. Columns of docs keep their names; those with an added name are replaced.
     """
     spark = docs.sparkSession
     docs = docs.drop(*ADDED, *_OWN)
@@ -134,7 +137,7 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
     if languages is None:
         per = rows.where("_said is not null").groupBy("_said").count().collect() if declared else []  # one row for each declared value
         total = sum(r["count"] for r in per)
-        languages = sorted(r["_said"] for r in per if r["count"] >= SHARE * total)
+        languages = sorted(r["_said"] for r in per if r["count"] >= min(ROWS, SHARE * total))
     if not languages:
         return docs.withColumn("language", F.lit(None).cast("string")).withColumn("posterior", F.lit(0.0)).withColumn("accepted", F.lit(False)).withColumn("text_language", F.lit(None).cast("string"))
     n = len(languages)
@@ -163,4 +166,8 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
     out = out.withColumn("language", F.element_at(names, F.array_position("_belief", F.col("_top")).cast("int")))
     out = out.withColumn("posterior", F.round(1 / F.aggregate(F.transform("_belief", lambda b: F.exp(b - F.col("_top"))), F.lit(0.0), lambda a, b: a + b), 9))
     accepted = (F.col("_letters") > 0) & (F.col("posterior") >= 0.5) & (F.col("_good") >= PLAUSIBLE * F.col("_grams"))
-    return out.select(*kept, "language", "posterior", accepted.alias("accepted"), F.element_at(names, F.col("_best") + 1).alias("text_language"))
+    # A declared language without a model of its own stands where no other is believed.
+    rare = F.col("_said").isNotNull() & ~declared_known & (F.col("_letters") > 0) & ~accepted
+    language = F.when(rare, F.col("_said")).otherwise(F.col("language")).alias("language")
+    posterior = F.when(rare, F.lit(1 - WRONG)).otherwise(F.col("posterior")).alias("posterior")
+    return out.select(*kept, language, posterior, (accepted | rare).alias("accepted"), F.element_at(names, F.col("_best") + 1).alias("text_language"))
