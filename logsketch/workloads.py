@@ -653,12 +653,12 @@ def _bench(spark, sf_dir, which: tuple[int, int], trials: int, cuts) -> DataFram
     return spark.createDataFrame(rows, "cut_day int, n_stmt long, n_skel long, phase int, mean_s double, sd_s double, trials int")
 
 
-def bench_phase_1_3(spark, sf_dir, trials: int = 1, cuts=(2, 30)):
-    """All eight cuts and ten trials by arguments; the registered query keeps to two."""
+def bench_phase_1_3(spark, sf_dir, trials: int = 10, cuts=CUTS):
+    """All eight cuts, ten trials each; fewer by arguments."""
     return _bench(spark, sf_dir, (1, 3), trials, cuts)
 
 
-def bench_phase_2_4(spark, sf_dir, trials: int = 1, cuts=(2, 30)):
+def bench_phase_2_4(spark, sf_dir, trials: int = 10, cuts=CUTS):
     return _bench(spark, sf_dir, (2, 4), trials, cuts)
 
 
