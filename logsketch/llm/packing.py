@@ -9,6 +9,7 @@ all cost is local; a group loses less than one sequence.
 
 from __future__ import annotations
 
+import json
 import zlib
 from itertools import islice
 
@@ -25,6 +26,8 @@ CAPACITY, END = 4096, 1
 GROUP = 8192  # pieces that are packed together, on average
 NODES, TRIES = 4000, 4  # fillings looked at in one group at most: so many, and so many for each piece; the incumbent stands after that
 KNOWN = 600_000  # words whose ids a worker keeps; others are encoded each time
+TOPS = (48, CAPACITY)  # ways of a first descent: from how many of the longest lengths the first of three pieces may come
+TABLE = 1 << 21  # places in the table of these words
 
 
 def tokenizer_path() -> str:
@@ -33,56 +36,141 @@ def tokenizer_path() -> str:
     return public_tokenizers.path("word_bpe_49k.json")
 
 
+# The pattern by which the tokenizer cuts text, on which the finer cut below rests.
+CLASSES = "'s|'t|'re|'ve|'m|'ll|'d|[\\p{L}]+|[\\p{N}]|[^\\s\\p{L}\\p{N}]+"
+_LETTER, _FIGURE, _OTHER, _HIGH = 1, 2, 3, 4
+_kind = np.full(256, _OTHER, np.uint8)
+_kind[K.SPACE] = 0
+_kind[0x30:0x3A] = _FIGURE
+_kind[0x41:0x5B] = _kind[0x61:0x7B] = _LETTER
+_kind[0x80:] = _HIGH
+_kind[0x1C:0x20] = 0  # white space to the tokenizer
+
+
 class Ids:
-    """A worker's memory of words and their ids. Words end at white space, so a word's ids do not depend on its neighbours."""
+    """A worker's memory of words and their ids, in arrays: an open table of hashes, and the ids of all words in a row.
+
+    Words end at white space, so a word's ids do not depend on its neighbours. Where the tokenizer folds case and cuts by
+    CLASSES, words end at ASCII letters' ends as well, at digits, and at letters that no apostrophe precedes.
+    """
 
     of: dict[str, Ids] = {}
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
-        self.model, self.at, self.begin, self.ids, self.used = Tokenizer.from_file(path), {}, np.zeros(1, np.int64), np.zeros(1 << 16, np.uint32), 0
-        self.begin = np.zeros(KNOWN + 1, np.int64)
-
-    def _encode(self, words: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.model.encode_batch_fast(words, add_special_tokens=False)]
-
-    def rows(self, data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
-        """The ids of each row of a block."""
-        starts, ends, h, first = K.words(data, offsets, K.EXACT)
-        uniq, where, inverse = np.unique(h, return_index=True, return_inverse=True)
+        self.model = Tokenizer.from_file(path)
+        with open(path, encoding="utf-8") as f:
+            config = json.load(f)
+        cut = ((config.get("pre_tokenizer") or {}).get("pretokenizers") or [{}])[0].get("pattern", {}).get("Regex")
+        folds = any(n.get("type") == "Lowercase" for n in (config.get("normalizer") or {}).get("normalizers", []))
+        self.fine = folds and cut == CLASSES and config["model"].get("end_of_word_suffix") == "</w>"
+        self.special = [t["content"].encode() for t in config.get("added_tokens", [])]
+        vocabulary = self.model.get_vocab(with_added_tokens=True)
+        self.last = np.zeros(max(vocabulary.values()) + 1, bool)  # whether an id ends a word
+        self.last[[v for k, v in vocabulary.items() if k.endswith("</w>")]] = True
+        self.keys, self.slot = np.zeros(TABLE, np.uint64), np.zeros(TABLE, np.int32)
+        self.begin, self.ids = np.zeros(KNOWN + 1, np.int64), np.zeros(1 << 20, np.uint32)
+        self.n = 0
+
+    def _find(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """For each hash (not zero) its place in the table, or the free place where it would go; and whether it is there."""
+        at = (h & np.uint64(TABLE - 1)).astype(np.int64)
+        there = self.keys[at]
+        todo = np.flatnonzero((there != h) & (there != 0))
+        while len(todo):
+            at[todo] = (at[todo] + 1) & (TABLE - 1)
+            there = self.keys[at[todo]]
+            todo = todo[(there != h[todo]) & (there != 0)]
+        return at, self.keys[at] == h
+
+    def _encode(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all words in a row, and how many each has."""
+        n = np.zeros(len(words), np.int64)
+        plain = np.array([self.fine and w.isalpha() and w.isascii() for w in words], bool)
+        together = np.flatnonzero(plain)
+        parts: list[np.ndarray] = [np.zeros(0, np.uint32)] * len(words)
+        flat = np.zeros(0, np.uint32)
+        if len(together):
+            # One call for all words of letters: each is one word to the tokenizer too, and its last id says so.
+            flat = np.array(self.model.encode(b" ".join(words[k] for k in together).decode(), add_special_tokens=False).ids, np.uint32)
+            ends = np.flatnonzero(self.last[flat]) + 1
+            n[together] = np.diff(ends, prepend=0)
+        if len(together) == len(words):
+            return flat, n
+        begins = np.cumsum(n) - n
+        others = np.flatnonzero(~plain)
+        for k, e in zip(others, self.model.encode_batch_fast([words[k].decode() for k in others], add_special_tokens=False), strict=True):
+            parts[k] = np.array(e.ids, np.uint32)
+            n[k] = len(parts[k])
+        total = np.cumsum(n) - n
+        out = np.zeros(int(n.sum()), np.uint32)
+        if len(flat):
+            out[np.repeat(total[together] - begins[together], n[together]) + np.arange(len(flat))] = flat
+        for k in others:
+            out[total[k] : total[k] + n[k]] = parts[k]
+        return out, n
+
+    def _words(self, data: np.ndarray, offsets: np.ndarray, raw: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        if not self.fine or any(s in raw for s in self.special):
+            starts, ends, h, first = K.words(data, offsets, K.EXACT)
+            return starts, ends, h ^ np.uint64(0x9E3779B97F4A7C15), first  # apart from the finer words, which are folded
+        kind = _kind[data]
+        inside = kind > 0
+        starts, ends = K.runs(inside, offsets)
+        if len(data) > 1:
+            a, b = kind[:-1], kind[1:]
+            cut = (a == _LETTER) & ((b == _OTHER) | (b == _FIGURE)) | (a == _FIGURE) & ((b == _LETTER) | (b == _OTHER) | (b == _FIGURE)) | (a == _OTHER) & ((b == _FIGURE) | (b == _LETTER) & (data[:-1] != 0x27))
+            more = np.flatnonzero(cut) + 1
+            edge = np.zeros(len(data) + 1, bool)
+            edge[more] = True
+            edge[offsets] = False
+            more = np.flatnonzero(edge)
+            if len(more):
+                starts, ends = np.sort(np.concatenate([starts, more])), np.sort(np.concatenate([ends, more]))
+        return starts, ends, K.hashes(data, starts, ends), np.searchsorted(starts, offsets)
+
+    def rows(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all rows of a block, and where each row's begin (one more than rows)."""
         raw = data.tobytes()
-        slot = np.array([self.at.get(x, -1) for x in uniq.tolist()], np.int64)
-        missing = np.flatnonzero(slot < 0)
-        fresh = self._encode([raw[starts[k] : ends[k]].decode() for k in where[missing]]) if len(missing) else []
-        keep = fresh[: max(0, KNOWN - len(self.at))]
-        if keep:
-            flat = np.fromiter((x for ids in keep for x in ids), np.uint32)
-            while self.used + len(flat) > len(self.ids):
-                self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
-            self.ids[self.used : self.used + len(flat)] = flat
-            n = len(self.at)
-            self.begin[n + 1 : n + 1 + len(keep)] = self.used + np.cumsum([len(x) for x in keep])
-            self.used += len(flat)
-            self.at.update(zip(uniq[missing[: len(keep)]].tolist(), range(n, n + len(keep)), strict=True))
-            slot[missing[: len(keep)]] = np.arange(n, n + len(keep))
-        rest = fresh[len(keep) :]
-        ids, begin = self.ids[: self.used], self.begin[:-1]
-        lengths = np.zeros(len(uniq), np.int64)
-        known = slot >= 0
-        lengths[known] = self.begin[slot[known] + 1] - begin[slot[known]]
-        source = np.zeros(len(uniq), np.int64)
-        source[known] = begin[slot[known]]
-        if rest:
-            more = np.array([len(x) for x in rest], np.int64)
-            lengths[~known] = more
-            source[~known] = len(ids) + np.cumsum(more) - more
-            ids = np.concatenate([ids, np.fromiter((x for r in rest for x in r), np.uint32)])
-        n = lengths[inverse]
+        starts, ends, h, first = self._words(data, offsets, raw)
+        h[h == 0] = 1
+        at, known = self._find(h)
+        source, n = np.zeros(len(h), np.int64), np.zeros(len(h), np.int64)
+        k = self.slot[at[known]]
+        source[known] = self.begin[k]
+        n[known] = self.begin[k + 1] - self.begin[k]
+        store = self.ids
+        missing = np.flatnonzero(~known)
+        if len(missing):
+            uniq, where, inverse = np.unique(h[missing], return_index=True, return_inverse=True)
+            where = missing[where]
+            flat, size = self._encode([raw[a:b] for a, b in zip(starts[where].tolist(), ends[where].tolist(), strict=True)])
+            begins = np.cumsum(size) - size
+            keep = min(len(uniq), KNOWN - self.n)
+            base = int(self.begin[self.n])
+            if keep:
+                used = int(size[:keep].sum())
+                while base + used > len(self.ids):
+                    self.ids = np.concatenate([self.ids, np.zeros_like(self.ids)])
+                self.ids[base : base + used] = flat[:used]
+                self.begin[self.n + 1 : self.n + keep + 1] = base + begins[:keep] + size[:keep]
+                self._keep(uniq[:keep], np.arange(self.n, self.n + keep, dtype=np.int32))
+                self.n += keep
+            # What is not kept is read from behind the store.
+            store = np.concatenate([self.ids, flat])
+            source[missing], n[missing] = len(self.ids) + begins[inverse], size[inverse]
         total = np.concatenate([[0], np.cumsum(n)])
-        out = ids[np.repeat(source[inverse] - total[:-1], n) + np.arange(total[-1])]
-        cut = total[first]
-        return [out[a:b] for a, b in zip(cut[:-1], cut[1:], strict=True)]
+        out = store[np.repeat(source - total[:-1], n) + np.arange(total[-1])]
+        return out, total[first]
+
+    def _keep(self, h: np.ndarray, slots: np.ndarray) -> None:
+        while len(h):
+            at, _ = self._find(h)
+            self.keys[at] = h  # of several that want one place the last gets it
+            mine = self.keys[at] == h
+            self.slot[at[mine]] = slots[mine]
+            h, slots = h[~mine], slots[~mine]
 
 
 def _pieces(path: str, capacity: int, end: int):
@@ -95,8 +183,9 @@ def _pieces(path: str, capacity: int, end: int):
             rows: list[tuple] = []
             at = []
             for first, data, offsets in K.blocks(batch.column("text")):
-                for k, tokens in enumerate(worker.rows(data, offsets)):
-                    tokens = np.append(tokens, np.uint32(end)).astype("<u4")
+                every, at_row = worker.rows(data, offsets)
+                for k, (i, j) in enumerate(zip(at_row[:-1].tolist(), at_row[1:].tolist(), strict=True)):
+                    tokens = np.append(every[i:j], np.uint32(end)).astype("<u4")
                     for p, a in enumerate(range(0, len(tokens), capacity)):
                         piece = tokens[a : a + capacity]
                         at.append(first + k)
@@ -216,50 +305,63 @@ def _fillings(count: np.ndarray, room: int, spare: int, tries: list[int]):
         sums ^= 1 << s
 
 
-def _quick(count: np.ndarray, room: int) -> tuple[int, ...]:
-    """A good filling by one, two or three pieces: few pieces leave the small ones for later."""
-    have = np.flatnonzero(count[: room + 1])
-    if not len(have):
+def _bits(lengths) -> int:
+    out = 0
+    for n in lengths:
+        out |= 1 << n
+    return out
+
+
+def _quick(count: np.ndarray, room: int, top: int) -> tuple[int, ...]:
+    """The best filling by at most three pieces, and the fewest of these; the first of three is one of the `top` longest, so that short ones stay for later."""
+    have = np.flatnonzero(count[: room + 1]).tolist()
+    if not have:
         return ()
-    below = np.zeros(room + 1, np.int64)  # the largest length up to here
-    below[have] = have
-    np.maximum.accumulate(below, out=below)
-    found = [(int(have[-1]),)]
-
-    def second(a: np.ndarray, left: np.ndarray) -> np.ndarray:
-        """The largest piece beside a (given once already) that fits in `left` and is no larger."""
-        b = below[np.minimum(a, left)]
-        same = (b == a) & (count[a] < 2)
-        b[same] = below[np.maximum(a[same] - 1, 0)]
-        return b
-
-    if found[0][0] < room:
-        b = second(have, room - have)
-        total = np.where(b > 0, have + b, 0)
-        k = len(total) - 1 - int(np.argmax(total[::-1]))
-        if total[k] > found[0][0]:
-            found.append((int(have[k]), int(b[k])))
-        if total[k] < room and len(have) > 1:
-            top = have[-48:]
-            x, y = np.meshgrid(top, have, indexing="ij")
-            x, y = x.ravel(), y.ravel()
-            ok = (y <= x) & (x + y < room) & ((x != y) | (count[x] > 1))
-            x, y = x[ok], y[ok]
-            if len(x):
-                left = room - x - y
-                z = below[np.minimum(y, left)]
-                short = count[z] < 1 + (z == y) + (z == x)
-                z[short] = 0
-                total = np.where(z > 0, x + y + z, 0)
-                k = int(np.argmax(total))
-                if total[k] > sum(found[-1]):
-                    found.append((int(x[k]), int(y[k]), int(z[k])))
-    return min(found, key=lambda f: (-sum(f), len(f)))
-
-
-def _options(count: np.ndarray, room: int, spare: int, tries: list[int]):
+    mask = _ones(room + 1)
+    one = _bits(have)
+    if have[-1] == room:
+        return (room,)
+    two = {n: ((one if count[n] > 1 else one & ~(1 << n)) << n) & mask for n in have}  # sums of pairs, by one of the two
+    pairs = 0
+    for bits in two.values():
+        pairs |= bits
+    best, found = have[-1], (have[-1],)
+    if pairs.bit_length() - 1 > best:
+        best = pairs.bit_length() - 1
+        n = next(n for n in reversed(have) if two[n] >> best & 1)
+        found = (n, best - n)
+    if best < room:
+        three = 0
+        for n in have[-top:]:
+            three |= pairs << n
+        sums = three & mask & ~_ones(best + 1)
+        while sums:
+            s = sums.bit_length() - 1
+            for x in reversed(have[-top:]):
+                if x <= s and pairs >> s - x & 1:
+                    for y in reversed(have):
+                        z = s - x - y
+                        if y <= x and 0 < z <= y and one >> z & 1 and count[x] >= 1 + (x == y) + (x == z) and count[y] >= 1 + (y == x) + (y == z) and count[z] >= 1 + (z == x) + (z == y):
+                            return (x, y, z)
+            sums ^= 1 << s
+    return found
+
+
+def _greedy(lengths: np.ndarray, capacity: int, top: int) -> list[tuple[int, ...]]:
+    """One quick filling after the other, without a way back."""
+    count = np.bincount(lengths, minlength=capacity + 1)
+    out = []
+    for large in range(capacity, 0, -1):
+        while count[large]:
+            count[large] -= 1
+            out.append((large, *_quick(count, capacity - large, top)))
+            np.subtract.at(count, list(out[-1][1:]), 1)
+    return out
+
+
+def _options(count: np.ndarray, room: int, spare: int, tries: list[int], top: int):
     """The quick filling, then all others that are not dominated."""
-    first = _quick(count, room)
+    first = _quick(count, room, top)
     yield first
     first = tuple(sorted(first))
     yield from (f for f in _fillings(count, room, spare, tries) if tuple(sorted(f)) != first)
@@ -276,6 +378,14 @@ def complete(lengths: np.ndarray, capacity: int = CAPACITY) -> list[list[int]]:
         count = np.bincount(lengths, minlength=capacity + 1)
         most, tries = len(best), [NODES + TRIES * len(lengths)]
         incumbent: list[tuple[int, ...]] | None = None
+        top, fewest = TOPS[0], len(lengths) + 1
+        for way in TOPS:
+            if fewest > bound:
+                found = _greedy(lengths, capacity, way)
+                if len(found) < fewest:
+                    top, fewest = way, len(found)
+                if len(found) < most:
+                    incumbent, most = found, len(found)
         done: list[tuple[int, ...]] = []
         taken = [0]  # fillings tried so far for each open place; they are enumerated anew on the way back, not kept
         waste = 0
@@ -289,7 +399,7 @@ def complete(lengths: np.ndarray, capacity: int = CAPACITY) -> list[list[int]]:
             elif spare >= 0 and len(done) + 1 < most:
                 large = int(left[-1])
                 count[large] -= 1
-                chosen = next(islice(_options(count, capacity - large, spare, tries), taken[-1], None), None)
+                chosen = next(islice(_options(count, capacity - large, spare, tries, top), taken[-1], None), None)
                 count[large] += 1
                 tries[0] -= 1
             if chosen is not None:
@@ -331,7 +441,8 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end
     """docs (doc_id, text) -> doc_id, piece, start, length, ids_crc32, sequence_id, offset.
 
     Null and empty texts are one id, the end. Repeated rows are packed as often as they are given; a null doc_id is
-    kept. No rows: no rows. Other columns are not read.
+    kept. No rows: no rows. Other columns are not read. Which pieces are packed together also depends on how the input
+    is split into tasks, so that rows repeated any number of times still spread over all groups.
     """
     pieces = table(token_pieces(docs, path, capacity, end), "pieces")
     parts = max(1, round(pieces.count() / GROUP))
