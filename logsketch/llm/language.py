@@ -14,6 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import textkernel as K
 from .common import bounded_bytes, table
@@ -29,7 +30,6 @@ WEIGHT = 20.0  # rows that a level's prior weighs at the level below
 SMOOTH = 0.5
 PRIORS_BYTES = 32 << 20
 ADDED = ("language", "posterior", "accepted", "text_language")
-_OWN = ("_text", "_said", "_host", "_where", "_grams", "_good", "_letters", "_ll", "_best", "_prior", "_known", "_belief", "_top")
 _fold = K._fold.astype(np.uint32)
 _LETTER = np.zeros(256, bool)
 _LETTER[0x41:0x5B] = _LETTER[0x61:0x7B] = _LETTER[0x80:] = True
@@ -101,7 +101,7 @@ def host_priors(rows: DataFrame, languages: list[str]) -> DataFrame:
     counts = F.array(*(F.sum(F.when(F.col("_best") == k, 1.0).otherwise(0.0)) for k in range(n)))
     host, domain, suffix = _levels(F.col("_host"))
     per = rows.where("_host is not null").groupBy("_host").agg(counts.alias("_c"))
-    per = per.withColumn("_domain", domain).withColumn("_suffix", suffix)
+    per = table(per.withColumn("_domain", domain).withColumn("_suffix", suffix), "host-counts")
 
     def total(level: str) -> DataFrame:
         sums = F.array(*(F.sum(F.col("_c")[k]) for k in range(n)))
@@ -126,37 +126,38 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
     results; of equally believed languages the first by name. Without any declared language there is nothing to learn
     from: language is null and nothing is accepted. Every language that ROWS rows declare has a model, or SHARE of the
     declarations where these are fewer; a rarer one is the row's language, accepted with posterior 1 - WRONG, where the
-    row would be rejected otherwise and holds letters. Columns of docs keep their names; those with an added name are replaced.
+    row would be rejected otherwise and holds letters. Columns of docs keep their names, whatever these are; only those
+    with an added name are replaced.
     """
     spark = docs.sparkSession
-    docs = docs.drop(*ADDED, *_OWN)
-    columns = docs.columns
+    docs = docs.drop(*ADDED)
+    kept = [c for c in docs.columns if keep_text or c != text]
     said = F.lower(F.split(F.col(declared).cast("string"), "[-_]")[0]) if declared else F.lit(None).cast("string")
     where = F.lower(F.col(host).cast("string")) if host else F.lower(F.regexp_extract(F.col(url).cast("string"), r"://([^/?#]*)", 1)) if url else F.lit(None).cast("string")
-    rows = docs.select("*", F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text"), said.alias("_said"), where.alias("_host"))
+    # The columns of docs go along as one, so that no name of theirs can clash.
+    own = F.struct(*(F.col(f"`{c}`") for c in kept)) if kept else F.struct(F.lit(None).cast("int").alias("none"))
+    rows = docs.select(own.alias("_row"), F.coalesce(F.col(text).cast("string"), F.lit("")).alias("_text"), said.alias("_said"), where.alias("_host"))
     if languages is None:
-        per = rows.where("_said is not null").groupBy("_said").count().collect() if declared else []  # one row for each declared value
-        total = sum(r["count"] for r in per)
-        languages = sorted(r["_said"] for r in per if r["count"] >= min(ROWS, SHARE * total))
+        per = table(rows.where("_said is not null").groupBy("_said").count(), "declared") if declared else None
+        total = per.agg(F.sum("count")).first()[0] or 0 if declared else 0
+        languages = sorted(r["_said"] for r in per.where(F.col("count") >= min(ROWS, SHARE * total)).select("_said").collect()) if declared else []  # one row for each modelled language
     if not languages:
-        return docs.withColumn("language", F.lit(None).cast("string")).withColumn("posterior", F.lit(0.0)).withColumn("accepted", F.lit(False)).withColumn("text_language", F.lit(None).cast("string"))
+        return docs.select(*(F.col(f"`{c}`") for c in kept)).withColumn("language", F.lit(None).cast("string")).withColumn("posterior", F.lit(0.0)).withColumn("accepted", F.lit(False)).withColumn("text_language", F.lit(None).cast("string"))
     n = len(languages)
     cells = 1 << (n * GRAMS - 1).bit_length()
     counts = count_sketch(rows.select("_text", "_said"), cells, _keys(languages))[: n * GRAMS].reshape(n, GRAMS)
-    logs = spark.sparkContext.broadcast(np.log((counts + SMOOTH) / (counts.sum(axis=1, keepdims=True) + SMOOTH * GRAMS)))
+    shared = spark.sparkContext.broadcast(np.log((counts + SMOOTH) / (counts.sum(axis=1, keepdims=True) + SMOOTH * GRAMS)))
 
     best = F.expr("array_position(_ll, array_max(_ll)) - 1").cast("int")
 
-    def scored(some: DataFrame) -> DataFrame:
-        schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in some.schema if f.name != "_text") + ", _grams long, _good long, _letters long, _ll array<double>"
-        return some.mapInArrow(_likelihoods(logs, n), schema).withColumn("_best", F.when(F.col("_grams") > 0, best))
-
-    priors = table(host_priors(scored(rows.select("_text", "_host")), languages), "hosts")
+    schema = T.StructType([f for f in rows.schema if f.name != "_text"] + [T.StructField(x, T.LongType()) for x in ("_grams", "_good", "_letters")] + [T.StructField("_ll", T.ArrayType(T.DoubleType()))])
+    # Texts are scored once; all that follows reads the scores from a table.
+    scored = table(rows.mapInArrow(_likelihoods(shared, n), schema).withColumn("_best", F.when(F.col("_grams") > 0, best)), "scored")
+    shared.destroy()
+    priors = table(host_priors(scored.select("_best", "_host"), languages), "hosts")
     if bounded_bytes(priors, PRIORS_BYTES):
         priors = F.broadcast(priors)
-    kept = [c for c in columns if keep_text or c != text]
-    out = scored(rows.select(*kept, "_text", "_said", "_host")).withColumnRenamed("_host", "_where")
-    out = out.join(priors, F.col("_where") == F.col("_host"), "left")
+    out = scored.withColumnRenamed("_host", "_where").join(priors, F.col("_where") == F.col("_host"), "left")
     names = F.array(*map(F.lit, languages))
     prior = F.coalesce("_prior", F.array(*[F.lit(1.0 / n)] * n))
     declared_known = F.array_contains(names, F.col("_said"))
@@ -170,4 +171,4 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
     rare = F.col("_said").isNotNull() & ~declared_known & (F.col("_letters") > 0) & ~accepted
     language = F.when(rare, F.col("_said")).otherwise(F.col("language")).alias("language")
     posterior = F.when(rare, F.lit(1 - WRONG)).otherwise(F.col("posterior")).alias("posterior")
-    return out.select(*kept, language, posterior, (accepted | rare).alias("accepted"), F.element_at(names, F.col("_best") + 1).alias("text_language"))
+    return out.select(*(F.col(f"_row.`{c}`").alias(c) for c in kept), language, posterior, (accepted | rare).alias("accepted"), F.element_at(names, F.col("_best") + 1).alias("text_language"))

@@ -25,14 +25,17 @@ _powers: list[np.ndarray] = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
 
 
 def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """The base's powers and those of its inverse, at least n of them."""
-    if len(_powers[0]) < n:
-        n = max(n, 2 * BLOCK)
-        for k, base in enumerate((_BASE, pow(_BASE, -1, 1 << 64))):
-            steps = np.full(n, base, np.uint64)
-            steps[0] = 1
-            _powers[k] = np.multiply.accumulate(steps)
-    return _powers[0], _powers[1]
+    """The base's powers and those of its inverse, at least n of them; only as many as blocks need are kept."""
+    if len(_powers[0]) >= n:
+        return _powers[0], _powers[1]
+    size, out = max(n, 2 * BLOCK + 1), []
+    for base in (_BASE, pow(_BASE, -1, 1 << 64)):
+        steps = np.full(size, base, np.uint64)
+        steps[0] = 1
+        out.append(np.multiply.accumulate(steps))
+    if size == 2 * BLOCK + 1:
+        _powers[:] = out
+    return out[0], out[1]
 
 
 def mix(h: np.ndarray) -> np.ndarray:
@@ -80,7 +83,19 @@ def runs(inside: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 def hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, codes: np.ndarray = FOLDED) -> np.ndarray:
-    """A 64-bit hash of each span; FOLDED takes A-Z for a-z."""
+    """A 64-bit hash of each span; FOLDED takes A-Z for a-z. Spans are in order; long blocks are taken in parts."""
+    if len(data) > 2 * BLOCK:
+        out, k = np.zeros(len(starts), np.uint64), 0
+        while k < len(starts):
+            end = max(k + 1, int(np.searchsorted(ends, starts[k] + 2 * BLOCK, side="right")))
+            base = starts[k]
+            out[k:end] = _hashes(data[base : ends[end - 1]], starts[k:end] - base, ends[k:end] - base, codes)
+            k = end
+        return out
+    return _hashes(data, starts, ends, codes)
+
+
+def _hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, codes: np.ndarray) -> np.ndarray:
     up, down = powers(len(data) + 1)
     total = np.zeros(len(data) + 1, np.uint64)
     part = codes[data]
@@ -112,6 +127,6 @@ def shingles(h: np.ndarray, n: int) -> np.ndarray:
 
 def whole(h: np.ndarray) -> np.uint64:
     """One hash of a whole sequence, apart from all shingles by its length."""
-    up, _ = powers(len(h) + 1)
+    up, _ = powers(len(h))
     n = np.array([len(h)], np.uint64) * np.uint64(0xA0761D6478BD642F)
     return mix((h * up[: len(h)]).sum(dtype=np.uint64, keepdims=True) + n)[0]
