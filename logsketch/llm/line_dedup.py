@@ -1,7 +1,7 @@
 """Near-duplicate lines by an exact set-similarity join over all lines of all documents.
 
-A line is the set of its words. Words are ordered by rarity (counts over all lines, in a table of fixed size; any
-one order gives the same result, a rarer front only fewer candidates). Two lines at the threshold must share a word
+A line is the set of its words. Words are ordered by rarity (counts over all lines, in a table of fixed size; any one
+order gives the same result, a rarer front only fewer candidates). Two lines at the threshold must share a word
 among the first few of both (prefix filter), at places from which the overlap can still be reached (positional
 filter), and have sizes near each other (length filter). Candidates that also pass a parity test on 128 bits are
 compared word by word. A line goes when an earlier line (by doc_id, then number) is similar enough.
@@ -14,17 +14,21 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import textkernel as K
-from .common import sweep, table
-from .sketch import count_sketch
+from .common import release, sweep, table
+from .sketch import FAN_IN, add_keys, marks, sliced, summed
 
 NUMERATOR = 80  # per cent of the union
 CELLS = 1 << 18
 HEAVY = 4096  # a set of words that makes up more than 1/HEAVY of all lines is known to every task; there are fewer than HEAVY
 FIRST = 4  # candidates kept for a line and word; lines that have more and stay unresolved meet all of theirs in the end
+STEPS = 4096  # earlier lines of its word that a line meets at first; if more are left, it meets them in the end too
+PART = 4096  # lines of a word's list that meet another part in one task in the end
 SEEN = 1 << 22
 _NEWLINE = np.zeros(256, bool)
 _NEWLINE[0x0A] = True
@@ -61,11 +65,22 @@ def _digests(at: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _lines(batches):
+    """Every line's digests and, at the end of a task, how often its words' cells occurred, in slices."""
+    counts = np.zeros(CELLS, np.uint32)
     for batch in batches:
         ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
         for row, number, at, _, h in _line_sets(batch.column("text"), None):
+            add_keys(counts, h)
             one, two = _digests(at, h)
-            yield pa.RecordBatch.from_arrays([pa.array(ids[row]), pa.array(number.astype(np.int32)), pa.array(one), pa.array(two)], names=["doc_id", "line", "d1", "d2"])
+            n = len(row)
+            yield _rows(pa.array(ids[row], pa.int64()), pa.array(number.astype(np.int32)), pa.array(one), pa.array(two), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()))
+    found = sliced(counts)
+    n = len(found)
+    yield _rows(pa.nulls(n, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.array([k for k, _ in found], pa.int32()), pa.array([TaskContext.get().partitionId() // FAN_IN] * n, pa.int32()), pa.array([x for _, x in found], pa.binary()))
+
+
+def _rows(*columns: pa.Array) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays(list(columns), names=["doc_id", "line", "d1", "d2", "slice", "part", "counts"])
 
 
 def _place(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
@@ -127,41 +142,95 @@ def _packed(pending, buckets: int):
     yield pa.RecordBatch.from_arrays([pa.array(bucket[at])] + [pa.array(b, pa.binary()) for b in blobs], names=["bucket", *(f"c{k}" for k in range(len(_KINDS)))])
 
 
-def _candidates(numerator: int, first: int | None, open_=None):
-    """In one bucket: pairs (later line, earlier line) that pass all filters, for each later line the first few, or all for the lines still open."""
+def _similar(of: tuple[np.ndarray, ...], x: np.ndarray, to: tuple[np.ndarray, ...], y: np.ndarray, numerator: int) -> np.ndarray:
+    """Which of the pairs of postings (x of one list, y of another) pass the length, positional and parity filters."""
+    n, m = of[3][x].astype(np.int64), to[3][y].astype(np.int64)
+    need = _need(n, m, numerator)
+    ok = (of[7][x] != to[7][y]) & (np.minimum(n - of[4][x], m - to[4][y]) >= need) & (100 * np.minimum(n, m) >= numerator * np.maximum(n, m))
+    i, j = x[ok], y[ok]
+    differ = np.bitwise_count(of[5][i] ^ to[5][j]).astype(np.int64) + np.bitwise_count(of[6][i] ^ to[6][j])
+    ok[ok] = differ <= (n + m - 2 * need)[ok]
+    return ok
+
+
+def _candidates(numerator: int):
+    """In one bucket, by kind of row: PAIR, the first candidates (later line, earlier line) of each line and word; OPEN, a
+    line that may have more; LIST, a part of the list of a word in which such a line stands."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
-        word, doc, line, n, place, one, two, digest = (np.concatenate([np.frombuffer(x, kind) for x in rows[f"c{k}"]]) for k, kind in enumerate(_KINDS))
-        order = np.lexsort((line, doc, word))
-        word, doc, line, n, place, one, two, digest = (x[order] for x in (word, doc, line, n, place, one, two, digest))
+        bucket = int(rows["bucket"].iloc[0])
+        own = tuple(np.concatenate([np.frombuffer(x, kind) for x in rows[f"c{k}"]]) for k, kind in enumerate(_KINDS))
+        order = np.lexsort((own[2], own[1], own[0]))
+        own = tuple(x[order] for x in own)
+        word, doc, line = own[:3]
         begin = np.flatnonzero(np.diff(word.astype(np.int64), prepend=-1))
-        end = np.repeat(np.append(begin[1:], len(word)), np.diff(np.append(begin, len(word))))
-        start = np.repeat(begin, np.diff(np.append(begin, len(word))))
+        sizes = np.diff(np.append(begin, len(word)))
+        start = np.repeat(begin, sizes)
         here = np.arange(len(word))
-        alive = here > start
-        if open_ is not None:
-            alive &= open_.value[(_place(doc, line) & np.uint64(SEEN - 1)).astype(np.int64)] > 0
         got = np.zeros(len(word), np.int32)
         out = []
-        del end
         # Step k compares each line with the k-th line of its word's list, from the earliest on.
-        x, step = np.flatnonzero(alive), 0
+        x, step = np.flatnonzero(here > start), 0
+        more = np.zeros(len(word), bool)
         while len(x):
             y = start[x] + step
-            need = _need(n[x].astype(np.int64), n[y].astype(np.int64), numerator)
-            room = 1 + np.minimum(n[x] - place[x], n[y] - place[y]) - 1
-            ok = (digest[x] != digest[y]) & (room >= need) & (100 * np.minimum(n[x], n[y]).astype(np.int64) >= numerator * np.maximum(n[x], n[y]))
-            i, j = x[ok], y[ok]
-            differ = np.bitwise_count(one[i] ^ one[j]).astype(np.int64) + np.bitwise_count(two[i] ^ two[j])
-            ok[ok] = differ <= (n[x] + n[y] - 2 * need)[ok]
-            at = np.flatnonzero(ok)
+            at = np.flatnonzero(_similar(own, x, own, y, numerator))
             if len(at):
-                out.append(np.stack([doc[x[at]], line[x[at]].astype(np.int64), doc[y[at]], line[y[at]].astype(np.int64), got[x[at]] + 1]))
                 got[x[at]] += 1
+                out.append(np.stack([doc[x[at]], line[x[at]].astype(np.int64), doc[y[at]], line[y[at]].astype(np.int64)]))
             step += 1
-            x = x[(start[x] + step < x) & ((got[x] < first) if first else True)]
-        pairs = np.concatenate(out, axis=1) if out else np.zeros((5, 0), np.int64)
-        return pd.DataFrame({"xd": pairs[0], "xl": pairs[1].astype(np.int32), "yd": pairs[2], "yl": pairs[3].astype(np.int32), "nth": pairs[4].astype(np.int32)})
+            x = x[start[x] + step < x]
+            done = got[x] >= FIRST if step < STEPS else np.ones(len(x), bool)
+            more[x[done]] = True
+            x = x[~done]
+        pairs = np.concatenate(out, axis=1) if out else np.zeros((4, 0), np.int64)
+        open_ = np.flatnonzero(more)
+        lists = []
+        for k in np.unique(np.searchsorted(begin, open_, side="right") - 1).tolist():
+            for p, a in enumerate(range(begin[k], begin[k] + sizes[k], PART)):
+                b = min(a + PART, begin[k] + sizes[k])
+                lists.append(((bucket << 32) + int(word[a]), p, b"".join(c[a:b].tobytes() for c in own)))
+        n, m, q = pairs.shape[1], len(open_), len(lists)
+        return pd.DataFrame(
+            {
+                "kind": np.repeat(np.array([PAIR, OPEN, LIST], np.int32), [n, m, q]),
+                "xd": np.concatenate([pairs[0], doc[open_], np.array([w for w, _, _ in lists], np.int64)]),
+                "xl": np.concatenate([pairs[1], line[open_], np.array([p for _, p, _ in lists], np.int64)]).astype(np.int32),
+                "yd": np.concatenate([pairs[2], np.zeros(m + q, np.int64)]),
+                "yl": np.concatenate([pairs[3], np.zeros(m + q, np.int64)]).astype(np.int32),
+                "list": [None] * (n + m) + [x for _, _, x in lists],
+            }
+        )
+
+    return run
+
+
+PAIR, OPEN, LIST = 0, 1, 2
+_WIDTH = sum(np.dtype(k).itemsize for k in _KINDS)
+
+
+def _unpacked(blob: bytes) -> tuple[np.ndarray, ...]:
+    n, at, out = len(blob) // _WIDTH, 0, []
+    for kind in _KINDS:
+        out.append(np.frombuffer(blob, kind, n, at))
+        at += n * np.dtype(kind).itemsize
+    return tuple(out)
+
+
+def _remaining(numerator: int, open_):
+    """Two parts of one word's list -> all candidates of the lines that are still open, the later line first."""
+
+    def run(batches):
+        for batch in batches:
+            for p, q, one, two in zip(batch.column("p").to_pylist(), batch.column("q").to_pylist(), batch.column("one"), batch.column("two"), strict=True):
+                of, to = _unpacked(one.as_py()), _unpacked(two.as_py())
+                out = [np.zeros((4, 0), np.int64)]
+                for x in np.flatnonzero(open_.value[(_place(of[1], of[2]) & np.uint64(SEEN - 1)).astype(np.int64)]).tolist():
+                    y = np.arange(x if p == q else len(to[0]))
+                    y = y[_similar(of, np.full(len(y), x), to, y, numerator)]
+                    out.append(np.stack([np.full(len(y), of[1][x]), np.full(len(y), of[2][x], np.int64), to[1][y], to[2][y].astype(np.int64)]))
+                found = np.concatenate(out, axis=1)
+                yield pa.RecordBatch.from_arrays([pa.array(found[0]), pa.array(found[1].astype(np.int32)), pa.array(found[2]), pa.array(found[3].astype(np.int32))], names=["xd", "xl", "yd", "yl"])
 
     return run
 
@@ -173,13 +242,13 @@ def _words_of(seen_docs, seen_lines):
         docs, lines = seen_docs.value, seen_lines.value
         for batch in batches:
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
-            some = np.flatnonzero(docs[(K.mix(ids.astype(np.int64).view(np.uint64)) & np.uint64(SEEN - 1)).astype(np.int64)] > 0)
+            some = np.flatnonzero(docs[(K.mix(ids.astype(np.int64).view(np.uint64)) & np.uint64(SEEN - 1)).astype(np.int64)])
             if not len(some):
                 continue
             batch = batch.take(pa.array(some))
             ids = ids[some]
             for row, number, at, _, h in _line_sets(batch.column("text"), None):
-                keep = np.flatnonzero(lines[(_place(ids[row], number) & np.uint64(SEEN - 1)).astype(np.int64)] > 0)
+                keep = np.flatnonzero(lines[(_place(ids[row], number) & np.uint64(SEEN - 1)).astype(np.int64)])
                 yield pa.RecordBatch.from_arrays(
                     [pa.array(ids[row][keep]), pa.array(number[keep].astype(np.int32)), pa.array([np.unique(h[at[k] : at[k + 1]] >> np.uint64(24)).astype(np.uint64).view(np.uint8).reshape(-1, 8)[:, :5].tobytes() for k in keep], pa.binary())], names=["doc_id", "line", "words"]
                 )
@@ -211,11 +280,6 @@ def _verify(numerator: int):
     return run
 
 
-def _word_keys(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
-    for _, data, offsets in K.blocks(batch.column("text")):
-        yield K.words(data, offsets)[2]
-
-
 def _doc_keys(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
     for c in ("xd", "yd"):
         yield K.mix(batch.column(c).to_numpy().view(np.uint64))
@@ -227,7 +291,7 @@ def _line_keys(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
 
 
 def _open_keys(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
-    yield _place(batch.column("doc_id").to_numpy(), batch.column("line").to_numpy())
+    yield _place(batch.column("xd").to_numpy(), batch.column("xl").to_numpy())
 
 
 def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
@@ -239,57 +303,76 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     """
     spark: SparkSession = docs.sparkSession
     docs = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    counts = count_sketch(docs.select("text"), CELLS, _word_keys)
+    passed = table(docs.mapInArrow(_lines, "doc_id long, line int, d1 long, d2 long, slice int, part int, counts binary"), "lines")
+    lines = passed.where("slice is null").select("doc_id", "line", "d1", "d2")
+    counts = summed(passed.where("slice is not null"), CELLS)
     rank = spark.sparkContext.broadcast(np.minimum((np.log2(counts.astype(np.float64) + 1) * 30).astype(np.uint64), np.uint64(1023)))
-
-    lines = table(docs.mapInArrow(_lines, "doc_id long, line int, d1 long, d2 long"), "lines")
     groups = lines.groupBy("d1", "d2").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n")).where("n > 1")
     groups = table(groups.select("d1", "d2", "first", "n"), "equal")
     equal = table(lines.join(groups, ["d1", "d2"]).where(F.struct("doc_id", "line") > F.col("first")).select("doc_id", "line"), "repeats")
     total = lines.count()
     hot = groups.where(F.col("n") > max(total / HEAVY, 16)).select("d1", "first.doc_id", "first.line").orderBy("d1").collect()  # fewer than HEAVY rows
     heavy = spark.sparkContext.broadcast(tuple(np.array([r[k] for r in hot], np.int64) for k in range(3)))
+    release(passed, groups)
 
     buckets = max(16, int(total / 40_000))
     packed = docs.mapInArrow(_postings(rank, heavy, buckets, numerator), "bucket int, " + ", ".join(f"c{k} binary" for k in range(len(_KINDS))))
-    pair_schema = "xd long, xl int, yd long, yl int, nth int"
-    line_of = ["xd", "xl"]
-
-    def candidates(first: int | None, open_=None) -> DataFrame:
-        """Pairs of lines, how many words name them, and whether one of these words had more."""
-        found = packed.groupBy("bucket").applyInPandas(_candidates(numerator, first, open_), pair_schema)
-        found = table(found.groupBy("xd", "xl", "yd", "yl").agg(F.count("*").alias("votes"), F.max(F.col("nth") >= (first or 1 << 30)).alias("more")), "pairs")
-        sweep(spark)
-        return found
+    found = table(packed.groupBy("bucket").applyInPandas(_candidates(numerator), "kind int, xd long, xl int, yd long, yl int, list binary"), "candidates")
+    sweep(spark)
+    for b in (rank, heavy):
+        b.destroy()
+    line_of, pair = ["xd", "xl"], ["xd", "xl", "yd", "yl"]
 
     def confirmed(pairs: DataFrame) -> DataFrame:
-        seen_docs = spark.sparkContext.broadcast(count_sketch(pairs.select("xd", "yd"), SEEN, _doc_keys) > 0)
-        seen_lines = spark.sparkContext.broadcast(count_sketch(pairs.select("xd", "xl", "yd", "yl"), SEEN, _line_keys) > 0)
-        words = table(docs.mapInArrow(_words_of(seen_docs, seen_lines), "doc_id long, line int, words binary"), "words").dropDuplicates(["doc_id", "line"])
-        both = pairs.select("xd", "xl", "yd", "yl").join(words.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"), F.col("words").alias("xw")), line_of)
-        both = both.join(words.select(F.col("doc_id").alias("yd"), F.col("line").alias("yl"), F.col("words").alias("yw")), ["yd", "yl"])
-        found = table(both.select("xd", "xl", "xw", "yw").mapInArrow(_verify(numerator), "doc_id long, line int").distinct(), "similar")
+        seen_docs, seen_lines = (spark.sparkContext.broadcast(marks(pairs.select(*columns), SEEN, keys)) for columns, keys in ((("xd", "yd"), _doc_keys), (pair, _line_keys)))
+        words = table(docs.mapInArrow(_words_of(seen_docs, seen_lines), "doc_id long, line int, words binary"), "words")
+        for b in (seen_docs, seen_lines):
+            b.destroy()
+        once = words.dropDuplicates(["doc_id", "line"])
+        both = pairs.select(*pair).join(once.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"), F.col("words").alias("xw")), line_of)
+        both = both.join(once.select(F.col("doc_id").alias("yd"), F.col("line").alias("yl"), F.col("words").alias("yw")), ["yd", "yl"])
+        out = table(both.select("xd", "xl", "xw", "yw").mapInArrow(_verify(numerator), "doc_id long, line int").distinct(), "similar")
+        release(words)
         sweep(spark)
-        return found
+        return out
 
     settled = equal.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"))
-    pairs = table(candidates(FIRST).join(settled, line_of, "left_anti"), "open-pairs")
-    found = confirmed(pairs)
-    unresolved = pairs.where("more").select(F.col("xd").alias("doc_id"), F.col("xl").alias("line")).distinct().join(found, ["doc_id", "line"], "left_anti")
+    pairs = table(found.where(F.col("kind") == PAIR).select(*pair).distinct().join(settled, line_of, "left_anti"), "pairs")
+    similar = confirmed(pairs)
+    unresolved = found.where(F.col("kind") == OPEN).select("xd", "xl").distinct().join(settled, line_of, "left_anti").join(similar.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl")), line_of, "left_anti")
     unresolved = table(unresolved, "open")
     if unresolved.limit(1).count():
-        rest = candidates(None, spark.sparkContext.broadcast(count_sketch(unresolved, SEEN, _open_keys) > 0))
-        rest = rest.join(unresolved.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl")), line_of, "left_semi").join(pairs, ["xd", "xl", "yd", "yl"], "left_anti")
-        found = found.unionByName(confirmed(table(rest, "rest")))
-    return table(found.unionByName(equal).distinct(), "removed")
+        open_ = spark.sparkContext.broadcast(marks(unresolved, SEEN, _open_keys))
+        lists = found.where(F.col("kind") == LIST)
+        one = lists.select(F.col("xd").alias("word"), F.col("xl").alias("p"), F.col("list").alias("one"))
+        two = lists.select(F.col("xd").alias("word"), F.col("xl").alias("q"), F.col("list").alias("two"))
+        rest = one.join(two, "word").where("q <= p").select("p", "q", "one", "two").mapInArrow(_remaining(numerator, open_), "xd long, xl int, yd long, yl int")
+        rest = table(rest.distinct().join(unresolved, line_of, "left_semi").join(pairs, pair, "left_anti"), "rest")
+        similar = similar.unionByName(confirmed(rest))
+    return table(similar.unionByName(equal).distinct(), "removed")
+
+
+@F.pandas_udf(T.StringType())
+def _without(text: pd.Series, gone: pd.Series) -> pd.Series:
+    out = []
+    for t, g in zip(text, gone, strict=True):
+        if t is not None and g is not None:
+            drop = set(g.tolist())
+            t = "\n".join(x for k, x in enumerate(t.split("\n")) if k not in drop)
+        out.append(t)
+    return pd.Series(out, dtype=object)
 
 
 def without_lines(docs: DataFrame, removed: DataFrame) -> DataFrame:
-    """docs with `removed` lines cut from text; adds n_lines, n_removed. Lines stay apart by \\n; null text stays null."""
-    docs = docs.drop("_doc", "_gone", "n_lines", "n_removed")
+    """docs with `removed` lines cut from text; adds n_lines, n_removed, in place of columns of these names. Lines stay apart by \\n; null text stays null."""
+    columns = [c for c in docs.columns if c not in ("n_lines", "n_removed")]
+    own = docs.select(F.struct(*(F.col(f"`{c}`") for c in columns)).alias("_row"), F.col("doc_id").alias("_id"))
     per_doc = removed.groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
-    out = docs.join(per_doc, docs.doc_id == F.col("_doc"), "left").drop("_doc")
-    parts = F.split("text", "\n", -1)
-    kept = F.filter(F.transform(parts, lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda s: ~F.array_contains("_gone", s["i"]))
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(F.transform(kept, lambda s: s["x"]), "\n"))
-    return out.withColumn("n_lines", F.when(F.col("text").isNull(), 0).otherwise(F.size(parts))).withColumn("text", text).withColumn("n_removed", F.when(F.col("_gone").isNull(), 0).otherwise(F.size("_gone"))).drop("_gone")
+    out = own.join(per_doc, F.col("_id") == F.col("_doc"), "left")
+    text = F.col("_row.text")
+    # Only texts that lose a line go to Python.
+    cut = _without(F.when(F.col("_gone").isNotNull(), text), F.col("_gone"))
+    out = out.select("_row", "_gone", cut.alias("_cut"))
+    n_lines = F.when(text.isNull(), 0).otherwise(F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1)
+    kept = [(F.when(F.col("_gone").isNull(), text).otherwise(F.col("_cut")) if c == "text" else F.col(f"_row.`{c}`")).alias(c) for c in columns]
+    return out.select(*kept, n_lines.cast("int").alias("n_lines"), F.when(F.col("_gone").isNull(), 0).otherwise(F.size("_gone")).alias("n_removed"))

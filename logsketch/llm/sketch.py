@@ -1,4 +1,4 @@
-"""A table of counters of fixed size, filled by every task and summed in blocks: what is broadcast does not grow with the data."""
+"""Tables of fixed size that every task fills: counters, and marks of one bit. What is broadcast does not grow with the data."""
 
 from __future__ import annotations
 
@@ -9,8 +9,20 @@ import pandas as pd
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 SLICE = 1 << 14
+FAN_IN = 256  # tasks whose counters are added up in one step
+
+
+def sliced(counts: np.ndarray) -> list[tuple[int, bytes]]:
+    """The slices of a table of counters that are not all zero, with their numbers."""
+    parts = counts.reshape(-1, min(SLICE, len(counts)))
+    return [(int(k), parts[k].tobytes()) for k in np.flatnonzero(parts.any(axis=1))]
+
+
+def add_keys(counts: np.ndarray, h: np.ndarray) -> None:
+    counts += np.bincount((h & np.uint64(len(counts) - 1)).astype(np.int64), minlength=len(counts)).astype(np.uint32)
 
 
 def _fill(cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]):
@@ -18,12 +30,11 @@ def _fill(cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]):
         counts = np.zeros(cells, np.uint32)
         for batch in batches:
             for h in keys(batch):
-                counts += np.bincount((h & np.uint64(cells - 1)).astype(np.int64), minlength=cells).astype(np.uint32)
-        parts = counts.reshape(-1, min(SLICE, cells))
-        at = np.flatnonzero(parts.any(axis=1))
-        group = TaskContext.get().partitionId() % 64
+                add_keys(counts, h)
+        found = sliced(counts)
+        group = TaskContext.get().partitionId() // FAN_IN
         yield pa.RecordBatch.from_arrays(
-            [pa.array(at.astype(np.int32)), pa.array(np.full(len(at), group, np.int32)), pa.array([parts[k].tobytes() for k in at], pa.binary())], names=["slice", "part", "counts"]
+            [pa.array([k for k, _ in found], pa.int32()), pa.array(np.full(len(found), group, np.int32)), pa.array([x for _, x in found], pa.binary())], names=["slice", "part", "counts"]
         )
 
     return run
@@ -36,12 +47,38 @@ def _add(rows: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"slice": [rows["slice"].iloc[0]], "part": [np.int32(0)], "counts": [np.minimum(total, (1 << 32) - 1).astype(np.uint32).tobytes()]})
 
 
-def count_sketch(df: DataFrame, cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]) -> np.ndarray:
-    """Counts of 64-bit keys by their low bits: never less than a key's own count. cells is a power of two."""
+def summed(slices: DataFrame, cells: int) -> np.ndarray:
+    """Rows (slice, part, counts) of many tasks -> the counters."""
     schema = "slice int, part int, counts binary"
-    once = df.mapInArrow(_fill(cells, keys), schema).groupBy("slice", "part").applyInPandas(_add, schema)
+    once = slices.select("slice", "part", "counts").groupBy("slice", "part").applyInPandas(_add, schema)
     rows = once.groupBy("slice").applyInPandas(_add, schema).collect()  # cells * 4 bytes, whatever the input
     out = np.zeros(cells, np.uint32).reshape(-1, min(SLICE, cells))
     for r in rows:
         out[r["slice"]] = np.frombuffer(r["counts"], np.uint32)
     return out.ravel()
+
+
+def count_sketch(df: DataFrame, cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]) -> np.ndarray:
+    """Counts of 64-bit keys by their low bits: never less than a key's own count. cells is a power of two."""
+    return summed(df.mapInArrow(_fill(cells, keys), "slice int, part int, counts binary"), cells)
+
+
+def _mark(cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]):
+    def run(batches):
+        seen = np.zeros(cells, bool)
+        for batch in batches:
+            for h in keys(batch):
+                seen[(h & np.uint64(cells - 1)).astype(np.int64)] = True
+        words = np.packbits(seen).view(np.int64)
+        at = np.flatnonzero(words)
+        yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), pa.array(words[at])], names=["place", "bits"])
+
+    return run
+
+
+def marks(df: DataFrame, cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]) -> np.ndarray:
+    """Which cells some 64-bit key falls in, by its low bits. cells is a power of two, 64 at least."""
+    found = df.mapInArrow(_mark(cells, keys), "place int, bits long").groupBy("place").agg(F.bit_or("bits").alias("bits")).toPandas()  # cells / 64 rows at most
+    words = np.zeros(cells // 64, np.int64)
+    words[found["place"].to_numpy(np.int64)] = found["bits"].to_numpy(np.int64)
+    return np.unpackbits(words.view(np.uint8)).astype(bool)

@@ -87,7 +87,8 @@ def lines_brute(rows, numerator=80):
 
 
 def test_lines_equal_brute_force(spark, monkeypatch):
-    monkeypatch.setattr(line_dedup, "FIRST", 1)  # so that the rest is needed
+    for name, value in (("FIRST", 1), ("STEPS", 3), ("PART", 4)):  # so that the rest is needed, in parts
+        monkeypatch.setattr(line_dedup, name, value)
     r = random.Random(3)
     bases = [" ".join(f"u{r.randint(0, 60)}" for _ in range(r.randint(1, 25))) for _ in range(20)]
     rows = [(d, "\n".join(noisy(r, r.choice(bases), r.choice([0, 0.05, 0.15])) for _ in range(r.randint(0, 6)))) for d in range(60)]
