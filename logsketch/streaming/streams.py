@@ -6,6 +6,7 @@ batch query over the same rows is its oracle. State lives in the checkpoint besi
 
 from __future__ import annotations
 
+import time
 import uuid
 
 import pandas as pd
@@ -31,10 +32,16 @@ def oracle(sql: str, log: bool = False):
 
 
 def events(spark: SparkSession, sf_dir: str, parts: int = 4) -> DataFrame:
-    """The events table as a stream of a few files in time order."""
+    """The events table as a stream of a few files that arrive in time order: each is written by a job of its own."""
     folder = f"{shared_folder(spark)}/logsketch-{uuid.uuid4().hex}/events"
     rows = spark.read.parquet(f"{sf_dir}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))  # event time has a zone
-    rows.repartitionByRange(parts, "ts").write.parquet(folder)
+    cuts = rows.agg(F.percentile_approx("ts", [k / parts for k in range(1, parts)])).first()[0] or []
+    edges = [None, *cuts, None]
+    for k, (low, high) in enumerate(zip(edges[:-1], edges[1:], strict=True)):
+        some = rows.where(F.col("ts") > F.lit(low)) if low is not None else rows.where(F.col("ts").isNull() | (F.col("ts") <= F.lit(high))) if high is not None else rows
+        some = some.where(F.col("ts").isNull() | (F.col("ts") <= F.lit(high))) if high is not None else some
+        some.coalesce(1).write.mode("append").parquet(folder)
+        time.sleep(0.02)  # a store's clock may count in milliseconds; files are read in the order of their times
     return read_stream(spark, folder, rows.schema, files=1)
 
 
@@ -74,8 +81,9 @@ def st_session(spark, sf_dir):
     return rows.select("user_id", F.row_number().over(Window.partitionBy("user_id").orderBy("w.start")).cast("long").alias("session"), "n")
 
 
+@oracle("SELECT cast(floor(epoch(ts) / 21600) * 21600 AS bigint) AS start_s, count(*) AS n FROM events GROUP BY 1 HAVING cast(floor(epoch(ts) / 21600) * 21600 AS bigint) + 21600 <= (SELECT max(epoch(ts)) - 7200 FROM events)")
 def st_late_data(spark, sf_dir):
-    """Windows closed by a watermark: appended once, rows that come later than allowed are not in them."""
+    """Windows closed by a watermark, each appended once; those that it has not reached at the end are not there."""
     counted = events(spark, sf_dir).withWatermark("ts", "2 hours").groupBy(F.window("ts", "6 hours").alias("w")).agg(F.count("*").alias("n"))
     return drain(counted, "append").select(F.unix_timestamp("w.start").alias("start_s"), "n")
 

@@ -15,11 +15,14 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or where it is unset (tests), an own one."""
+    """The folder that driver and executors share: spark.checkpoint.dir, or where it is unset and the master is local (tests), an own one."""
     folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not folder:
         folder = spark.sparkContext.getCheckpointDir()
     if not folder:
+        master = spark.sparkContext.master
+        if not (master.startswith("local") and not master.startswith("local-cluster")):
+            raise RuntimeError("spark.checkpoint.dir is not set: on a cluster, driver and executors need a folder that they share")
         folder = tempfile.mkdtemp(prefix="logsketch-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")
