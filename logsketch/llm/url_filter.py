@@ -3,7 +3,7 @@
 Segments of a path that vary are generalised: by shape (numbers, long mixtures of letters and digits), and where a
 host's node has many children that hardly repeat, to a wildcard. Sibling branches whose children and labels are
 distributed like those of all their siblings together are one branch. A template is rejected when the share of
-labelled addresses in it that are blocked, smoothed towards the share among all labelled ones, reaches one half.
+labelled addresses in it that are blocked, smoothed towards that of the same template on related hosts, reaches one half.
 """
 
 from __future__ import annotations
@@ -82,24 +82,51 @@ def _merged(rows: DataFrame) -> DataFrame:
     counts = rows.groupBy("_host", "_t", F.coalesce("_label", F.lit("none")).alias("_label")).agg(F.count("*").alias("_n"))
     counts = table(counts.withColumn("_stem", stem).withColumn("_child", child), "template-counts")
     own = counts.groupBy("_host", "_stem", "_child", "_label").agg(F.sum("_n").alias("_n"))
-    branch = own.groupBy("_host", "_stem").agg(F.sum("_n").alias("_bn"))
-    pooled = own.groupBy("_host", "_child", "_label").agg(F.sum("_n").alias("_pn"))
-    whole = branch.groupBy("_host").agg(F.sum("_bn").alias("_hn"), F.count("*").alias("_stems"))
-    kinds = pooled.groupBy("_host").agg(F.count("*").alias("_kinds"))
+    # Only branches whose labelled addresses have the same verdicts can be one.
+    verdicts = F.array_join(F.array_sort(F.collect_set(F.when(F.col("_label") != "none", F.col("_label")))), "|")
+    branch = own.groupBy("_host", "_stem").agg(F.sum("_n").alias("_bn"), verdicts.alias("_kind"))
+    own = own.join(branch, ["_host", "_stem"])
+    pooled = own.groupBy("_host", "_kind", "_child", "_label").agg(F.sum("_n").alias("_pn"))
+    whole = branch.groupBy("_host", "_kind").agg(F.sum("_bn").alias("_hn"), F.count("*").alias("_stems"))
+    kinds = pooled.groupBy("_host", "_kind").agg(F.count("*").alias("_kinds"))
     # Total variation = half the sum of differences; outcomes that a branch lacks add their pooled share.
-    seen = own.join(branch, ["_host", "_stem"]).join(pooled, ["_host", "_child", "_label"]).join(whole, "_host").join(kinds, "_host")
+    seen = own.join(pooled, ["_host", "_kind", "_child", "_label"]).join(whole, ["_host", "_kind"]).join(kinds, ["_host", "_kind"])
     share, pool = F.col("_n") / F.col("_bn"), F.col("_pn") / F.col("_hn")
-    far = seen.groupBy("_host", "_stem").agg((0.5 * (F.sum(F.abs(share - pool)) + 1 - F.sum(pool))).alias("_far"), F.first("_bn").alias("_bn"), F.first("_kinds").alias("_kinds"), F.first("_stems").alias("_stems"))
+    far = seen.groupBy("_host", "_stem", "_kind").agg((0.5 * (F.sum(F.abs(share - pool)) + 1 - F.sum(pool))).alias("_far"), F.first("_bn").alias("_bn"), F.first("_kinds").alias("_kinds"), F.first("_stems").alias("_stems"))
     like = (F.col("_stems") > 1) & (F.col("_far") <= SIMILAR * 0.5 * F.sqrt(F.col("_kinds") / F.col("_bn"))) & (F.col("_far") < 0.5)
-    far = far.select("_host", "_stem", F.when(like, F.lit("/*")).otherwise(F.col("_stem")).alias("_branch"))
+    several = F.when(F.col("_kind") == "", F.lit("/*")).otherwise(F.concat(F.lit("/*{"), "_kind", F.lit("}")))
+    far = far.select("_host", "_stem", F.when(like, several).otherwise(F.col("_stem")).alias("_branch"))
     return counts.join(far, ["_host", "_stem"]).select("_host", "_t", "_label", "_n", F.concat("_branch", "_child").alias("_class"))
 
 
+def _purities(merged: DataFrame, prior: float) -> DataFrame:
+    """merged (_host, _t, _class, _label, _n) -> _host, _t, _class, purity.
+
+    The blocked share among a branch's labelled addresses is smoothed towards that of the same template on all hosts of
+    the domain, this towards the suffix, towards all hosts, and towards all labelled addresses. Where neither the branch
+    nor the template on any host has a labelled address, there is none (null).
+    """
+    blocked, labelled = F.sum(F.when(F.col("_label") == "block", F.col("_n")).otherwise(0)), F.sum(F.when(F.col("_label") != "none", F.col("_n")).otherwise(0))
+    labels = F.split("_host", r"\.")
+    counts = merged.groupBy("_host", "_t", "_class").agg(blocked.alias("_b"), labelled.alias("_l"))
+    counts = table(counts.withColumn("_domain", F.concat_ws(".", F.slice(F.reverse(labels), 1, 2))).withColumn("_suffix", F.element_at(labels, -1)), "template-labels")
+    out = counts.select("_host", "_t", "_class", "_domain", "_suffix")
+    levels = (("all", ["_t"]), ("suffix", ["_suffix", "_t"]), ("domain", ["_domain", "_t"]), ("host", ["_host", "_class"]))
+    for level, keys in levels:
+        out = out.join(counts.groupBy(*keys).agg(F.sum("_b").alias(f"_b_{level}"), F.sum("_l").alias(f"_l_{level}")), keys)
+    share = F.when((F.col("_l_all") > 0) | (F.col("_l_host") > 0), F.lit(prior))
+    for level, _ in levels:
+        share = (F.col(f"_b_{level}") + WEIGHT * share) / (F.col(f"_l_{level}") + WEIGHT)
+    return out.select("_host", "_t", "_class", share.alias("purity"))
+
+
 def judge(pages: DataFrame, url: str = "url", rules=RULES) -> DataFrame:
     """pages with host, path, template, purity, rule, verdict added.
 
     Null addresses and those without :// have an empty host and path. Rules come first, the longest that fits; else
-    the template decides, and templates without a labelled address are allowed. Labels are the rules' own verdicts.
+    the template decides: by its own labelled addresses and, the fewer these are, by those of the same template on other
+    hosts of its domain, its suffix, or anywhere. Templates without a labelled address on any host are allowed. Labels are
+    the rules' own verdicts.
     Repeated rows count and are judged each time; no rows, no rows; columns of pages are kept, but for those added and names that begin with _.
     """
     columns = [c for c in pages.columns if c not in ("host", "path", "template", "purity", "rule", "verdict") and not c.startswith("_")]
@@ -110,9 +137,7 @@ def judge(pages: DataFrame, url: str = "url", rules=RULES) -> DataFrame:
     merged = table(_merged(rows.select("_host", "_t", "_label")), "branches")
     total = merged.where("_label <> 'none'").agg(F.sum(F.when(F.col("_label") == "block", F.col("_n")).otherwise(0)), F.sum("_n")).first()
     prior = (total[0] + 1) / (total[1] + 2) if total[1] else 0.0
-    marked = merged.groupBy("_host", "_class").agg(F.sum(F.when(F.col("_label") == "block", F.col("_n")).otherwise(0)).alias("_b"), F.sum(F.when(F.col("_label") != "none", F.col("_n")).otherwise(0)).alias("_l"))
-    purity = F.when(F.col("_l") > 0, (F.col("_b") + WEIGHT * prior) / (F.col("_l") + WEIGHT))
-    known = merged.select("_host", "_t", "_class").distinct().join(marked.select("_host", "_class", purity.alias("purity")), ["_host", "_class"])
+    known = _purities(merged, prior)
     known = table(known.select(F.col("_host").alias("_kh"), F.col("_t").alias("_kt"), F.col("_class").alias("template"), "purity"), "purities")
     known = F.broadcast(known) if bounded_bytes(known, BROADCAST_BYTES) else known
     out = rows.join(known, (F.col("_host") == F.col("_kh")) & (F.col("_t") == F.col("_kt")), "left")

@@ -66,6 +66,21 @@ def test_near_duplicates_equal_brute_force(spark, monkeypatch):
     assert got == near_brute(rows, 3, 85)
 
 
+def test_near_duplicates_in_large_nodes(spark):
+    """Groups beyond NODE at production settings: a crowd of copies, its outskirts, and many texts with one long passage in common."""
+    r = random.Random(8)
+    text = lambda n: " ".join(f"t{r.randint(0, 5000)}" for _ in range(n))
+    base, passage = text(200), text(120)
+    rows = [(k, noisy(r, base, r.choice([0.002, 0.01, 0.02, 0.05]))) for k in range(420)]
+    rows += [(1000 + k, passage + " " + text(90)) for k in range(330)]
+    for k in range(12):
+        pair = passage + " " + text(90)
+        rows += [(2000 + 2 * k, pair), (2001 + 2 * k, noisy(r, pair, 0.01))]
+    for words_, numerator in ((3, 85), (5, 80)):
+        got = {x.doc_id: (x.n_shingles, x.component_id) for x in near_dedup.near_duplicates(docs(spark, rows), words_, numerator).collect()}
+        assert got == near_brute(rows, words_, numerator)
+
+
 def test_near_duplicates_odd_rows(spark):
     out = near_dedup.near_duplicates(docs(spark, ODD), 3, 85).collect()
     assert len(out) == len(ODD)
@@ -247,6 +262,21 @@ def test_addresses(spark):
     assert url_filter.judge(df.limit(0)).count() == 0
 
 
+def test_url_templates_learn_from_related_hosts(spark):
+    """Without a rule of its own, a template goes by the same template elsewhere; without any labelled address it is allowed."""
+    rules = (("block", "spam.org", "/win/"), ("allow", "good.org", "/wiki/"))
+    urls = [f"http://{h}.spam.org/win/{k}" for h in "abc" for k in range(6)] + [f"http://{h}.good.org/wiki/{k}" for h in "abc" for k in range(6)]
+    urls += ["http://other.net/win/7", "http://other.net/wiki/7", "http://third.net/about"]
+    df = spark.createDataFrame(list(enumerate(urls)), "page_id long, url string")
+    out = {r.url: (r.rule, r.verdict, r.purity) for r in url_filter.judge(df, rules=rules).collect()}
+    prior = (18 + 1) / (36 + 2)
+    for url, blocked in (("http://other.net/win/7", 18), ("http://other.net/wiki/7", 0)):
+        rule, verdict, purity = out[url]
+        assert rule is None and verdict == ("block" if blocked else "allow")
+        assert purity == pytest.approx((blocked + 4 * prior) / (18 + 4))
+    assert out["http://third.net/about"] == (None, "allow", None)
+
+
 def test_url_filter_runs_no_python(spark, sf):
     plan = url_filter.judge(spark.read.parquet(f"{sf}/pages.parquet").select("page_id", "url"))._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan
