@@ -2,14 +2,22 @@
 
 Documents become sets of word shingles. Exact copies of a set meet in one group-by and go on as one representative.
 Every representative draws minwise tokens; a tree's root sends it down the paths named by some of these tokens, and a
-node that is still large sends its members further down by other tokens, chosen by the node's own name so that all
-members choose alike. Independent trees raise the recall: a pair of similarity s misses `trees` roots with
+node that is still large sends its members further down by other tokens, in coordinates that the node chooses for all
+its members: its name picks them among those in which the members agree least with the smallest member, so that a passage
+that all have in common does not keep them together. Independent trees raise the recall: a pair of similarity s misses `trees` roots with
 probability (1-s)**trees. All links are confirmed on whole sets.
 
 Small nodes compare all members by sketches, but first put forward only a spanning forest of the likely links, so that
 a group of copies costs as many confirmations as it has members. Only where one of these fails do the pairs across
-the components that are left follow. A node that stays large after the last branch is cut into blocks that share its
-smallest member; afterwards those outside that member's component meet every block.
+the components that are left follow.
+
+A large node in which many members read like its pivot (its smallest member) would send them all down every branch and
+never fall apart. Its crowd, those that share CROWD minwise tokens with the pivot, stays: it is cut into blocks that hold
+the pivot, and afterwards members outside the pivot's component meet every block. All that are not of the crowd go on as
+a node of their own; those of them that share FAR tokens with the pivot could be linked with the crowd and stay with it
+as well. Two members, one of the crowd and one below FAR, share at most FAR - 1 + COORDS - CROWD = 29 of 64 tokens; at a
+similarity of 0.8, 51 are expected, and 29 or fewer have a chance of 1e-9. What is still large after the last branch is
+cut into blocks in the same way, whole.
 """
 
 from __future__ import annotations
@@ -22,17 +30,21 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import release, table
+from .common import bounded_bytes, release, table
 from .components import components
-from .sketch import count_sketch
+from .sketch import marks
 
 WORDS, NUMERATOR = 5, 80
 COORDS = 64
 #: Bits of the odd sketch: bit k tells whether an odd number of the set's tokens fall there. Two sketches differ in at
 #: most as many bits as their sets do in tokens, so no pair at the threshold is ever refused.
 ODD = 1024
-TREES, DEPTH, BRANCHES, NODE = 8, 3, 2, 256
+TREES, DEPTH, BRANCHES, NODE = 8, 3, 3, 256
+APART = 24  # coordinates among which a node chooses those that it branches by
+CROWD, FAR = 44, 10  # of COORDS minwise tokens shared with the pivot
 SEEN = 1 << 22
+MOST = 0.5  # of those that share FAR tokens with the pivot: so large a crowd stays together
+PIVOTS_BYTES = 32 << 20
 _rng = np.random.default_rng(7)
 _mul = _rng.integers(1 << 62, size=COORDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _xor = _rng.integers(1 << 63, size=COORDS, dtype=np.uint64)
@@ -85,7 +97,7 @@ def _sets(n: int, seen):
     def run(batches):
         for batch in batches:
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
-            some = seen.value[(K.mix(ids.astype(np.int64).view(np.uint64)) & np.uint64(SEEN - 1)).astype(np.int64)] > 0
+            some = seen.value[(K.mix(ids.astype(np.int64).view(np.uint64)) & np.uint64(SEEN - 1)).astype(np.int64)]
             batch = batch.filter(pa.array(some))
             whole = list(shingle_sets(batch.column("text"), n))
             both = [_digests(s) for s in whole]
@@ -111,18 +123,29 @@ def _roots(trees: int):
 
 
 def _branch(batches):
-    """The node's name picks the coordinates; a member's tokens there name the children."""
+    """The node names the coordinates; a member's tokens there name the children."""
     for batch in batches:
         if not batch.num_rows:
             continue
         node = batch.column("node").to_numpy().view(np.uint64)
         sig = np.frombuffer(b"".join(batch.column("sig").to_pylist()), np.int32).reshape(-1, COORDS)
+        coords = batch.column("coords").flatten().to_numpy().astype(np.int64).reshape(len(sig), -1)
         keys = []
-        for j in range(BRANCHES):
-            seed = K.mix(node + np.uint64(j + 1))
-            token = sig[np.arange(len(sig)), (seed % np.uint64(COORDS)).astype(np.int64)].astype(np.int64).view(np.uint64)
+        for j in range(coords.shape[1]):
+            seed = K.mix(node + coords[:, j].astype(np.uint64) + np.uint64(1))
+            token = sig[np.arange(len(sig)), coords[:, j]].astype(np.int64).view(np.uint64)
             keys.append(K.mix(seed ^ (token << np.uint64(1))).view(np.int64))
-        yield pa.RecordBatch.from_arrays([pa.array(np.tile(batch.column("rep").to_numpy(), BRANCHES)), pa.array(np.concatenate(keys))], names=["rep", "node"])
+        yield pa.RecordBatch.from_arrays([pa.array(np.tile(batch.column("rep").to_numpy(), len(keys))), pa.array(np.concatenate(keys))], names=["rep", "node"])
+
+
+def _alike(batches):
+    """In which coordinates a member's signature is the pivot's: as bits, and how many."""
+    for batch in batches:
+        if batch.num_rows:
+            own, pivot = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.int32).reshape(-1, COORDS) for c in ("sig", "pivot_sig"))
+            same = own == pivot
+            bits = np.packbits(same, axis=1, bitorder="little").view(np.int64).ravel()
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("rep", "node", "n", "pivot")), pa.array(same.sum(axis=1).astype(np.int32)), pa.array(bits)], names=["rep", "node", "n", "pivot", "shared", "same"])
 
 
 def _confirm(numerator: int):
@@ -240,7 +263,8 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     own = some.join(groups.withColumnRenamed("rep", "doc_id"), ["doc_id", "d1", "d2", "n_shingles"]).dropDuplicates(["doc_id", "d1", "d2", "n_shingles"])
     reps = table(own.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "doc_id", "n_shingles", "sig", "odd"), "representatives")
 
-    frontier, small, large = reps.select("rep", "sig").mapInArrow(_roots(trees), "rep long, node long"), None, None
+    signatures = reps.select("rep", "sig")
+    frontier, small, large = signatures.mapInArrow(_roots(trees), "rep long, node long"), None, None
     for depth in range(DEPTH + 1):
         frontier = table(frontier.distinct() if depth else frontier, f"paths-{depth}")
         size = frontier.groupBy("node").agg(F.count("*").alias("n"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").cast("decimal(38,0)")).alias("same")).where("n > 1")
@@ -250,10 +274,28 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         release(frontier)
         fits = sized.where(F.col("n") <= NODE)
         small = fits if small is None else small.unionByName(fits)
-        large = sized.where(F.col("n") > NODE)
-        if depth == DEPTH or not large.limit(1).count():
+        rest = sized.where(F.col("n") > NODE)
+        if depth == DEPTH or not rest.limit(1).count():
+            large = rest.select("rep", "node", "n", "pivot") if large is None else large.unionByName(rest.select("rep", "node", "n", "pivot"))
             break
-        frontier = large.join(reps.select("rep", "sig"), "rep").select("rep", "node", "sig").mapInArrow(_branch, "rep long, node long")
+        # How many tokens each member of a large node shares with the pivot.
+        pivots = rest.select("pivot").distinct().join(signatures, F.col("pivot") == F.col("rep")).select("pivot", F.col("sig").alias("pivot_sig"))
+        pivots = table(pivots, f"pivots-{depth}")
+        pivots = F.broadcast(pivots) if bounded_bytes(pivots, PIVOTS_BYTES) else pivots
+        alike = rest.join(signatures, "rep").join(pivots, "pivot").mapInArrow(_alike, "rep long, node long, n long, pivot long, shared int, same long")
+        alike = table(alike, f"alike-{depth}")
+        agree = F.array(*(F.sum(F.shiftright("same", k).bitwiseAND(F.lit(1))) for k in range(COORDS)))
+        crowd = alike.groupBy("node").agg(F.sum(F.when(F.col("shared") >= CROWD, 1).otherwise(0)).alias("crowd"), F.sum(F.when(F.col("shared") >= FAR, 1).otherwise(0)).alias("stay"), agree.alias("agree"))
+        # Of the coordinates in which the node's members agree least with the pivot, its name picks some.
+        apart = F.slice(F.array_sort(F.transform("agree", lambda x, k: F.struct(x.alias("x"), k.alias("k")))), 1, APART)
+        picked = F.slice(F.array_sort(F.transform(apart, lambda s: F.struct(F.xxhash64("node", s["k"]).alias("h"), s["k"].alias("k")))), 1, BRANCHES)
+        crowd = table(crowd.select("node", "crowd", "stay", F.transform(picked, lambda s: s["k"]).alias("coords")), f"crowds-{depth}")
+        alike = alike.join(crowd, "node").withColumn("crowded", (F.col("crowd") >= NODE / 4) & (F.col("crowd") >= MOST * F.col("stay")))
+        stays = alike.where(F.col("crowded") & (F.col("shared") >= FAR)).select("rep", "node", F.col("stay").alias("n"), "pivot")
+        large = stays if large is None else large.unionByName(stays)
+        others = alike.where(F.col("crowded") & (F.col("shared") < CROWD)).select("rep", F.xxhash64("node").alias("node"))
+        frontier = alike.where(~F.col("crowded")).select("rep", "node", "coords").join(signatures, "rep").select("rep", "node", "coords", "sig").mapInArrow(_branch, "rep long, node long").unionByName(others)
+    large = table(large, "large")
     blocks = F.ceil(F.col("n") / NODE).cast("int")
     own_block = F.pmod(F.xxhash64("rep"), blocks).cast("int")
     sketches = reps.select("rep", "n_shingles", "odd")
@@ -268,7 +310,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     def confirmed(pairs: DataFrame, what: str) -> DataFrame:
         ends = pairs.select(F.col("a").alias("rep")).unionByName(pairs.select(F.col("b").alias("rep"))).distinct()
         ids = table(reps.join(ends, "rep", "left_semi").select("rep", "doc_id"), f"ends-{what}")
-        seen = docs.sparkSession.sparkContext.broadcast(count_sketch(ids, SEEN, _id_keys) > 0)
+        seen = docs.sparkSession.sparkContext.broadcast(marks(ids, SEEN, _id_keys))
         sets = docs.where("doc_id is not null").mapInArrow(_sets(words, seen), "doc_id long, d1 long, d2 long, n_shingles long, tokens binary")
         sets = sets.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "tokens")
         sets = table(sets.join(ids.select("rep"), "rep", "left_semi"), f"sets-{what}").dropDuplicates(["rep"])
