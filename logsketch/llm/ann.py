@@ -13,7 +13,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import likely, table
 
 K, BOUND = 10, 4.5  # neighbours; deviations of the estimate that the range spans
 BLOCK = 8192  # candidates in a block
@@ -140,7 +140,7 @@ def neighbours(vectors: DataFrame, queries, k: int = K) -> DataFrame:
     rows = vectors.where("vec_id is not null").select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<double>").alias("v"))
     sound = table(rows.mapInArrow(_vectors, "vec_id long, v binary"), "vectors")
     blocks = table(sound.mapInArrow(_blocks, "d int, ids binary, rows binary"), "blocks")
-    sample = sound.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).select("v").toPandas()["v"]
+    sample = likely(sound, SAMPLE, "vec_id").orderBy(F.pmod(F.xxhash64("vec_id"), F.lit(1 << 30)), "vec_id").limit(SAMPLE).select("v").toPandas()["v"]
     centres = {d: np.mean([np.frombuffer(v, np.float64) for v in sample if len(v) == 8 * d], axis=0) for d in {len(v) // 8 for v in sample}}
     asked = sound.where(queries)
     turns = max(1, -(-asked.count() // QUERIES))

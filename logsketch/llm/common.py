@@ -1,5 +1,42 @@
-"""What the operators of this subpackage share with the library: tables in the shared folder and checked size bounds."""
+"""What the operators of this subpackage share: the library's tables in the shared folder and checked size bounds, and workers that give memory back."""
+
+from __future__ import annotations
+
+import ctypes
+import functools
+from collections.abc import Callable
+
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
 from ..tables import bounded_bytes, read, release, shared_folder, sweep, table
 
-__all__ = ["bounded_bytes", "read", "release", "shared_folder", "sweep", "table"]
+__all__ = ["bounded_bytes", "lean", "likely", "read", "release", "shared_folder", "sweep", "table"]
+
+
+def trim() -> None:
+    """Gives freed memory back to the system: workers are reused by later stages, which have other needs."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        return
+
+
+def likely(df: DataFrame, size: int, *key: str | Column) -> DataFrame:
+    """About twice `size` rows, chosen by a hash of `key`, or all where there are fewer: the first `size` in the order of
+    that hash are among them, so that what an ordered limit gathers does not grow with the number of tasks."""
+    n = df.count()
+    return df.where(F.pmod(F.xxhash64(*key), F.lit(1 << 30)) < int((1 << 30) * 2 * size / n)) if n > 2 * size else df
+
+
+def lean(f: Callable) -> Callable:
+    """A function for mapInArrow after whose last batch the worker gives back what it no longer uses."""
+
+    @functools.wraps(f)
+    def run(batches):
+        yield from f(batches)
+        trim()
+
+    return run

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import bounded_bytes, table
+from .common import bounded_bytes, lean, table
 
 WINDOW = 8
 LITERALS = 4  # words of a window that are no placeholders
@@ -277,7 +277,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     out = None
     for k in range(parts):
         rows = [(r[0], r[1]) for r in items.where(F.pmod(F.xxhash64("item_id"), F.lit(parts)) == k).orderBy("item_id").collect()]  # at most about BROADCAST_BYTES
-        got = docs.mapInArrow(_lookup(spark.sparkContext.broadcast(Items(rows))), "doc_id long, item_id long, shared_words int")
+        got = docs.mapInArrow(lean(_lookup(spark.sparkContext.broadcast(Items(rows)))), "doc_id long, item_id long, shared_words int")
         out = got if out is None else out.unionByName(got)
     return out.groupBy("doc_id", "item_id").agg(F.max("shared_words").alias("shared_words"))
 

@@ -19,6 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
+from .common import likely
 
 SAMPLE, SAMPLE_BYTES = 240, 1 << 18  # pages that the labeller is fitted on at most, none longer than that
 PATH, WORD, MORE, HIDDEN = 32, 12, 6, 16
@@ -301,11 +302,11 @@ def extract(pages: DataFrame, column: str = "html", key: str = "page_id", sample
     """pages without `column`, with text and n_chars (code points) added; columns of those names are replaced.
 
     Null, empty and textless pages give an empty text. Rows that repeat are extracted each time; null keys are kept.
-    No pages, no rows. The labeller is fitted on at most `sample` pages, chosen by a hash of `key`.
+    No pages, no rows. The labeller is fitted on at most `sample` pages of at most SAMPLE_BYTES each, chosen by a hash of `key`; longer pages are extracted all the same.
     """
     spark = pages.sparkSession
     columns = [c for c in pages.columns if c not in (column, "text", "n_chars", "_html")]
-    some = pages.where(F.octet_length(column) <= SAMPLE_BYTES).orderBy(F.xxhash64(key), column).select(column).limit(sample)
+    some = likely(pages.where(F.octet_length(column) <= SAMPLE_BYTES), sample, key).orderBy(F.pmod(F.xxhash64(key), F.lit(1 << 30)), column).select(column).limit(sample)
     rows: pd.DataFrame = some.toPandas()
     labeller = Labeller().fit(*training(rows[column].tolist())) if len(rows) else Labeller()
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pages.schema if f.name in columns) + ", text string, n_chars long"

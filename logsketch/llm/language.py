@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textkernel as K
-from .common import bounded_bytes, table
+from .common import bounded_bytes, lean, table
 from .sketch import count_sketch
 
 GRAMS = 1 << 16
@@ -152,7 +152,7 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
 
     schema = T.StructType([f for f in rows.schema if f.name != "_text"] + [T.StructField(x, T.LongType()) for x in ("_grams", "_good", "_letters")] + [T.StructField("_ll", T.ArrayType(T.DoubleType()))])
     # Texts are scored once; all that follows reads the scores from a table.
-    scored = table(rows.mapInArrow(_likelihoods(shared, n), schema).withColumn("_best", F.when(F.col("_grams") > 0, best)), "scored")
+    scored = table(rows.mapInArrow(lean(_likelihoods(shared, n)), schema).withColumn("_best", F.when(F.col("_grams") > 0, best)), "scored")
     shared.destroy()
     priors = table(host_priors(scored.select("_best", "_host"), languages), "hosts")
     if bounded_bytes(priors, PRIORS_BYTES):

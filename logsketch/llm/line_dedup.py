@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textkernel as K
-from .common import release, sweep, table
+from .common import lean, release, sweep, table
 from .sketch import FAN_IN, add_keys, marks, sliced, summed
 
 NUMERATOR = 80  # per cent of the union
@@ -303,7 +303,7 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     """
     spark: SparkSession = docs.sparkSession
     docs = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    passed = table(docs.mapInArrow(_lines, "doc_id long, line int, d1 long, d2 long, slice int, part int, counts binary"), "lines")
+    passed = table(docs.mapInArrow(lean(_lines), "doc_id long, line int, d1 long, d2 long, slice int, part int, counts binary"), "lines")
     lines = passed.where("slice is null").select("doc_id", "line", "d1", "d2")
     counts = summed(passed.where("slice is not null"), CELLS)
     rank = spark.sparkContext.broadcast(np.minimum((np.log2(counts.astype(np.float64) + 1) * 30).astype(np.uint64), np.uint64(1023)))
@@ -316,7 +316,7 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     release(passed, groups)
 
     buckets = max(16, int(total / 40_000))
-    packed = docs.mapInArrow(_postings(rank, heavy, buckets, numerator), "bucket int, " + ", ".join(f"c{k} binary" for k in range(len(_KINDS))))
+    packed = docs.mapInArrow(lean(_postings(rank, heavy, buckets, numerator)), "bucket int, " + ", ".join(f"c{k} binary" for k in range(len(_KINDS))))
     found = table(packed.groupBy("bucket").applyInPandas(_candidates(numerator), "kind int, xd long, xl int, yd long, yl int, list binary"), "candidates")
     sweep(spark)
     for b in (rank, heavy):
@@ -325,13 +325,13 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         seen_docs, seen_lines = (spark.sparkContext.broadcast(marks(pairs.select(*columns), SEEN, keys)) for columns, keys in ((("xd", "yd"), _doc_keys), (pair, _line_keys)))
-        words = table(docs.mapInArrow(_words_of(seen_docs, seen_lines), "doc_id long, line int, words binary"), "words")
+        words = table(docs.mapInArrow(lean(_words_of(seen_docs, seen_lines)), "doc_id long, line int, words binary"), "words")
         for b in (seen_docs, seen_lines):
             b.destroy()
         once = words.dropDuplicates(["doc_id", "line"])
         both = pairs.select(*pair).join(once.select(F.col("doc_id").alias("xd"), F.col("line").alias("xl"), F.col("words").alias("xw")), line_of)
         both = both.join(once.select(F.col("doc_id").alias("yd"), F.col("line").alias("yl"), F.col("words").alias("yw")), ["yd", "yl"])
-        out = table(both.select("xd", "xl", "xw", "yw").mapInArrow(_verify(numerator), "doc_id long, line int").distinct(), "similar")
+        out = table(both.select("xd", "xl", "xw", "yw").mapInArrow(lean(_verify(numerator)), "doc_id long, line int").distinct(), "similar")
         release(words)
         sweep(spark)
         return out
@@ -346,7 +346,7 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
         lists = found.where(F.col("kind") == LIST)
         one = lists.select(F.col("xd").alias("word"), F.col("xl").alias("p"), F.col("list").alias("one"))
         two = lists.select(F.col("xd").alias("word"), F.col("xl").alias("q"), F.col("list").alias("two"))
-        rest = one.join(two, "word").where("q <= p").select("p", "q", "one", "two").mapInArrow(_remaining(numerator, open_), "xd long, xl int, yd long, yl int")
+        rest = one.join(two, "word").where("q <= p").select("p", "q", "one", "two").mapInArrow(lean(_remaining(numerator, open_)), "xd long, xl int, yd long, yl int")
         rest = table(rest.distinct().join(unresolved, line_of, "left_semi").join(pairs, pair, "left_anti"), "rest")
         similar = similar.unionByName(confirmed(rest))
     return table(similar.unionByName(equal).distinct(), "removed")

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import sweep, table
+from .common import lean, sweep, table
 
 VOCABULARY = (1 << 16) - 1
 PAIR_WEIGHT = 0.5  # of the word pair against the single word
@@ -60,7 +60,7 @@ def _word_counts(batches):
 
 def vocabulary(docs: DataFrame, size: int = VOCABULARY) -> np.ndarray:
     """The most frequent words' hashes, sorted; ties to the smaller hash."""
-    counts = docs.select("text").mapInArrow(_word_counts, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    counts = docs.select("text").mapInArrow(lean(_word_counts), "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
     top = counts.orderBy(F.desc("n"), "word").limit(size).collect()  # `size` rows, whatever the input
     return np.sort(np.array([r[0] for r in top], np.int64).view(np.uint64))
 
@@ -241,9 +241,9 @@ def score(docs: DataFrame, target: DataFrame | str) -> DataFrame:
         rows = some(docs, True, F.coalesce(F.col(target), F.lit(False)))
     else:
         rows = some(docs, True, F.lit(False)).unionByName(some(target, False, F.lit(True)))
-    chunks = table(rows.mapInArrow(_chunks, _CHUNKS), "chunks")
+    chunks = table(rows.mapInArrow(lean(_chunks), _CHUNKS), "chunks")
     parts = max(1, round((chunks.agg(F.sum("size")).first()[0] or 0) / SHARE))
-    answers = table(chunks.mapInArrow(_requests(parts), _REQUESTS).groupBy("kind", "part").applyInArrow(_answer, _ANSWERS), "answers")
+    answers = table(chunks.mapInArrow(lean(_requests(parts)), _REQUESTS).groupBy("kind", "part").applyInArrow(_answer, _ANSWERS), "answers")
     for _ in range(2):  # the requests' shuffle files go before the next shuffle; Spark's cleaner takes a moment
         sweep(docs.sparkSession)
         time.sleep(1)

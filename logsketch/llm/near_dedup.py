@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import bounded_bytes, release, table
+from .common import bounded_bytes, lean, release, table
 from .components import components
 from .sketch import marks
 
@@ -256,7 +256,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     is linked with nothing and stays, with a null component. Other columns are not read. No rows: no rows.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    features = table(docs.mapInArrow(_features(words), "doc_id long, n_shingles long, d1 long, d2 long, sig binary, odd binary"), "features")
+    features = table(docs.mapInArrow(lean(_features(words)), "doc_id long, n_shingles long, d1 long, d2 long, sig binary, odd binary"), "features")
     some = features.where("doc_id is not null and n_shingles > 0")
     groups = table(some.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("rep")), "groups")
     # A representative goes by a name made of its id and its set, as rows that share an id may differ in text.
@@ -264,7 +264,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     reps = table(own.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "doc_id", "n_shingles", "sig", "odd"), "representatives")
 
     signatures = reps.select("rep", "sig")
-    frontier, small, large = signatures.mapInArrow(_roots(trees), "rep long, node long"), None, None
+    frontier, small, large = signatures.mapInArrow(lean(_roots(trees)), "rep long, node long"), None, None
     for depth in range(DEPTH + 1):
         frontier = table(frontier.distinct() if depth else frontier, f"paths-{depth}")
         size = frontier.groupBy("node").agg(F.count("*").alias("n"), F.min("rep").alias("pivot"), F.sum(F.xxhash64("rep").cast("decimal(38,0)")).alias("same")).where("n > 1")
@@ -282,7 +282,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         pivots = rest.select("pivot").distinct().join(signatures, F.col("pivot") == F.col("rep")).select("pivot", F.col("sig").alias("pivot_sig"))
         pivots = table(pivots, f"pivots-{depth}")
         pivots = F.broadcast(pivots) if bounded_bytes(pivots, PIVOTS_BYTES) else pivots
-        alike = rest.join(signatures, "rep").join(pivots, "pivot").mapInArrow(_alike, "rep long, node long, n long, pivot long, shared int, same long")
+        alike = rest.join(signatures, "rep").join(pivots, "pivot").mapInArrow(lean(_alike), "rep long, node long, n long, pivot long, shared int, same long")
         alike = table(alike, f"alike-{depth}")
         agree = F.array(*(F.sum(F.shiftright("same", k).bitwiseAND(F.lit(1))) for k in range(COORDS)))
         crowd = alike.groupBy("node").agg(F.sum(F.when(F.col("shared") >= CROWD, 1).otherwise(0)).alias("crowd"), F.sum(F.when(F.col("shared") >= FAR, 1).otherwise(0)).alias("stay"), agree.alias("agree"))
@@ -294,7 +294,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         stays = alike.where(F.col("crowded") & (F.col("shared") >= FAR)).select("rep", "node", F.col("stay").alias("n"), "pivot")
         large = stays if large is None else large.unionByName(stays)
         others = alike.where(F.col("crowded") & (F.col("shared") < CROWD)).select("rep", F.xxhash64("node").alias("node"))
-        frontier = alike.where(~F.col("crowded")).select("rep", "node", "coords").join(signatures, "rep").select("rep", "node", "coords", "sig").mapInArrow(_branch, "rep long, node long").unionByName(others)
+        frontier = alike.where(~F.col("crowded")).select("rep", "node", "coords").join(signatures, "rep").select("rep", "node", "coords", "sig").mapInArrow(lean(_branch), "rep long, node long").unionByName(others)
     large = table(large, "large")
     blocks = F.ceil(F.col("n") / NODE).cast("int")
     own_block = F.pmod(F.xxhash64("rep"), blocks).cast("int")
@@ -305,17 +305,18 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
 
     in_blocks = large.withColumn("block", F.explode(F.when(F.col("rep") == F.col("pivot"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(own_block))))
     first = small.withColumn("block", F.lit(0)).select("rep", "node", "block").unionByName(in_blocks.select("rep", "node", "block"))
-    tried = table(gathered(first).select("node", "block", "rep", "n_shingles", "odd").mapInArrow(_forest(numerator), "a long, b long, node long"), "forest")
+    tried = table(gathered(first).select("node", "block", "rep", "n_shingles", "odd").mapInArrow(lean(_forest(numerator)), "a long, b long, node long"), "forest")
 
     def confirmed(pairs: DataFrame, what: str) -> DataFrame:
         ends = pairs.select(F.col("a").alias("rep")).unionByName(pairs.select(F.col("b").alias("rep"))).distinct()
         ids = table(reps.join(ends, "rep", "left_semi").select("rep", "doc_id"), f"ends-{what}")
         seen = docs.sparkSession.sparkContext.broadcast(marks(ids, SEEN, _id_keys))
-        sets = docs.where("doc_id is not null").mapInArrow(_sets(words, seen), "doc_id long, d1 long, d2 long, n_shingles long, tokens binary")
+        sets = docs.where("doc_id is not null").mapInArrow(lean(_sets(words, seen)), "doc_id long, d1 long, d2 long, n_shingles long, tokens binary")
         sets = sets.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "tokens")
         sets = table(sets.join(ids.select("rep"), "rep", "left_semi"), f"sets-{what}").dropDuplicates(["rep"])
+        seen.destroy()
         one, two = sets.select(F.col("rep").alias("a"), F.col("tokens").alias("tokens_a")), sets.select(F.col("rep").alias("b"), F.col("tokens").alias("tokens_b"))
-        return table(pairs.join(one, "a").join(two, "b").select("a", "b", "tokens_a", "tokens_b").mapInArrow(_confirm(numerator), "a long, b long"), f"links-{what}")
+        return table(pairs.join(one, "a").join(two, "b").select("a", "b", "tokens_a", "tokens_b").mapInArrow(lean(_confirm(numerator)), "a long, b long"), f"links-{what}")
 
     links = confirmed(table(tried.select("a", "b").distinct(), "pairs-1"), "1")
     parts = components(links)
@@ -327,7 +328,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     outside = outside.join(outside.where("probe").select("node").distinct(), "node", "left_semi")
     outside = outside.withColumn("block", F.explode(F.when(F.col("probe"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(own_block))))
     again = again.unionByName(outside.select("rep", "node", "block", F.col("rep_part").alias("component"), "probe"))
-    rest = gathered(again).select("node", "block", "rep", "n_shingles", "odd", "component", "probe").mapInArrow(_across(numerator), "a long, b long, node long")
+    rest = gathered(again).select("node", "block", "rep", "n_shingles", "odd", "component", "probe").mapInArrow(lean(_across(numerator)), "a long, b long, node long")
     rest = table(rest.select("a", "b").distinct().join(tried.select("a", "b"), ["a", "b"], "left_anti"), "pairs-2")
     if rest.limit(1).count():
         more = confirmed(rest, "2")

@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import table
+from .common import lean, table
 
 CAPACITY, END = 4096, 1
 GROUP = 8192  # pieces that are packed together, on average
@@ -200,7 +200,7 @@ def _pieces(path: str, capacity: int, end: int):
 def token_pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end: int = END) -> DataFrame:
     """docs (doc_id, text) -> doc_id, piece, start, length, ids_crc32: each row's ids with `end` after them, cut every `capacity`."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return docs.mapInArrow(_pieces(path or tokenizer_path(), capacity, end), "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return docs.mapInArrow(lean(_pieces(path or tokenizer_path(), capacity, end)), "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def least(lengths: np.ndarray, capacity: int) -> int:

@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import table
+from .common import lean, likely, table
 
 SAMPLE = 60_000  # labelled rows that the model is fitted on at most, chosen by a hash of their id
 BINS, PAIR_BINS, PAIRS = 64, 12, 12
@@ -91,7 +91,7 @@ def _measures(batches):
 
 def measures(docs: DataFrame) -> DataFrame:
     """docs (doc_id, text) -> doc_id, measures (array of float, in the order of MEASURES). Null text is empty."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(_measures, "doc_id long, measures array<float>")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lean(_measures), "doc_id long, measures array<float>")
 
 
 @dataclass
@@ -225,8 +225,9 @@ def classify(docs: DataFrame, labels: DataFrame, label: str = "quality", sample:
     known = table(measures(docs), "measures")
     fold = F.crc32(F.col("doc_id").cast("string")) % 3
     marks = labels.where(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("_y"))
-    rows = known.where(fold != 1).join(marks, "doc_id").orderBy(F.xxhash64("doc_id"), "doc_id", "_y").limit(sample).select("measures", "_y").toPandas()
+    labelled = table(known.where(fold != 1).join(marks, "doc_id").select("doc_id", "measures", "_y"), "labelled")
+    rows = likely(labelled, sample, "doc_id").orderBy(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 30)), "doc_id", "_y").limit(sample).select("measures", "_y").toPandas()
     x = np.stack(rows["measures"].to_numpy()).astype(np.float64) if len(rows) else np.zeros((0, len(MEASURES)))
     model = docs.sparkSession.sparkContext.broadcast(fit(x, rows["_y"].to_numpy(np.float64)))
-    out = known.mapInArrow(_scores(model), "doc_id long, score double")
+    out = known.mapInArrow(lean(_scores(model)), "doc_id long, score double")
     return out.select("doc_id", F.coalesce(fold == 1, F.lit(False)).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))

@@ -11,6 +11,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import lean
+
 SLICE = 1 << 14
 FAN_IN = 256  # tasks whose counters are added up in one step
 
@@ -60,7 +62,7 @@ def summed(slices: DataFrame, cells: int) -> np.ndarray:
 
 def count_sketch(df: DataFrame, cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]) -> np.ndarray:
     """Counts of 64-bit keys by their low bits: never less than a key's own count. cells is a power of two."""
-    return summed(df.mapInArrow(_fill(cells, keys), "slice int, part int, counts binary"), cells)
+    return summed(df.mapInArrow(lean(_fill(cells, keys)), "slice int, part int, counts binary"), cells)
 
 
 def _mark(cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]):
@@ -78,7 +80,7 @@ def _mark(cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]):
 
 def marks(df: DataFrame, cells: int, keys: Callable[[pa.RecordBatch], Iterator[np.ndarray]]) -> np.ndarray:
     """Which cells some 64-bit key falls in, by its low bits. cells is a power of two, 64 at least."""
-    found = df.mapInArrow(_mark(cells, keys), "place int, bits long").groupBy("place").agg(F.bit_or("bits").alias("bits")).toPandas()  # cells / 64 rows at most
+    found = df.mapInArrow(lean(_mark(cells, keys)), "place int, bits long").groupBy("place").agg(F.bit_or("bits").alias("bits")).toPandas()  # cells / 64 rows at most
     words = np.zeros(cells // 64, np.int64)
     words[found["place"].to_numpy(np.int64)] = found["bits"].to_numpy(np.int64)
     return np.unpackbits(words.view(np.uint8)).astype(bool)
