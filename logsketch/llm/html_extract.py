@@ -38,7 +38,10 @@ ASIDE = (
 ).split()
 _ASIDE = frozenset(ASIDE)
 _RAW = re.compile(r"<!--.*?(?:-->|$)|<(script|style|noscript|template|svg|iframe|object|textarea)\b.*?(?:</\1\s*>|$)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>", re.S | re.I)
-_TAG = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>\"']|\"[^\"]*\"|'[^']*')*)/?>")
+# Quotes count only behind an equals sign; a tag that the page's end cuts off is no text.
+_TAG = re.compile(r"<(/?)([a-zA-Z][^\s/>]*+)((?:[^>=]++|=\s*+(?:\"[^\"]*+\"|'[^']*+'|))*+)(?:>|\Z)")
+# Elements that are seen between words; all else that is taken out leaves its neighbours together.
+_SEEN = ("svg", "iframe", "object", "textarea")
 _NAMES = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.I)
 _SPLIT = re.compile(r"[^a-z0-9]+")
 _rng = np.random.default_rng(17)
@@ -65,7 +68,7 @@ def blocks(page: str | None) -> list[tuple[tuple[str, ...], str, int]]:
         held.clear()
         linked = 0
 
-    source = _RAW.sub(" ", page or "")
+    source = _RAW.sub(lambda m: " " if (m[1] or "").lower() in _SEEN else "", page or "")
     at = 0
     for m in _TAG.finditer(source):
         if m.start() > at:

@@ -262,6 +262,19 @@ def test_addresses(spark):
     assert url_filter.judge(df.limit(0)).count() == 0
 
 
+def test_blocks_are_taken_as_browsers_take_them():
+    for page, want in (
+        ("<p>foo<!--c-->bar", ["foobar"]),
+        ("<p>wo<script>x < y</script>rd</p>", ["word"]),
+        ("<p>a<svg><path/></svg>b</p>", ["a b"]),
+        ("<p title=it's>one</p><p>it's</p>", ["one", "it's"]),
+        ('<p title="a > b" id=x>two<br>three</p>', ["two three"]),
+        ("<p>four</p><div class='cut", ["four"]),
+        ("<p>5 < 6 &amp; 7</p>", ["5 < 6 & 7"]),
+    ):
+        assert [x for _, x, _ in html_extract.blocks(page)] == want
+
+
 def test_url_templates_learn_from_related_hosts(spark):
     """Without a rule of its own, a template goes by the same template elsewhere; without any labelled address it is allowed."""
     rules = (("block", "spam.org", "/win/"), ("allow", "good.org", "/wiki/"))
