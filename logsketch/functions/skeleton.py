@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 # What counts as a constant in a statement's text, in the syntax that both engines' regexes share.
-STRINGS = r"'[^']*'"
+STRINGS = r"('[^']*')+"  # a doubled quote goes on
 NUMBERS = r"\b[0-9]+(\.[0-9]+)?\b"
 SPACES = r"\s+"
 
@@ -36,7 +36,7 @@ def anonymise(log: DataFrame, salt: str = "") -> DataFrame:
 def statement_class(sql: Column) -> Column:
     """Leading keyword -> procedure, SELECT, UNION, INSERT, UPDATE, DELETE, or null where only a parser can tell."""
     head = F.upper(F.regexp_extract(F.trim(sql), r"^([A-Za-z]+)", 1))
-    return F.when(head.isin("EXEC", "CALL"), "procedure").when((head == "SELECT") & sql.rlike(r"(?i)\bUNION\b"), "UNION").when(head.isin("SELECT", "INSERT", "UPDATE", "DELETE"), head)
+    return F.when(head.isin("EXEC", "CALL"), "procedure").when((head == "SELECT") & F.regexp_replace(sql, STRINGS, "?").rlike(r"(?i)\bUNION\b"), "UNION").when(head.isin("SELECT", "INSERT", "UPDATE", "DELETE"), head)
 
 
 def skeleton_bag(log: DataFrame) -> DataFrame:

@@ -1,10 +1,10 @@
-"""Distances of feature bags: exact squared integers by an inverted index or by blocks, and only the near pairs by norm bands."""
+"""Distances of feature bags: exact squared integers by an inverted index or by blocks, and only the near pairs by leading rare features."""
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..tables import table
@@ -98,13 +98,27 @@ def _blocks(bag: DataFrame, metric: str) -> DataFrame:
 
 
 def within(bag: DataFrame, tau: float) -> DataFrame:
-    """Pairs i < j at l2 distance of at most tau > 0. Lengths differ by no more than tau, so only neighbouring bands meet."""
-    size = norms(bag).withColumn("len", F.sqrt(F.col("n2").cast("double"))).withColumn("band", F.floor(F.col("len") / tau))
-    a = size.select(F.col("tree_id").alias("i"), F.col("n2").alias("i2"), F.col("len").alias("li"), F.explode(F.array(F.col("band") - 1, F.col("band"), F.col("band") + 1)).alias("band"))
-    b = size.select(F.col("tree_id").alias("j"), F.col("n2").alias("j2"), F.col("len").alias("lj"), "band")
-    near = a.join(b, "band").where((F.col("i") < F.col("j")) & (F.abs(F.col("li") - F.col("lj")) <= tau)).select("i", "j", "i2", "j2")
-    d2 = F.col("i2") + F.col("j2") - 2 * F.coalesce("dot", F.lit(0))
-    return near.join(shared(bag), ["i", "j"], "left").withColumn("d2", d2).where(F.col("d2") <= tau * tau).select("i", "j", "d2", F.sqrt(F.col("d2").cast("double")).alias("d"))
+    """Pairs i < j at l2 distance of at most tau > 0: i, j, d2, d.
+
+    Features go in order of rarity. What either item has before the first feature that a pair has in common counts in
+    full, so in both items this feature follows less than tau: only such leading features are joined, and lengths differ by
+    no more than tau. Pairs without a common feature are within tau when both are short; they meet by their lengths.
+    """
+    t2, m = tau * tau, F.col("mult").cast("long")
+    items = table(bag.groupBy("tree_id").agg(F.map_from_entries(F.collect_list(F.struct("feature_id", m))).alias("m"), F.sum(m * m).alias("n2")), "items")
+    rare = bag.groupBy("feature_id").agg(F.count("*").alias("df"))
+    before = Window.partitionBy("tree_id").orderBy("df", "feature_id").rowsBetween(Window.unboundedPreceding, -1)
+    lead = bag.join(rare, "feature_id").withColumn("before", F.coalesce(F.sum(m * m).over(before), F.lit(0))).where(F.col("before") <= t2)
+    lead = table(lead.select("tree_id", "feature_id").join(items.select("tree_id", "n2"), "tree_id"), "leading")
+    side = lambda rows, key, k: rows.select(F.col("tree_id").alias(k), F.col("n2").alias(f"{k}2"), key)
+    near = side(lead, "feature_id", "i").join(side(lead, "feature_id", "j"), "feature_id").where(F.abs(F.sqrt("i2") - F.sqrt("j2")) <= tau)
+    short = items.where(F.col("n2") < t2).select("tree_id", "n2", F.col("n2").alias("at"))
+    apart = side(short.withColumn("at", F.explode(F.expr(f"sequence(1L, greatest(1L, {int(t2)}L - n2))"))), "at", "i").join(side(short, "at", "j"), "at").where(F.col("i2") + F.col("j2") <= t2)
+    near = near.select("i", "j").unionByName(apart.select("i", "j")).where("i < j").distinct()
+    a, b = items.select(F.col("tree_id").alias("i"), F.col("m").alias("x"), F.col("n2").alias("i2")), items.select(F.col("tree_id").alias("j"), F.col("m").alias("y"), F.col("n2").alias("j2"))
+    dot = F.aggregate(F.map_entries("x"), F.lit(0).cast("long"), lambda s, e: s + e["value"] * F.coalesce(F.try_element_at("y", e["key"]), F.lit(0).cast("long")))
+    both = near.join(a, "i").join(b, "j").select("i", "j", (F.col("i2") + F.col("j2") - 2 * dot).alias("d2"))
+    return both.where(F.col("d2") <= t2).select("i", "j", "d2", F.sqrt(F.col("d2").cast("double")).alias("d"))
 
 
 def approx_within(bag: DataFrame, tau: float, tables: int = 6, seed: int = 7) -> DataFrame:

@@ -307,33 +307,43 @@ def order_bags(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 _BAGS = "b AS (SELECT l_orderkey AS t, p_brand AS f, count(*) AS m FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY 1, 2)"
-_FIRST = "o AS (SELECT DISTINCT t FROM b ORDER BY t LIMIT 200)"
 
 
-@oracle(f"WITH {_BAGS}, {_FIRST}, u AS (SELECT b.* FROM b JOIN o USING (t)), p AS (SELECT x.t AS i, y.t AS j FROM o x JOIN o y ON x.t < y.t), v AS (SELECT p.i, p.j, f.f, coalesce(a.m, 0) AS a, coalesce(c.m, 0) AS c FROM p CROSS JOIN (SELECT DISTINCT f FROM u) f LEFT JOIN u a ON a.t = p.i AND a.f = f.f LEFT JOIN u c ON c.t = p.j AND c.f = f.f) SELECT i, j, cast(sum(abs(a - c)) AS double) AS l1, round(sqrt(sum((a - c) * (a - c))), 6) AS l2 FROM v GROUP BY i, j")
+@oracle(
+    f"""WITH {_BAGS}, k AS (SELECT t, string_agg(concat(f, ':', m), ',' ORDER BY f) AS s FROM b GROUP BY t), g AS (SELECT DISTINCT f AS g FROM b),
+ x AS (SELECT t, g, f, m + CASE WHEN f = g THEN 1 ELSE 0 END AS m FROM b, g UNION ALL SELECT t, g, g, 1 FROM k, g WHERE (t, g) NOT IN (SELECT (t, f) FROM b)),
+ u AS (SELECT t, string_agg(concat(f, ':', m), ',' ORDER BY f) AS s FROM x GROUP BY t, g)
+ SELECT a.t AS i, c.t AS j, cast(0 AS bigint) AS d2, 0.0::double AS d FROM k a JOIN k c ON a.s = c.s AND a.t < c.t
+ UNION ALL SELECT least(u.t, k.t), greatest(u.t, k.t), 1, 1.0 FROM u JOIN k ON u.s = k.s"""
+)
 def w_order_bag_distance(spark, sf_dir):
-    bags = order_bags(spark, sf_dir)
-    some = bags.select("tree_id").distinct().orderBy("tree_id").limit(200)
-    bags = table(bags.join(some, "tree_id").select("tree_id", F.col("feature_key").alias("feature_id"), "mult"), "bags")
-    l1 = distance.pairwise(bags, "l1").select("i", "j", F.col("d").alias("l1"))
-    return l1.join(distance.pairwise(bags, "l2").select("i", "j", F.round("d", 6).alias("l2")), ["i", "j"])
+    """All pairs of orders whose bags differ in one line at most. The SQL finds them by adding a line to each bag."""
+    return distance.within(table(order_bags(spark, sf_dir).withColumnRenamed("feature_key", "feature_id"), "bags"), 1.0)
+
+
+def _few(items: DataFrame) -> DataFrame:
+    """The whole table; what needs all pairs takes at most distance.MOST items."""
+    n = items.count()
+    if n > distance.MOST:
+        raise ValueError(f"{n} items: all pairs are for at most {distance.MOST}")
+    return items
 
 
-@oracle("SELECT a.vec_id AS i, b.vec_id AS j, round(list_distance(cast(a.embedding AS double[]), cast(b.embedding AS double[])), 6) AS d FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND b.vec_id < 100")
+@oracle("SELECT a.vec_id AS i, b.vec_id AS j, round(list_distance(cast(a.embedding AS double[]), cast(b.embedding AS double[])), 6) AS d FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id")
 def w_embedding_distance(spark, sf_dir):
-    e = _read(spark, sf_dir, "embeddings").where("vec_id < 100").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    e = _few(_read(spark, sf_dir, "embeddings")).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
     a, b = e.select(F.col("vec_id").alias("i"), F.col("v").alias("x")), e.select(F.col("vec_id").alias("j"), F.col("v").alias("y"))
     square = F.aggregate(F.zip_with("x", "y", lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, z: s + z)
     return a.join(F.broadcast(b), F.col("i") < F.col("j")).select("i", "j", F.round(F.sqrt(square), 6).alias("d"))
 
 
-TAU = 1.0
+TAU = 1.1
 
 
-@oracle(f"WITH RECURSIVE e AS (SELECT a.vec_id AS i, b.vec_id AS j FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND a.vec_id < 300 AND b.vec_id < 300 AND list_distance(cast(a.embedding AS double[]), cast(b.embedding AS double[])) <= {TAU}), r(v, c) AS (SELECT i, i FROM e UNION SELECT e.j, r.c FROM r JOIN e ON e.i = r.v) SELECT v AS vec_id, min(c) AS component FROM r GROUP BY v")
+@oracle(f"WITH RECURSIVE e AS (SELECT a.vec_id AS i, b.vec_id AS j FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id AND list_distance(cast(a.embedding AS double[]), cast(b.embedding AS double[])) <= {TAU}), r(v, c) AS (SELECT i, i FROM e UNION SELECT e.j, r.c FROM r JOIN e ON e.i = r.v) SELECT v AS vec_id, min(c) AS component FROM r GROUP BY v")
 def w_single_components(spark, sf_dir):
     """Single linkage cut at a height is the components of the pairs within it."""
-    e = _read(spark, sf_dir, "embeddings").where("vec_id < 300").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    e = _few(_read(spark, sf_dir, "embeddings")).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
     a, b = e.select(F.col("vec_id").alias("a"), F.col("v").alias("x")), e.select(F.col("vec_id").alias("b"), F.col("v").alias("y"))
     square = F.aggregate(F.zip_with("x", "y", lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, z: s + z)
     return components(a.join(F.broadcast(b), F.col("a") < F.col("b")).where(F.sqrt(square) <= TAU).select("a", "b")).select(F.col("node").alias("vec_id"), "component")
@@ -341,16 +351,16 @@ def w_single_components(spark, sf_dir):
 
 def w_embedding_linkage(spark, sf_dir):
     """Linkages against the vectors' own labels."""
-    e = _read(spark, sf_dir, "embeddings").where("vec_id < 500").orderBy("vec_id").toPandas()
+    e = _few(_read(spark, sf_dir, "embeddings")).orderBy("vec_id").toPandas()
     x = np.stack(e["embedding"]).astype(float)
-    d = np.sqrt(np.maximum(((x[:, None] - x[None]) ** 2).sum(-1), 0))
+    d = np.stack([np.sqrt(((x - row) ** 2).sum(axis=1)) for row in x])
     ids, truth = e["vec_id"].tolist(), dict(zip(e["vec_id"], e["label"], strict=True))
     rows = []
     for link in ("complete", "single", "average"):
         m = pd.DataFrame([(k, *r) for k, r in enumerate(linkage.agglomerate(d, link, np.array(ids)))], columns=["step", "left", "right", "height", "size"])
         got = linkage.cut(m, ids, k=10)
         c = linkage.cophenetic(m, ids)
-        real = [d[i, j] for i in range(len(ids)) for j in range(i + 1, len(ids))]
+        real = d[np.triu_indices(len(ids), 1)]
         high = [c[ids[i], ids[j]] for i in range(len(ids)) for j in range(i + 1, len(ids))]
         rows.append((link, 10, round(compare.purity(got, truth), 6), round(compare.adjusted_rand(got, truth), 6), round(float(np.corrcoef(real, high)[0, 1]), 6)))
     return spark.createDataFrame(rows, "linkage string, k int, purity double, rand double, cophenetic double")
@@ -380,9 +390,9 @@ def w_fp_nodes(spark, sf_dir):
     return fptree.fp_tree(fptree.order_items(_order_sets(spark, sf_dir)))
 
 
-_STEPS = (100, 200, 400, 800, 1600)
+_STEPS = (1, 2, 4, 8, 16)  # sixteenths of all sets
 _CURVE = " UNION ALL ".join(
-    f"SELECT {n} AS n_sets, '{name}' AS order_by, * FROM (WITH {_BAGS}, w AS (SELECT DISTINCT t FROM b ORDER BY t LIMIT {n}), s AS (SELECT 0 AS cluster, t AS set_id, concat(f, ':', m) AS item FROM b JOIN w USING (t)), z AS (SELECT set_id, count(*) AS n FROM s GROUP BY set_id), k AS (SELECT cluster, item, count(*) AS frequency, sum(n - 1) AS total_popularity FROM s JOIN z USING (set_id) GROUP BY 1, 2), {_PREFIX.format(by=by)}, i AS (SELECT count(*) AS items FROM s), c AS (SELECT count(DISTINCT array_to_string(a[1:depth], '|')) AS nodes FROM d) SELECT items, nodes, round(nodes / items, 6) AS size_ratio, round(items / nodes, 6) AS compression_rate FROM i, c)"
+    f"SELECT '{name}' AS order_by, * FROM (WITH {_BAGS}, w AS (SELECT t FROM (SELECT t, row_number() OVER (ORDER BY t) AS r, count(*) OVER () AS c FROM (SELECT DISTINCT t FROM b) y) v WHERE r <= greatest(1, c * {n} // 16)), s AS (SELECT 0 AS cluster, t AS set_id, concat(f, ':', m) AS item FROM b JOIN w USING (t)), z AS (SELECT set_id, count(*) AS n FROM s GROUP BY set_id), k AS (SELECT cluster, item, count(*) AS frequency, sum(n - 1) AS total_popularity FROM s JOIN z USING (set_id) GROUP BY 1, 2), {_PREFIX.format(by=by)}, i AS (SELECT count(*) AS items FROM s), c AS (SELECT count(DISTINCT array_to_string(a[1:depth], '|')) AS nodes FROM d) SELECT (SELECT cast(count(*) AS int) FROM w) AS n_sets, items, nodes, round(nodes / items, 6) AS size_ratio, round(items / nodes, 6) AS compression_rate FROM i, c)"
     for n in _STEPS
     for name, by in (("frequency", "frequency"), ("popularity", "total_popularity"))
 )
@@ -390,7 +400,9 @@ _CURVE = " UNION ALL ".join(
 
 @oracle(_CURVE)
 def w_compression_curve(spark, sf_dir):
-    return fptree.compression_curve(fptree.itemsets(order_bags(spark, sf_dir)), list(_STEPS))
+    sets = table(fptree.itemsets(order_bags(spark, sf_dir)), "order-sets")
+    n = sets.select("set_id").distinct().count()
+    return fptree.compression_curve(sets, sorted({max(1, n * k // 16) for k in _STEPS}))
 
 
 @oracle(f"WITH {_BAGS}, c AS (SELECT o_orderpriority AS cluster, count(*) AS size FROM orders GROUP BY 1) SELECT o_orderpriority AS cluster, f AS feature_key, count(*) AS n, round(count(*) / max(size), 6) AS share FROM b JOIN orders ON o_orderkey = t JOIN c ON c.cluster = o_orderpriority GROUP BY 1, 2 HAVING count(*) >= 0.15 * max(size) - 1e-9")
@@ -408,9 +420,9 @@ def w_shrink_example(spark, sf_dir):
     return summary.shrink_df(spark.createDataFrame(items, "feature string, mult int"), spark.createDataFrame(contains, "part string, container string, times int"))
 
 
-@oracle("WITH p AS (SELECT row_number() OVER (ORDER BY embedding[1], vec_id) - 1 AS x, row_number() OVER (ORDER BY label, vec_id) - 1 AS y FROM embeddings WHERE vec_id < 200), n AS (SELECT count(*) AS n FROM p) SELECT 2.0::double AS L, round((SELECT sum((x - y) * (x - y)) FROM p) / (SELECT sum((2 * k - n + 1) * (2 * k - n + 1)) FROM n, range(0, 200) r(k) WHERE k < n), 6) AS entanglement, (SELECT count(*) FROM p a JOIN p b ON a.x < b.x AND a.y > b.y) AS crossings")
+@oracle("WITH p AS (SELECT row_number() OVER (ORDER BY embedding[1], vec_id) - 1 AS x, row_number() OVER (ORDER BY label, vec_id) - 1 AS y FROM embeddings), n AS (SELECT count(*) AS n FROM p) SELECT 2.0::double AS L, round((SELECT sum((x - y) * (x - y)) FROM p) / (SELECT sum((2 * x - n + 1) * (2 * x - n + 1)) FROM p, n), 6) AS entanglement, (SELECT count(*) FROM p a JOIN p b ON a.x < b.x AND a.y > b.y) AS crossings")
 def w_entanglement_orders(spark, sf_dir):
-    e = _read(spark, sf_dir, "embeddings").where("vec_id < 200")
+    e = _few(_read(spark, sf_dir, "embeddings"))
     at = lambda *c: F.row_number().over(Window.orderBy(*c)) - 1
     return compare.entanglement_df(e.select(at(F.col("embedding")[0], "vec_id").alias("pos1"), at("label", "vec_id").alias("pos2")))
 

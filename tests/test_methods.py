@@ -9,7 +9,7 @@ import numpy as np
 import pandas as pd
 import pytest
 
-from logsketch.functions import cnf, digest, grammar
+from logsketch.functions import cnf, digest, grammar, skeleton
 from logsketch.operators import compare, datalog, distance, fptree, linkage, relabel, rules, summary
 from logsketch.operators.components import components
 
@@ -193,13 +193,28 @@ def test_distances_agree(spark):
     want = {(i, j): d2(have[i], have[j]) for i, j in itertools.combinations(sorted(have), 2)}
     for engine in ("index", "block"):
         assert {(r.i, r.j): r.d2 for r in distance.pairwise(b, engine=engine).collect()} == want
-    assert {(r.i, r.j): r.d2 for r in distance.within(b, 3.0).collect()} == {k: v for k, v in want.items() if v <= 9}
+    for tau in (1.0, 1.5, 3.0):
+        assert {(r.i, r.j): r.d2 for r in distance.within(b, tau).collect()} == {k: v for k, v in want.items() if v <= tau * tau}
+    l1 = {(i, j): sum(abs(have[i].get(f, 0) - have[j].get(f, 0)) for f in have[i].keys() | have[j].keys()) for i, j in want}
+    assert {(r.i, r.j): r.d for r in distance.pairwise(b, "l1").collect()} == l1
     # Components of near pairs first give the same clusters as all at once.
     whole = linkage.cut(linkage.hierarchical(b), have, h=3.0)
     split = linkage.cut(linkage.hierarchical(b, cut=3.0), have, h=3.0)
     assert whole == split
 
 
+def test_near_pairs_without_a_common_feature(spark):
+    rows = [(0, 0, 1), (1, 1, 1), (2, 2, 2), (3, 0, 1), (3, 1, 1), (4, 5, 9)]
+    got = distance.within(spark.createDataFrame(rows, "tree_id long, feature_id long, mult int"), 1.5)
+    assert {(r.i, r.j, r.d2) for r in got.collect()} == {(0, 1, 2), (0, 3, 1), (1, 3, 1)}
+
+
+def test_quotes_in_statements(spark):
+    rows = spark.createDataFrame([("SELECT a FROM t WHERE b = 'x union y'",), ("SELECT a FROM t WHERE b = 'it''s'",), ("SELECT a FROM t UNION SELECT a FROM u",)], "sql string")
+    got = rows.select(skeleton.statement_class(rows.sql), skeleton.fingerprint(rows.sql)).collect()
+    assert [tuple(r) for r in got[:2]] == [("SELECT", "SELECT a FROM t WHERE b = ?")] * 2 and got[2][0] == "UNION"
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(1, 2), (2, 3), (9, 8), (3, 3), (5, None)], "a long, b long")
     assert {r.node: r.component for r in components(edges).collect()} == {1: 1, 2: 1, 3: 1, 8: 8, 9: 8}
