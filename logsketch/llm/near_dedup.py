@@ -17,7 +17,8 @@ the pivot, and afterwards members outside the pivot's component meet every block
 a node of their own; those of them that share FAR tokens with the pivot could be linked with the crowd and stay with it
 as well. Two members, one of the crowd and one below FAR, share at most FAR - 1 + COORDS - CROWD = 29 of 64 tokens; at a
 similarity of 0.8, 51 are expected, and 29 or fewer have a chance of 1e-9. What is still large after the last branch is
-cut into blocks in the same way, whole.
+cut into blocks in the same way, whole. A pivot is mostly that of the same crowd in several trees; these crowds are joined
+into one, which keeps all pairs that any of them holds.
 """
 
 from __future__ import annotations
@@ -145,7 +146,7 @@ def _alike(batches):
             own, pivot = (np.frombuffer(b"".join(batch.column(c).to_pylist()), np.int32).reshape(-1, COORDS) for c in ("sig", "pivot_sig"))
             same = own == pivot
             bits = np.packbits(same, axis=1, bitorder="little").view(np.int64).ravel()
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in ("rep", "node", "n", "pivot")), pa.array(same.sum(axis=1).astype(np.int32)), pa.array(bits)], names=["rep", "node", "n", "pivot", "shared", "same"])
+            yield pa.RecordBatch.from_arrays([batch.column("rep"), batch.column("pivot"), pa.array(same.sum(axis=1).astype(np.int32)), pa.array(bits)], names=["rep", "pivot", "shared", "same"])
 
 
 def _confirm(numerator: int):
@@ -276,14 +277,16 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         small = fits if small is None else small.unionByName(fits)
         rest = sized.where(F.col("n") > NODE)
         if depth == DEPTH or not rest.limit(1).count():
-            large = rest.select("rep", "node", "n", "pivot") if large is None else large.unionByName(rest.select("rep", "node", "n", "pivot"))
+            large = rest.select("rep", "node", "pivot") if large is None else large.unionByName(rest.select("rep", "node", "pivot"))
             break
-        # How many tokens each member of a large node shares with the pivot.
-        pivots = rest.select("pivot").distinct().join(signatures, F.col("pivot") == F.col("rep")).select("pivot", F.col("sig").alias("pivot_sig"))
+        # How many tokens each member of a large node shares with the pivot: looked up once for a pivot of several nodes.
+        near = table(rest.select("rep", "pivot").distinct(), f"near-{depth}")
+        pivots = near.select("pivot").distinct().join(signatures, F.col("pivot") == F.col("rep")).select("pivot", F.col("sig").alias("pivot_sig"))
         pivots = table(pivots, f"pivots-{depth}")
         pivots = F.broadcast(pivots) if bounded_bytes(pivots, PIVOTS_BYTES) else pivots
-        alike = rest.join(signatures, "rep").join(pivots, "pivot").mapInArrow(lean(_alike), "rep long, node long, n long, pivot long, shared int, same long")
-        alike = table(alike, f"alike-{depth}")
+        compared = table(near.join(signatures, "rep").join(pivots, "pivot").mapInArrow(lean(_alike), "rep long, pivot long, shared int, same long"), f"compared-{depth}")
+        alike = table(rest.join(compared, ["rep", "pivot"]).select("rep", "node", "pivot", "shared", "same"), f"alike-{depth}")
+        release(near, compared)
         agree = F.array(*(F.sum(F.shiftright("same", k).bitwiseAND(F.lit(1))) for k in range(COORDS)))
         crowd = alike.groupBy("node").agg(F.sum(F.when(F.col("shared") >= CROWD, 1).otherwise(0)).alias("crowd"), F.sum(F.when(F.col("shared") >= FAR, 1).otherwise(0)).alias("stay"), agree.alias("agree"))
         # Of the coordinates in which the node's members agree least with the pivot, its name picks some.
@@ -291,11 +294,13 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         picked = F.slice(F.array_sort(F.transform(apart, lambda s: F.struct(F.xxhash64("node", s["k"]).alias("h"), s["k"].alias("k")))), 1, BRANCHES)
         crowd = table(crowd.select("node", "crowd", "stay", F.transform(picked, lambda s: s["k"]).alias("coords")), f"crowds-{depth}")
         alike = alike.join(crowd, "node").withColumn("crowded", (F.col("crowd") >= NODE / 4) & (F.col("crowd") >= MOST * F.col("stay")))
-        stays = alike.where(F.col("crowded") & (F.col("shared") >= FAR)).select("rep", "node", F.col("stay").alias("n"), "pivot")
+        # Crowds of one pivot, met in several trees, are one: their union.
+        stays = alike.where(F.col("crowded") & (F.col("shared") >= FAR)).select("rep", F.xxhash64("pivot").alias("node"), "pivot")
         large = stays if large is None else large.unionByName(stays)
         others = alike.where(F.col("crowded") & (F.col("shared") < CROWD)).select("rep", F.xxhash64("node").alias("node"))
         frontier = alike.where(~F.col("crowded")).select("rep", "node", "coords").join(signatures, "rep").select("rep", "node", "coords", "sig").mapInArrow(lean(_branch), "rep long, node long").unionByName(others)
-    large = table(large, "large")
+    large = table(large.distinct(), "large-members")
+    large = table(large.join(large.groupBy("node").agg(F.count("*").alias("n")), "node"), "large")
     blocks = F.ceil(F.col("n") / NODE).cast("int")
     own_block = F.pmod(F.xxhash64("rep"), blocks).cast("int")
     sketches = reps.select("rep", "n_shingles", "odd")
