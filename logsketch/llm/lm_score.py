@@ -18,12 +18,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import lean, sweep, table
+from .common import lean, small_batches, sweep, table, trim
 
 VOCABULARY = (1 << 16) - 1
 PAIR_WEIGHT = 0.5  # of the word pair against the single word
 FLUSH = 400_000
 CHUNK = 2 << 20  # bytes of text whose words and pairs are counted together
+FILE = 4  # chunks of one file, as a reader decodes all of a file's chunks at once
 SHARE = 6 << 20  # bytes of text for each partition of the keys
 WORD, PAIR = 0, 1
 COLUMNS = (4, 2)  # of counts, by kind
@@ -188,6 +189,8 @@ def _answer(rows: pa.Table) -> pa.Table:
         out.append((TOTALS, 1, b"", int((total[0] > 0).sum()), int(total[0].sum()), int(total[2].sum())))
     chunk, width, counts, *sums = zip(*out, strict=True)
     n = len(out)
+    del total, inverse
+    trim()
     return pa.table(
         [pa.array([part] * n, pa.int32()), pa.array([kind] * n, pa.int32()), pa.array(chunk, pa.int64()), pa.array(width, pa.int32()), pa.array(counts, pa.binary()), *(pa.array(x, pa.int64()) for x in sums)],
         names=["part", "kind", "chunk", "width", "counts", "distinct", "background", "aim"],
@@ -241,9 +244,10 @@ def score(docs: DataFrame, target: DataFrame | str) -> DataFrame:
         rows = some(docs, True, F.coalesce(F.col(target), F.lit(False)))
     else:
         rows = some(docs, True, F.lit(False)).unionByName(some(target, False, F.lit(True)))
-    chunks = table(rows.mapInArrow(lean(_chunks), _CHUNKS), "chunks")
+    chunks = table(rows.mapInArrow(lean(_chunks), _CHUNKS), "chunks", FILE)
     parts = max(1, round((chunks.agg(F.sum("size")).first()[0] or 0) / SHARE))
-    answers = table(chunks.mapInArrow(lean(_requests(parts)), _REQUESTS).groupBy("kind", "part").applyInArrow(_answer, _ANSWERS), "answers")
+    with small_batches(docs.sparkSession):
+        answers = table(chunks.mapInArrow(lean(_requests(parts)), _REQUESTS).groupBy("kind", "part").applyInArrow(_answer, _ANSWERS), "answers")
     for _ in range(2):  # the requests' shuffle files go before the next shuffle; Spark's cleaner takes a moment
         sweep(docs.sparkSession)
         time.sleep(1)
