@@ -17,7 +17,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textkernel as K
-from .common import bounded_bytes, lean, table
+from .common import bounded_bytes, lean, small_batches, table
 from .sketch import count_sketch
 
 GRAMS = 1 << 16
@@ -145,14 +145,16 @@ def identify(docs: DataFrame, text: str = "text", declared: str | None = "lang",
         return docs.select(*(F.col(f"`{c}`") for c in kept)).withColumn("language", F.lit(None).cast("string")).withColumn("posterior", F.lit(0.0)).withColumn("accepted", F.lit(False)).withColumn("text_language", F.lit(None).cast("string"))
     n = len(languages)
     cells = 1 << (n * GRAMS - 1).bit_length()
-    counts = count_sketch(rows.select("_text", "_said"), cells, _keys(languages))[: n * GRAMS].reshape(n, GRAMS)
+    with small_batches(spark):
+        counts = count_sketch(rows.select("_text", "_said"), cells, _keys(languages))[: n * GRAMS].reshape(n, GRAMS)
     shared = spark.sparkContext.broadcast(np.log((counts + SMOOTH) / (counts.sum(axis=1, keepdims=True) + SMOOTH * GRAMS)))
 
     best = F.expr("array_position(_ll, array_max(_ll)) - 1").cast("int")
 
     schema = T.StructType([f for f in rows.schema if f.name != "_text"] + [T.StructField(x, T.LongType()) for x in ("_grams", "_good", "_letters")] + [T.StructField("_ll", T.ArrayType(T.DoubleType()))])
     # Texts are scored once; all that follows reads the scores from a table.
-    scored = table(rows.mapInArrow(lean(_likelihoods(shared, n)), schema).withColumn("_best", F.when(F.col("_grams") > 0, best)), "scored")
+    with small_batches(spark):
+        scored = table(rows.mapInArrow(lean(_likelihoods(shared, n)), schema).withColumn("_best", F.when(F.col("_grams") > 0, best)), "scored")
     shared.destroy()
     priors = table(host_priors(scored.select("_best", "_host"), languages), "hosts")
     if bounded_bytes(priors, PRIORS_BYTES):

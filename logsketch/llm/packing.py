@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import lean, table
+from .common import keep, lean, small_batches, table
 
 CAPACITY, END = 4096, 1
 GROUP = 8192  # pieces that are packed together, on average
@@ -54,7 +54,7 @@ class Ids:
     CLASSES, words end at ASCII letters' ends as well, at digits, and at letters that no apostrophe precedes.
     """
 
-    of: dict[str, Ids] = {}
+    of: dict[str, Ids] = keep(__name__, {})
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -444,7 +444,8 @@ def pack(docs: DataFrame, path: str | None = None, capacity: int = CAPACITY, end
     kept. No rows: no rows. Other columns are not read. Which pieces are packed together also depends on how the input
     is split into tasks, so that rows repeated any number of times still spread over all groups.
     """
-    pieces = table(token_pieces(docs, path, capacity, end), "pieces")
+    with small_batches(docs.sparkSession):
+        pieces = table(token_pieces(docs, path, capacity, end), "pieces")
     parts = max(1, round(pieces.count() / GROUP))
     part = F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", F.monotonically_increasing_id()), F.lit(parts)).cast("int")
     return pieces.withColumn("part", part).groupBy("part").applyInPandas(_deal(capacity), "doc_id long, piece int, start long, length long, ids_crc32 long, sequence_id long, offset long")
