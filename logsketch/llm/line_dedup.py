@@ -370,8 +370,8 @@ def without_lines(docs: DataFrame, removed: DataFrame) -> DataFrame:
     per_doc = removed.groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
     out = own.join(per_doc, F.col("_id") == F.col("_doc"), "left")
     text = F.col("_row.text")
-    # Only texts that lose a line go to Python.
-    cut = _without(F.when(F.col("_gone").isNotNull(), text), F.col("_gone"))
+    # Only texts that lose a line go to Python, once: a filter on the result would else run it a second time, in workers of its own.
+    cut = _without.asNondeterministic()(F.when(F.col("_gone").isNotNull(), text), F.col("_gone"))
     out = out.select("_row", "_gone", cut.alias("_cut"))
     n_lines = F.when(text.isNull(), 0).otherwise(F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1)
     kept = [(F.when(F.col("_gone").isNull(), text).otherwise(F.col("_cut")) if c == "text" else F.col(f"_row.`{c}`")).alias(c) for c in columns]

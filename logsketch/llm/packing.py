@@ -28,6 +28,7 @@ NODES, TRIES = 4000, 4  # fillings looked at in one group at most: so many, and
 KNOWN = 600_000  # words whose ids a worker keeps; others are encoded each time
 TOPS = (48, CAPACITY)  # ways of a first descent: from how many of the longest lengths the first of three pieces may come
 TABLE = 1 << 21  # places in the table of these words
+CALL = 1 << 12  # words for one call of the tokenizer, which holds some hundred bytes for each of their ids until it returns
 
 
 def tokenizer_path() -> str:
@@ -92,17 +93,20 @@ class Ids:
         parts: list[np.ndarray] = [np.zeros(0, np.uint32)] * len(words)
         flat = np.zeros(0, np.uint32)
         if len(together):
-            # One call for all words of letters: each is one word to the tokenizer too, and its last id says so.
-            flat = np.array(self.model.encode(b" ".join(words[k] for k in together).decode(), add_special_tokens=False).ids, np.uint32)
+            # Words of letters go together: each is one word to the tokenizer too, and its last id says so.
+            calls = (b" ".join(words[k] for k in together[a : a + CALL]).decode() for a in range(0, len(together), CALL))
+            flat = np.concatenate([np.array(self.model.encode(text, add_special_tokens=False).ids, np.uint32) for text in calls])
             ends = np.flatnonzero(self.last[flat]) + 1
             n[together] = np.diff(ends, prepend=0)
         if len(together) == len(words):
             return flat, n
         begins = np.cumsum(n) - n
         others = np.flatnonzero(~plain)
-        for k, e in zip(others, self.model.encode_batch_fast([words[k].decode() for k in others], add_special_tokens=False), strict=True):
-            parts[k] = np.array(e.ids, np.uint32)
-            n[k] = len(parts[k])
+        for a in range(0, len(others), CALL):
+            some = others[a : a + CALL]
+            for k, e in zip(some, self.model.encode_batch_fast([words[k].decode() for k in some], add_special_tokens=False), strict=True):
+                parts[k] = np.array(e.ids, np.uint32)
+                n[k] = len(parts[k])
         total = np.cumsum(n) - n
         out = np.zeros(int(n.sum()), np.uint32)
         if len(flat):

@@ -78,3 +78,26 @@ def test_ids_are_the_tokenizer_s():
             ids, at = worker.rows(data, offsets)
             for k in range(len(offsets) - 1):
                 assert ids[at[k] : at[k + 1]].tolist() == model.encode(texts[first + k] or "", add_special_tokens=False).ids
+
+
+def test_the_tokenizer_gets_few_words_at_once(monkeypatch):
+    """What a call holds until it returns grows with its words; the ids are the same."""
+    text = pa.array(["".join(f"w{chr(97 + k % 26)}{chr(97 + k // 26 % 26)} z-{k} " for k in range(90)), None])
+    data = next(packing.K.blocks(text))[1:]
+    whole = packing.Ids(packing.tokenizer_path()).rows(*data)
+    small = packing.Ids(packing.tokenizer_path())
+    monkeypatch.setattr(packing, "CALL", 8)
+    model, most = small.model, []
+
+    class Model:
+        def encode(self, text, **k):
+            most.append(len(text.split()))
+            return model.encode(text, **k)
+
+        def encode_batch_fast(self, words, **k):
+            most.append(len(words))
+            return model.encode_batch_fast(words, **k)
+
+    small.model = Model()
+    got = small.rows(*data)
+    assert max(most) <= 8 and all((a == b).all() for a, b in zip(got, whole, strict=True))
