@@ -25,7 +25,8 @@ from .sketch import FAN_IN, add_keys, marks, sliced, summed
 
 NUMERATOR = 80  # per cent of the union
 CELLS = 1 << 18
-HEAVY = 4096  # a set of words that makes up more than 1/HEAVY of all lines is known to every task; there are fewer than HEAVY
+HEAVY = 1 << 16  # sets of words that are known to every task at most: those of the most lines
+SIZES = 64  # numbers of lines up to which sets are counted by it, to find from which on they are so few
 FIRST = 4  # candidates kept for a line and word; lines that have more and stay unresolved meet all of theirs in the end
 STEPS = 4096  # earlier lines of its word that a line meets at first; if more are left, it meets them in the end too
 PART = 4096  # lines of a word's list that meet another part in one task in the end
@@ -44,13 +45,16 @@ def _line_sets(column: pa.Array, rank: np.ndarray | None) -> Iterator[tuple[np.n
         cuts = np.union1d(breaks + 1, offsets[:-1])  # every line's first byte
         cuts = cuts[cuts < len(data)]
         line = np.searchsorted(cuts, starts, side="right") - 1
-        used, line = np.unique(line, return_inverse=True)
+        new = np.diff(line, prepend=-1) > 0
+        used, line = line[new], np.cumsum(new) - 1
         row = np.searchsorted(offsets, cuts[used], side="right") - 1
         number = np.searchsorted(breaks, cuts[used]) - np.searchsorted(breaks, offsets[row])
-        q = np.zeros(len(h), np.uint64) if rank is None else rank[(h & np.uint64(len(rank) - 1)).astype(np.int64)]
+        q = None if rank is None else rank[(h & np.uint64(len(rank) - 1)).astype(np.int64)] << np.uint64(38)
         for k in range(0, len(used), 1 << 16):
             some = (line >= k) & (line < k + (1 << 16)) if len(used) > 1 << 16 else slice(None)
-            key = ((line[some] - k).astype(np.uint64) << np.uint64(48)) | (q[some] << np.uint64(38)) | (h[some] >> np.uint64(26))
+            key = ((line[some] - k).astype(np.uint64) << np.uint64(48)) | (h[some] >> np.uint64(26))
+            if q is not None:
+                key |= q[some]
             order = np.argsort(key, kind="stable")
             key = key[order]
             new = np.ones(len(key), bool)
@@ -67,13 +71,20 @@ def _digests(at: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 def _lines(batches):
     """Every line's digests and, at the end of a task, how often its words' cells occurred, in slices."""
     counts = np.zeros(CELLS, np.uint32)
+    held, size = [], 0  # words are counted many at a time, as each time passes over all counters
     for batch in batches:
         ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
         for row, number, at, _, h in _line_sets(batch.column("text"), None):
-            add_keys(counts, h)
+            held.append(h)
+            size += len(h)
+            if size > CELLS:
+                add_keys(counts, np.concatenate(held))
+                held, size = [], 0
             one, two = _digests(at, h)
             n = len(row)
             yield _rows(pa.array(ids[row], pa.int64()), pa.array(number.astype(np.int32)), pa.array(one), pa.array(two), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()))
+    if held:
+        add_keys(counts, np.concatenate(held))
     found = sliced(counts)
     n = len(found)
     yield _rows(pa.nulls(n, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.array([k for k, _ in found], pa.int32()), pa.array([TaskContext.get().partitionId() // FAN_IN] * n, pa.int32()), pa.array([x for _, x in found], pa.binary()))
@@ -94,7 +105,7 @@ def _need(n: np.ndarray, m: np.ndarray, numerator: int) -> np.ndarray:
 
 def _postings(rank, heavy, buckets: int, numerator: int):
     """One row for a bucket and block of lines: the words at the front of each line, packed in columns."""
-    hot_digest, hot_doc, hot_line = heavy.value
+    hot_digest, hot_other, hot_doc, hot_line = heavy.value
 
     def run(batches):
         pending, size = [], 0
@@ -102,12 +113,12 @@ def _postings(rank, heavy, buckets: int, numerator: int):
             ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
             for row, number, at, key, h in _line_sets(batch.column("text"), rank.value):
                 n = np.diff(at)
-                one, _ = _digests(at, h)
+                one, two = _digests(at, h)
                 doc = ids[row]
                 keep = 100 * n // numerator > n  # smaller sets match equal ones only, which are found by digest
                 if len(hot_digest):
                     near = np.minimum(np.searchsorted(hot_digest, one), len(hot_digest) - 1)
-                    keep &= (hot_digest[near] != one) | ((hot_doc[near] == doc) & (hot_line[near] == number))
+                    keep &= (hot_digest[near] != one) | (hot_other[near] != two) | ((hot_doc[near] == doc) & (hot_line[near] == number))
                 # 128 bits: the first six pick a bit, the seventh picks the half.
                 half = (h >> np.uint64(51)) & np.uint64(1)
                 parity = [np.bitwise_xor.reduceat(np.where(half == k, np.uint64(1) << (h >> np.uint64(58)), np.uint64(0)), at[:-1]) for k in (0, 1)]
@@ -145,11 +156,11 @@ def _packed(pending, buckets: int):
 def _similar(of: tuple[np.ndarray, ...], x: np.ndarray, to: tuple[np.ndarray, ...], y: np.ndarray, numerator: int) -> np.ndarray:
     """Which of the pairs of postings (x of one list, y of another) pass the length, positional and parity filters."""
     n, m = of[3][x].astype(np.int64), to[3][y].astype(np.int64)
-    need = _need(n, m, numerator)
-    ok = (of[7][x] != to[7][y]) & (np.minimum(n - of[4][x], m - to[4][y]) >= need) & (100 * np.minimum(n, m) >= numerator * np.maximum(n, m))
-    i, j = x[ok], y[ok]
+    # The least overlap is within reach from both places; sets whose sizes are too far apart fail this as well.
+    ok = (100 + numerator) * np.minimum(n - of[4][x], m - to[4][y]) >= numerator * (n + m)
+    i, j, n, m = x[ok], y[ok], n[ok], m[ok]
     differ = np.bitwise_count(of[5][i] ^ to[5][j]).astype(np.int64) + np.bitwise_count(of[6][i] ^ to[6][j])
-    ok[ok] = differ <= (n + m - 2 * need)[ok]
+    ok[ok] = (of[7][i] != to[7][j]) & (differ <= n + m - 2 * _need(n, m, numerator))
     return ok
 
 
@@ -294,6 +305,18 @@ def _open_keys(batch: pa.RecordBatch) -> Iterator[np.ndarray]:
     yield _place(batch.column("xd").to_numpy(), batch.column("xl").to_numpy())
 
 
+def _heavy(groups: DataFrame, total: int) -> tuple[np.ndarray, ...]:
+    """Digests, document and line of the first of each set of words that many lines have, by digest; at most HEAVY of them."""
+    by = dict(groups.groupBy(F.least("n", F.lit(SIZES)).alias("n")).count().collect())  # SIZES rows at most
+    above, least = 0, SIZES
+    while least > 1 and above + by.get(least, 0) <= HEAVY:
+        above, least = above + by.get(least, 0), least - 1
+    if least == SIZES:
+        least = max(SIZES, total // HEAVY)  # fewer than HEAVY sets have more lines
+    hot = groups.where(F.col("n") > least).select("d1", "d2", "first.doc_id", "first.line").toPandas().sort_values(["d1", "d2"])
+    return tuple(hot[c].to_numpy(np.int64) for c in hot)
+
+
 def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     """docs (doc_id, text) -> (doc_id, line): the lines, counted from 0, that repeat an earlier one.
 
@@ -311,8 +334,7 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     groups = table(groups.select("d1", "d2", "first", "n"), "equal")
     equal = table(lines.join(groups, ["d1", "d2"]).where(F.struct("doc_id", "line") > F.col("first")).select("doc_id", "line"), "repeats")
     total = lines.count()
-    hot = groups.where(F.col("n") > max(total / HEAVY, 16)).select("d1", "first.doc_id", "first.line").orderBy("d1").collect()  # fewer than HEAVY rows
-    heavy = spark.sparkContext.broadcast(tuple(np.array([r[k] for r in hot], np.int64) for k in range(3)))
+    heavy = spark.sparkContext.broadcast(_heavy(groups, total))
     release(passed, groups)
 
     buckets = max(16, int(total / 40_000))

@@ -122,6 +122,20 @@ def test_lines_odd_rows(spark):
     assert line_dedup.repeated_lines(docs(spark, [])).count() == 0
 
 
+def test_lines_of_many_are_known_to_every_task(spark, monkeypatch):
+    """Sets of words that some lines share are left to their first line, as many sets as a broadcast may hold."""
+    known, postings = [], line_dedup._postings
+    monkeypatch.setattr(line_dedup, "_postings", lambda rank, heavy, *a: known.append(len(heavy.value[0])) or postings(rank, heavy, *a))
+    r = random.Random(4)
+    bases = [" ".join(f"u{r.randint(0, 60)}" for _ in range(r.randint(8, 25))) for _ in range(12)]
+    rows = [(d, "\n".join(noisy(r, r.choice(bases), r.choice([0, 0, 0.05])) for _ in range(4))) for d in range(40)]
+    for most in (1 << 16, 5, 0):
+        monkeypatch.setattr(line_dedup, "HEAVY", most) if most else monkeypatch.setattr(line_dedup, "_heavy", lambda groups, total: (line_dedup.np.zeros(0, line_dedup.np.int64),) * 4)
+        assert {(x.doc_id, x.line) for x in line_dedup.repeated_lines(docs(spark, rows)).collect()} == lines_brute(rows)
+    sets = [frozenset(words(x)) for _, t in rows for x in t.split("\n")]
+    assert known[0] == sum(sets.count(x) > 1 for x in set(sets)) > 5 >= known[1] > 0 == known[2]
+
+
 ITEM = "If Anna buys 12 apples for 5 dollars each and Ben sells 12 of them again then what does the market owe to Anna after 3 days"
 
 
