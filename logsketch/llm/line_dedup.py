@@ -21,7 +21,7 @@ from pyspark.sql import types as T
 
 from . import textkernel as K
 from .common import lean, release, sweep, table
-from .sketch import FAN_IN, add_keys, marks, sliced, summed
+from .sketch import FAN_IN, add_keys, marks, parted, sliced, summed
 
 NUMERATOR = 80  # per cent of the union
 CELLS = 1 << 18
@@ -389,12 +389,15 @@ def without_lines(docs: DataFrame, removed: DataFrame) -> DataFrame:
     """docs with `removed` lines cut from text; adds n_lines, n_removed, in place of columns of these names. Lines stay apart by \\n; null text stays null."""
     columns = [c for c in docs.columns if c not in ("n_lines", "n_removed")]
     own = docs.select(F.struct(*(F.col(f"`{c}`") for c in columns)).alias("_row"), F.col("doc_id").alias("_id"))
+    # Most rows need not meet the lines that go: only those that may lose one are shuffled.
+    whole, some = parted(own, F.xxhash64(F.col("_id").cast("long")), removed.select(F.xxhash64(F.col("doc_id").cast("long"))))
     per_doc = removed.groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
-    out = own.join(per_doc, F.col("_id") == F.col("_doc"), "left")
-    text = F.col("_row.text")
+    out = some.join(per_doc, F.col("_id") == F.col("_doc"), "left")
     # Only texts that lose a line go to Python, once: a filter on the result would else run it a second time, in workers of its own.
-    cut = _without.asNondeterministic()(F.when(F.col("_gone").isNotNull(), text), F.col("_gone"))
+    cut = _without.asNondeterministic()(F.when(F.col("_gone").isNotNull(), F.col("_row.text")), F.col("_gone"))
     out = out.select("_row", "_gone", cut.alias("_cut"))
+    out = out.unionByName(whole.select("_row", F.lit(None).cast(out.schema["_gone"].dataType).alias("_gone"), F.lit(None).cast("string").alias("_cut")))
+    text = F.col("_row.text")
     n_lines = F.when(text.isNull(), 0).otherwise(F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1)
     kept = [(F.when(F.col("_gone").isNull(), text).otherwise(F.col("_cut")) if c == "text" else F.col(f"_row.`{c}`")).alias(c) for c in columns]
     return out.select(*kept, n_lines.cast("int").alias("n_lines"), F.when(F.col("_gone").isNull(), 0).otherwise(F.size("_gone")).alias("n_removed"))

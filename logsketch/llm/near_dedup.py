@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 from . import textkernel as K
 from .common import bounded_bytes, lean, release, table
 from .components import components
-from .sketch import marks
+from .sketch import marks, parted
 
 WORDS, NUMERATOR = 5, 80
 COORDS = 64
@@ -264,6 +264,10 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     own = some.join(groups.withColumnRenamed("rep", "doc_id"), ["doc_id", "d1", "d2", "n_shingles"]).dropDuplicates(["doc_id", "d1", "d2", "n_shingles"])
     reps = table(own.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "doc_id", "n_shingles", "sig", "odd"), "representatives")
 
+    def needed(of: DataFrame, rows: DataFrame) -> DataFrame:
+        """Those of the representatives that rows name, and a few others: the rest need not be shuffled for a join."""
+        return parted(of, F.xxhash64("rep"), rows.select(F.xxhash64("rep")))[1]
+
     signatures = reps.select("rep", "sig")
     frontier, small, large = signatures.mapInArrow(lean(_roots(trees)), "rep long, node long"), None, None
     for depth in range(DEPTH + 1):
@@ -281,12 +285,13 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
             break
         # How many tokens each member of a large node shares with the pivot: looked up once for a pivot of several nodes.
         near = table(rest.select("rep", "pivot").distinct(), f"near-{depth}")
+        before, signatures = signatures, table(needed(signatures, near), f"signatures-{depth}")
         pivots = near.select("pivot").distinct().join(signatures, F.col("pivot") == F.col("rep")).select("pivot", F.col("sig").alias("pivot_sig"))
         pivots = table(pivots, f"pivots-{depth}")
         pivots = F.broadcast(pivots) if bounded_bytes(pivots, PIVOTS_BYTES) else pivots
         compared = table(near.join(signatures, "rep").join(pivots, "pivot").mapInArrow(lean(_alike), "rep long, pivot long, shared int, same long"), f"compared-{depth}")
         alike = table(rest.join(compared, ["rep", "pivot"]).select("rep", "node", "pivot", "shared", "same"), f"alike-{depth}")
-        release(near, compared)
+        release(near, compared, *([before] if depth else []))
         agree = F.array(*(F.sum(F.shiftright("same", k).bitwiseAND(F.lit(1))) for k in range(COORDS)))
         crowd = alike.groupBy("node").agg(F.sum(F.when(F.col("shared") >= CROWD, 1).otherwise(0)).alias("crowd"), F.sum(F.when(F.col("shared") >= FAR, 1).otherwise(0)).alias("stay"), agree.alias("agree"))
         # Of the coordinates in which the node's members agree least with the pivot, its name picks some.
@@ -299,6 +304,8 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         large = stays if large is None else large.unionByName(stays)
         others = alike.where(F.col("crowded") & (F.col("shared") < CROWD)).select("rep", F.xxhash64("node").alias("node"))
         frontier = alike.where(~F.col("crowded")).select("rep", "node", "coords").join(signatures, "rep").select("rep", "node", "coords", "sig").mapInArrow(lean(_branch), "rep long, node long").unionByName(others)
+    if depth:
+        release(signatures)
     large = table(large.distinct(), "large-members")
     large = table(large.join(large.groupBy("node").agg(F.count("*").alias("n")), "node"), "large")
     blocks = F.ceil(F.col("n") / NODE).cast("int")
@@ -306,7 +313,7 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     sketches = reps.select("rep", "n_shingles", "odd")
 
     def gathered(rows: DataFrame) -> DataFrame:
-        return rows.join(sketches, "rep").repartition("node", "block").sortWithinPartitions("node", "block")
+        return rows.join(needed(sketches, rows), "rep").repartition("node", "block").sortWithinPartitions("node", "block")
 
     in_blocks = large.withColumn("block", F.explode(F.when(F.col("rep") == F.col("pivot"), F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(own_block))))
     first = small.withColumn("block", F.lit(0)).select("rep", "node", "block").unionByName(in_blocks.select("rep", "node", "block"))

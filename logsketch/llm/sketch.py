@@ -8,13 +8,14 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import lean
+from .common import lean, table
 
 SLICE = 1 << 14
 FAN_IN = 256  # tasks whose counters are added up in one step
+APART = 1 << 24  # cells of parted()
 
 
 def sliced(counts: np.ndarray) -> list[tuple[int, bytes]]:
@@ -84,3 +85,18 @@ def marks(df: DataFrame, cells: int, keys: Callable[[pa.RecordBatch], Iterator[n
     words = np.zeros(cells // 64, np.int64)
     words[found["place"].to_numpy(np.int64)] = found["bits"].to_numpy(np.int64)
     return np.unpackbits(words.view(np.uint8)).astype(bool)
+
+
+def parted(rows: DataFrame, key: Column, keys: DataFrame, cells: int = APART) -> tuple[DataFrame, DataFrame]:
+    """rows in two: those whose key is surely none of keys, and all others, which an exact step has to follow.
+
+    key: a 64-bit hash over rows; keys: one column of such hashes. Every task gets cells / 64 rows at most, however many
+    keys there are, so that large rows are not shuffled for the few of them that keys are about. A power of two."""
+    own = [F.col(f"`{c}`") for c in rows.columns]
+    bit = lambda at: F.call_function("shiftleft", F.lit(1).cast("long"), at.bitwiseAND(F.lit(63)).cast("int"))
+    at = keys.select(F.col(keys.columns[0]).bitwiseAND(F.lit(cells - 1)).alias("at"))
+    marked = table(at.groupBy(F.shiftright("at", 6).cast("int").alias("_place")).agg(F.bit_or(bit(F.col("at"))).alias("_bits")), "marks")
+    both = rows.withColumn("_at", key.bitwiseAND(F.lit(cells - 1)))
+    both = both.join(F.broadcast(marked), F.shiftright("_at", 6).cast("int") == F.col("_place"), "left")
+    hit = F.coalesce(F.col("_bits").bitwiseAND(bit(F.col("_at"))) != 0, F.lit(False))
+    return both.where(~hit).select(*own), both.where(hit).select(*own)
