@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textkernel as K
-from .common import lean, release, sweep, table
+from .common import lean, release, small_batches, sweep, table
 from .sketch import FAN_IN, add_keys, marks, parted, sliced, summed
 
 NUMERATOR = 80  # per cent of the union
@@ -326,7 +326,8 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     """
     spark: SparkSession = docs.sparkSession
     docs = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
-    passed = table(docs.mapInArrow(lean(_lines), "doc_id long, line int, d1 long, d2 long, slice int, part int, counts binary"), "lines")
+    with small_batches(spark):
+        passed = table(docs.mapInArrow(lean(_lines), "doc_id long, line int, d1 long, d2 long, slice int, part int, counts binary"), "lines")
     lines = passed.where("slice is null").select("doc_id", "line", "d1", "d2")
     counts = summed(passed.where("slice is not null"), CELLS)
     rank = spark.sparkContext.broadcast(np.minimum((np.log2(counts.astype(np.float64) + 1) * 30).astype(np.uint64), np.uint64(1023)))
@@ -339,7 +340,8 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
 
     buckets = max(16, int(total / 40_000))
     packed = docs.mapInArrow(lean(_postings(rank, heavy, buckets, numerator)), "bucket int, " + ", ".join(f"c{k} binary" for k in range(len(_KINDS))))
-    found = table(packed.groupBy("bucket").applyInPandas(_candidates(numerator), "kind int, xd long, xl int, yd long, yl int, list binary"), "candidates")
+    with small_batches(spark):
+        found = table(packed.groupBy("bucket").applyInPandas(_candidates(numerator), "kind int, xd long, xl int, yd long, yl int, list binary"), "candidates")
     sweep(spark)
     for b in (rank, heavy):
         b.destroy()
@@ -347,7 +349,8 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
 
     def confirmed(pairs: DataFrame) -> DataFrame:
         seen_docs, seen_lines = (spark.sparkContext.broadcast(marks(pairs.select(*columns), SEEN, keys)) for columns, keys in ((("xd", "yd"), _doc_keys), (pair, _line_keys)))
-        words = table(docs.mapInArrow(lean(_words_of(seen_docs, seen_lines)), "doc_id long, line int, words binary"), "words")
+        with small_batches(spark):
+            words = table(docs.mapInArrow(lean(_words_of(seen_docs, seen_lines)), "doc_id long, line int, words binary"), "words")
         for b in (seen_docs, seen_lines):
             b.destroy()
         once = words.dropDuplicates(["doc_id", "line"])

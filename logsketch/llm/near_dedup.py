@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .common import bounded_bytes, lean, release, table
+from .common import bounded_bytes, lean, release, small_batches, table
 from .components import components
 from .sketch import marks, parted
 
@@ -257,7 +257,8 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
     is linked with nothing and stays, with a null component. Other columns are not read. No rows: no rows.
     """
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    features = table(docs.mapInArrow(lean(_features(words)), "doc_id long, n_shingles long, d1 long, d2 long, sig binary, odd binary"), "features")
+    with small_batches(docs.sparkSession):
+        features = table(docs.mapInArrow(lean(_features(words)), "doc_id long, n_shingles long, d1 long, d2 long, sig binary, odd binary"), "features")
     some = features.where("doc_id is not null and n_shingles > 0")
     groups = table(some.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("rep")), "groups")
     # A representative goes by a name made of its id and its set, as rows that share an id may differ in text.
@@ -325,7 +326,8 @@ def near_duplicates(docs: DataFrame, words: int = WORDS, numerator: int = NUMERA
         seen = docs.sparkSession.sparkContext.broadcast(marks(ids, SEEN, _id_keys))
         sets = docs.where("doc_id is not null").mapInArrow(lean(_sets(words, seen)), "doc_id long, d1 long, d2 long, n_shingles long, tokens binary")
         sets = sets.select(F.xxhash64("doc_id", "d1", "d2", "n_shingles").alias("rep"), "tokens")
-        sets = table(sets.join(ids.select("rep"), "rep", "left_semi"), f"sets-{what}").dropDuplicates(["rep"])
+        with small_batches(docs.sparkSession):
+            sets = table(sets.join(ids.select("rep"), "rep", "left_semi"), f"sets-{what}").dropDuplicates(["rep"])
         seen.destroy()
         one, two = sets.select(F.col("rep").alias("a"), F.col("tokens").alias("tokens_a")), sets.select(F.col("rep").alias("b"), F.col("tokens").alias("tokens_b"))
         return table(pairs.join(one, "a").join(two, "b").select("a", "b", "tokens_a", "tokens_b").mapInArrow(lean(_confirm(numerator)), "a long, b long"), f"links-{what}")
