@@ -31,8 +31,9 @@ FIRST = 4  # candidates kept for a line and word; lines that have more and stay
 STEPS = 4096  # earlier lines of its word that a line meets at first; if more are left, it meets them in the end too
 PART = 4096  # lines of a word's list that meet another part in one task in the end
 SEEN = 1 << 22
-_NEWLINE = np.zeros(256, bool)
-_NEWLINE[0x0A] = True
+HELD = 1 << 17  # lines of a task whose sets are told apart before they are passed on, about
+SETS = 100_000  # lines whose sets meet in one task, about
+FEW = 64  # lines that go from a text without Python, at most: each of the text's lines is looked for among them
 
 
 def _line_sets(column: pa.Array, rank: np.ndarray | None) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
@@ -41,12 +42,11 @@ def _line_sets(column: pa.Array, rank: np.ndarray | None) -> Iterator[tuple[np.n
         starts, _, h, _ = K.words(data, offsets)
         if not len(h):
             continue
-        breaks = np.flatnonzero(_NEWLINE[data])
-        cuts = np.union1d(breaks + 1, offsets[:-1])  # every line's first byte
-        cuts = cuts[cuts < len(data)]
-        line = np.searchsorted(cuts, starts, side="right") - 1
-        new = np.diff(line, prepend=-1) > 0
-        used, line = line[new], np.cumsum(new) - 1
+        breaks = np.flatnonzero(data == 0x0A)
+        cuts = np.sort(np.concatenate([breaks + 1, offsets[:-1]]))  # every line's first byte; words belong to the last of equal ones
+        size = np.diff(np.searchsorted(starts, cuts), append=len(h))
+        used = np.flatnonzero(size)
+        line = np.repeat(np.arange(len(used)), size[used])
         row = np.searchsorted(offsets, cuts[used], side="right") - 1
         number = np.searchsorted(breaks, cuts[used]) - np.searchsorted(breaks, offsets[row])
         q = None if rank is None else rank[(h & np.uint64(len(rank) - 1)).astype(np.int64)] << np.uint64(38)
@@ -55,7 +55,7 @@ def _line_sets(column: pa.Array, rank: np.ndarray | None) -> Iterator[tuple[np.n
             key = ((line[some] - k).astype(np.uint64) << np.uint64(48)) | (h[some] >> np.uint64(26))
             if q is not None:
                 key |= q[some]
-            order = np.argsort(key, kind="stable")
+            order = np.argsort(key)
             key = key[order]
             new = np.ones(len(key), bool)
             new[1:] = key[1:] != key[:-1]
@@ -69,9 +69,11 @@ def _digests(at: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _lines(batches):
-    """Every line's digests and, at the end of a task, how often its words' cells occurred, in slices."""
+    """Of many lines at a time, the sets of words they have, packed in columns, and the lines that repeat an earlier one of
+    them; at the end of a task, how often its words' cells occurred, in slices."""
     counts = np.zeros(CELLS, np.uint32)
     held, size = [], 0  # words are counted many at a time, as each time passes over all counters
+    lines, n = [], 0
     for batch in batches:
         ids = batch.column("doc_id").to_numpy(zero_copy_only=False)
         for row, number, at, _, h in _line_sets(batch.column("text"), None):
@@ -80,18 +82,75 @@ def _lines(batches):
             if size > CELLS:
                 add_keys(counts, np.concatenate(held))
                 held, size = [], 0
-            one, two = _digests(at, h)
-            n = len(row)
-            yield _rows(pa.array(ids[row], pa.int64()), pa.array(number.astype(np.int32)), pa.array(one), pa.array(two), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary()))
+            lines.append((*_digests(at, h), ids[row].astype(np.int64), np.ones(len(row), np.int64), number.astype(np.int32)))
+            n += len(row)
+            if n >= HELD:
+                yield from _told_apart(lines)
+                lines, n = [], 0
+    if lines:
+        yield from _told_apart(lines)
     if held:
         add_keys(counts, np.concatenate(held))
     found = sliced(counts)
-    n = len(found)
-    yield _rows(pa.nulls(n, pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.int64()), pa.nulls(n, pa.int64()), pa.array([k for k, _ in found], pa.int32()), pa.array([TaskContext.get().partitionId() // FAN_IN] * n, pa.int32()), pa.array([x for _, x in found], pa.binary()))
+    yield _rows(len(found), slice=pa.array([k for k, _ in found], pa.int32()), part=pa.array([TaskContext.get().partitionId() // FAN_IN] * len(found), pa.int32()), counts=pa.array([x for _, x in found], pa.binary()))
 
 
-def _rows(*columns: pa.Array) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays(list(columns), names=["doc_id", "line", "d1", "d2", "slice", "part", "counts"])
+_PASSED = {"doc_id": pa.int64(), "line": pa.int32(), "n": pa.int64(), "sets": pa.binary(), "slice": pa.int32(), "part": pa.int32(), "counts": pa.binary()}
+
+
+def _rows(size: int, /, **columns: pa.Array) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([columns.get(k, pa.nulls(size, kind)) for k, kind in _PASSED.items()], names=list(_PASSED))
+
+
+_SETS = (np.int64, np.int64, np.int64, np.int64, np.int32)  # two digests, the first line's document, how many lines, the first line's number
+
+
+def _grouped(columns) -> tuple[tuple[np.ndarray, ...], np.ndarray, np.ndarray]:
+    """Sets, in the order of their first digest, each with its first line and the number of its lines; document and number of all other lines."""
+    one, two, doc, n, line = columns
+    order = np.argsort(one)
+    new = np.ones(len(one), bool)
+    new[1:] = one[order[1:]] != one[order[:-1]]
+    several = ~new  # only what shares its first digest has to be put in order
+    several[:-1] |= ~new[1:]
+    some = order[several]
+    order[several] = some[np.lexsort((line[some], doc[some], two[some], one[some]))]
+    one, two, doc, n, line = (x[order] for x in columns)
+    new[1:] |= two[1:] != two[:-1]
+    begin = np.flatnonzero(new)
+    first = np.repeat(begin, np.diff(begin, append=len(one)))
+    other = (doc != doc[first]) | (line != line[first])  # not so where rows repeat a doc_id
+    return (one[begin], two[begin], doc[begin], np.add.reduceat(n, begin), line[begin]), doc[other], line[other]
+
+
+def _told_apart(lines) -> Iterator[pa.RecordBatch]:
+    sets, doc, line = _grouped([np.concatenate(x) for x in zip(*lines, strict=True)])
+    yield _rows(len(doc), doc_id=pa.array(doc), line=pa.array(line))
+    yield _rows(1, n=pa.array([int(sets[3].sum())]), sets=pa.array([b"".join(x.tobytes() for x in sets)], pa.binary()))
+
+
+def _dealt(buckets: int):
+    """Packed sets -> the same by bucket of their first digest."""
+
+    def run(batches):
+        for batch in batches:
+            for blob in batch.column("sets"):
+                columns = _unpacked(blob.as_buffer(), _SETS)
+                bucket = (((columns[0].view(np.uint64) >> np.uint64(32)) * np.uint64(buckets)) >> np.uint64(32)).astype(np.int32)
+                at = np.flatnonzero(np.diff(bucket, prepend=-1))  # sets are in order, so a bucket is one run, or two if it holds 0
+                parts = [b"".join(c[a:b].tobytes() for c in columns) for a, b in zip(at, np.append(at[1:], len(bucket)), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(bucket[at]), pa.array(parts, pa.binary())], names=["bucket", "sets"])
+
+    return run
+
+
+def _repeats(rows: pd.DataFrame) -> pd.DataFrame:
+    """In one bucket: the lines that repeat an earlier one (n is 0), and of each set that several lines have the first line and their number."""
+    (one, two, first, n, number), doc, line = _grouped([np.concatenate(x) for x in zip(*(_unpacked(x, _SETS) for x in rows["sets"]), strict=True)])
+    several = n > 1
+    none = np.zeros(len(doc), np.int64)
+    both = {"doc_id": (doc, first), "line": (line, number), "d1": (none, one), "d2": (none, two), "n": (none, n)}
+    return pd.DataFrame({k: np.concatenate([x, y[several]]) for k, (x, y) in both.items()})
 
 
 def _place(doc: np.ndarray, line: np.ndarray) -> np.ndarray:
@@ -121,7 +180,8 @@ def _postings(rank, heavy, buckets: int, numerator: int):
                     keep &= (hot_digest[near] != one) | (hot_other[near] != two) | ((hot_doc[near] == doc) & (hot_line[near] == number))
                 # 128 bits: the first six pick a bit, the seventh picks the half.
                 half = (h >> np.uint64(51)) & np.uint64(1)
-                parity = [np.bitwise_xor.reduceat(np.where(half == k, np.uint64(1) << (h >> np.uint64(58)), np.uint64(0)), at[:-1]) for k in (0, 1)]
+                bit = np.uint64(1) << (h >> np.uint64(58))
+                parity = [np.bitwise_xor.reduceat(bit * x, at[:-1]) for x in (half ^ np.uint64(1), half)]
                 front = np.where(keep, n - -((-numerator * n) // 100) + 1, 0)
                 of = np.repeat(np.arange(len(n)), front)
                 place = np.arange(len(of)) - np.repeat(np.cumsum(front) - front, front)
@@ -153,15 +213,21 @@ def _packed(pending, buckets: int):
     yield pa.RecordBatch.from_arrays([pa.array(bucket[at])] + [pa.array(b, pa.binary()) for b in blobs], names=["bucket", *(f"c{k}" for k in range(len(_KINDS)))])
 
 
+def _ready(own: tuple[np.ndarray, ...], numerator: int) -> tuple[np.ndarray, ...]:
+    """What the filters compare of each posting of a list: how much of the overlap is within reach and how much is due, in the same unit, and the rest."""
+    kind = np.int32 if not len(own[3]) or own[3].max() < 1 << 22 else np.int64
+    n = own[3].astype(kind)
+    return (100 + numerator) * (n - own[4].astype(kind)), numerator * n, n, *own[5:]
+
+
 def _similar(of: tuple[np.ndarray, ...], x: np.ndarray, to: tuple[np.ndarray, ...], y: np.ndarray, numerator: int) -> np.ndarray:
-    """Which of the pairs of postings (x of one list, y of another) pass the length, positional and parity filters."""
-    n, m = of[3][x].astype(np.int64), to[3][y].astype(np.int64)
+    """Where the pairs of postings (x of one list, y of another, both ready) are that pass the length, positional and parity filters."""
     # The least overlap is within reach from both places; sets whose sizes are too far apart fail this as well.
-    ok = (100 + numerator) * np.minimum(n - of[4][x], m - to[4][y]) >= numerator * (n + m)
-    i, j, n, m = x[ok], y[ok], n[ok], m[ok]
-    differ = np.bitwise_count(of[5][i] ^ to[5][j]).astype(np.int64) + np.bitwise_count(of[6][i] ^ to[6][j])
-    ok[ok] = (of[7][i] != to[7][j]) & (differ <= n + m - 2 * _need(n, m, numerator))
-    return ok
+    at = np.flatnonzero(np.minimum(of[0][x], to[0][y]) >= of[1][x] + to[1][y])
+    i, j = x[at], y[at]
+    n, m = of[2][i], to[2][j]
+    differ = np.bitwise_count(of[3][i] ^ to[3][j]) + np.bitwise_count(of[4][i] ^ to[4][j])  # 128 at most
+    return at[(differ <= n + m - 2 * _need(n, m, numerator)) & (of[5][i] != to[5][j])]
 
 
 def _candidates(numerator: int):
@@ -170,31 +236,38 @@ def _candidates(numerator: int):
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         bucket = int(rows["bucket"].iloc[0])
-        own = tuple(np.concatenate([np.frombuffer(x, kind) for x in rows[f"c{k}"]]) for k, kind in enumerate(_KINDS))
-        order = np.lexsort((own[2], own[1], own[0]))
-        own = tuple(x[order] for x in own)
+        begins = np.argsort([np.frombuffer(x, np.int64, 1)[0] for x in rows["c1"]], kind="stable")  # blobs that are in order follow each other
+        own = tuple(np.concatenate([np.frombuffer(rows[f"c{k}"].iloc[b], kind) for b in begins]) for k, kind in enumerate(_KINDS))
+        order = np.sort((own[0].astype(np.uint64) << np.uint64(32)) | np.arange(len(own[0]), dtype=np.uint64)) & np.uint64((1 << 32) - 1)
+        own = tuple(x[order.astype(np.int64)] for x in own)
         word, doc, line = own[:3]
+        if ((word[1:] == word[:-1]) & ((doc[1:] < doc[:-1]) | ((doc[1:] == doc[:-1]) & (line[1:] < line[:-1])))).any():
+            order = np.lexsort((line, doc, word))
+            own = tuple(x[order] for x in own)
+            word, doc, line = own[:3]
+        ready = _ready(own, numerator)
         begin = np.flatnonzero(np.diff(word.astype(np.int64), prepend=-1))
         sizes = np.diff(np.append(begin, len(word)))
         start = np.repeat(begin, sizes)
-        here = np.arange(len(word))
         got = np.zeros(len(word), np.int32)
         out = []
         # Step k compares each line with the k-th line of its word's list, from the earliest on.
-        x, step = np.flatnonzero(here > start), 0
+        x, step = np.flatnonzero(np.arange(len(word)) > start), 0
+        start = start[x]
         more = np.zeros(len(word), bool)
         while len(x):
-            y = start[x] + step
-            at = np.flatnonzero(_similar(own, x, own, y, numerator))
-            if len(at):
-                got[x[at]] += 1
-                out.append(np.stack([doc[x[at]], line[x[at]].astype(np.int64), doc[y[at]], line[y[at]].astype(np.int64)]))
+            y = start + step
+            at = _similar(ready, x, ready, y, numerator)
+            out.append((x[at], y[at]))
+            got[x[at]] += 1
             step += 1
-            x = x[start[x] + step < x]
-            done = got[x] >= FIRST if step < STEPS else np.ones(len(x), bool)
+            left = start + step < x
+            done = at[(got[x[at]] >= FIRST) & left[at]] if step < STEPS else np.flatnonzero(left)
             more[x[done]] = True
-            x = x[~done]
-        pairs = np.concatenate(out, axis=1) if out else np.zeros((4, 0), np.int64)
+            left[done] = False
+            x, start = x[left], start[left]
+        x, y = (np.concatenate(k) for k in zip(*out, strict=True)) if out else np.zeros((2, 0), np.int64)
+        pairs = np.stack([doc[x], line[x].astype(np.int64), doc[y], line[y].astype(np.int64)])
         open_ = np.flatnonzero(more)
         lists = []
         for k in np.unique(np.searchsorted(begin, open_, side="right") - 1).tolist():
@@ -217,12 +290,11 @@ def _candidates(numerator: int):
 
 
 PAIR, OPEN, LIST = 0, 1, 2
-_WIDTH = sum(np.dtype(k).itemsize for k in _KINDS)
 
 
-def _unpacked(blob: bytes) -> tuple[np.ndarray, ...]:
-    n, at, out = len(blob) // _WIDTH, 0, []
-    for kind in _KINDS:
+def _unpacked(blob: bytes, kinds=_KINDS) -> tuple[np.ndarray, ...]:
+    n, at, out = len(memoryview(blob)) // sum(np.dtype(k).itemsize for k in kinds), 0, []
+    for kind in kinds:
         out.append(np.frombuffer(blob, kind, n, at))
         at += n * np.dtype(kind).itemsize
     return tuple(out)
@@ -235,10 +307,11 @@ def _remaining(numerator: int, open_):
         for batch in batches:
             for p, q, one, two in zip(batch.column("p").to_pylist(), batch.column("q").to_pylist(), batch.column("one"), batch.column("two"), strict=True):
                 of, to = _unpacked(one.as_py()), _unpacked(two.as_py())
+                ready, against = _ready(of, numerator), _ready(to, numerator)
                 out = [np.zeros((4, 0), np.int64)]
                 for x in np.flatnonzero(open_.value[(_place(of[1], of[2]) & np.uint64(SEEN - 1)).astype(np.int64)]).tolist():
                     y = np.arange(x if p == q else len(to[0]))
-                    y = y[_similar(of, np.full(len(y), x), to, y, numerator)]
+                    y = y[_similar(ready, np.full(len(y), x), against, y, numerator)]
                     out.append(np.stack([np.full(len(y), of[1][x]), np.full(len(y), of[2][x], np.int64), to[1][y], to[2][y].astype(np.int64)]))
                 found = np.concatenate(out, axis=1)
                 yield pa.RecordBatch.from_arrays([pa.array(found[0]), pa.array(found[1].astype(np.int32)), pa.array(found[2]), pa.array(found[3].astype(np.int32))], names=["xd", "xl", "yd", "yl"])
@@ -260,33 +333,55 @@ def _words_of(seen_docs, seen_lines):
             ids = ids[some]
             for row, number, at, _, h in _line_sets(batch.column("text"), None):
                 keep = np.flatnonzero(lines[(_place(ids[row], number) & np.uint64(SEEN - 1)).astype(np.int64)])
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids[row][keep]), pa.array(number[keep].astype(np.int32)), pa.array([np.unique(h[at[k] : at[k + 1]] >> np.uint64(24)).astype(np.uint64).view(np.uint8).reshape(-1, 8)[:, :5].tobytes() for k in keep], pa.binary())], names=["doc_id", "line", "words"]
-                )
+                yield pa.RecordBatch.from_arrays([pa.array(ids[row][keep]), pa.array(number[keep].astype(np.int32)), _forty_bits(at, h, keep)], names=["doc_id", "line", "words"])
 
     return run
 
 
-def _words(cell) -> np.ndarray:
-    """Forty bits of each word, sorted."""
-    packed = np.frombuffer(cell.as_buffer(), np.uint8).reshape(-1, 5)
+def _forty_bits(at: np.ndarray, h: np.ndarray, keep: np.ndarray) -> pa.Array:
+    """Forty bits of each word of the lines in keep (65,536 at most), sorted, in a cell for each line."""
+    n = np.diff(at)[keep]
+    of = np.repeat(np.arange(len(keep)), n)
+    key = (of.astype(np.uint64) << np.uint64(40)) | (h[np.arange(len(of)) + (at[keep] - np.cumsum(n) + n)[of]] >> np.uint64(24))
+    key.sort()
+    new = np.ones(len(key), bool)
+    new[1:] = key[1:] != key[:-1]
+    key = key[new]
+    ends = 5 * np.searchsorted(key, np.arange(len(keep) + 1, dtype=np.uint64) << np.uint64(40))
+    packed = key.view(np.uint8).reshape(-1, 8)[:, :5].tobytes()
+    return pa.Array.from_buffers(pa.large_binary(), len(keep), [None, pa.py_buffer(ends.astype(np.int64).tobytes()), pa.py_buffer(packed)]).cast(pa.binary())
+
+
+def _words(cells: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Where the words of each cell begin, and forty bits of each word."""
+    cells = cells.cast(pa.large_binary())
+    _, ends, data = cells.buffers()
+    at = np.frombuffer(ends, np.int64)[cells.offset : cells.offset + len(cells) + 1]
+    packed = np.frombuffer(data, np.uint8)[at[0] : at[-1]].reshape(-1, 5)
     out = np.zeros((len(packed), 8), np.uint8)
     out[:, :5] = packed
-    return out.view(np.uint64).ravel()
+    return (at - at[0]) // 5, out.view(np.uint64).ravel()
+
+
+AT_ONCE = 1 << 20  # words of pairs that are compared in one go, about
 
 
 def _verify(numerator: int):
     def run(batches):
         for batch in batches:
-            keep = np.zeros(batch.num_rows, bool)
-            one, two = batch.column("xw"), batch.column("yw")
-            for k in range(batch.num_rows):
-                x, y = _words(one[k]), _words(two[k])
-                at = np.searchsorted(y, x)
-                at[at == len(y)] = 0
-                both = int((y[at] == x).sum())
-                keep[k] = 100 * both >= numerator * (len(x) + len(y) - both)
-            yield pa.RecordBatch.from_arrays([batch.column("xd"), batch.column("xl")], names=["doc_id", "line"]).filter(pa.array(keep))
+            (ax, x), (ay, y) = _words(batch.column("xw")), _words(batch.column("yw"))
+            n, m = np.diff(ax), np.diff(ay)
+            upto, both = np.cumsum(n + m), np.zeros(batch.num_rows, np.int64)
+            a = 0
+            while a < batch.num_rows:
+                b = max(a + 1, int(np.searchsorted(upto, (upto[a - 1] if a else 0) + AT_ONCE, side="right")))
+                b = min(b, a + (1 << 24))
+                of = np.arange(b - a, dtype=np.uint64) << np.uint64(40)
+                key = np.concatenate([np.repeat(of, n[a:b]) | x[ax[a] : ax[b]], np.repeat(of, m[a:b]) | y[ay[a] : ay[b]]])
+                key.sort()
+                both[a:b] = np.bincount((key[1:][key[1:] == key[:-1]] >> np.uint64(40)).astype(np.int64), minlength=b - a)
+                a = b
+            yield pa.RecordBatch.from_arrays([batch.column("xd"), batch.column("xl")], names=["doc_id", "line"]).filter(pa.array(100 * both >= numerator * (n + m - both)))
 
     return run
 
@@ -313,7 +408,7 @@ def _heavy(groups: DataFrame, total: int) -> tuple[np.ndarray, ...]:
         above, least = above + by.get(least, 0), least - 1
     if least == SIZES:
         least = max(SIZES, total // HEAVY)  # fewer than HEAVY sets have more lines
-    hot = groups.where(F.col("n") > least).select("d1", "d2", "first.doc_id", "first.line").toPandas().sort_values(["d1", "d2"])
+    hot = groups.where(F.col("n") > least).select("d1", "d2", "doc_id", "line").toPandas().sort_values(["d1", "d2"])
     return tuple(hot[c].to_numpy(np.int64) for c in hot)
 
 
@@ -327,16 +422,15 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     spark: SparkSession = docs.sparkSession
     docs = docs.where("doc_id is not null").select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     with small_batches(spark):
-        passed = table(docs.mapInArrow(lean(_lines), "doc_id long, line int, d1 long, d2 long, slice int, part int, counts binary"), "lines")
-    lines = passed.where("slice is null").select("doc_id", "line", "d1", "d2")
+        passed = table(docs.mapInArrow(lean(_lines), "doc_id long, line int, n long, sets binary, slice int, part int, counts binary"), "lines")
     counts = summed(passed.where("slice is not null"), CELLS)
     rank = spark.sparkContext.broadcast(np.minimum((np.log2(counts.astype(np.float64) + 1) * 30).astype(np.uint64), np.uint64(1023)))
-    groups = lines.groupBy("d1", "d2").agg(F.min(F.struct("doc_id", "line")).alias("first"), F.count("*").alias("n")).where("n > 1")
-    groups = table(groups.select("d1", "d2", "first", "n"), "equal")
-    equal = table(lines.join(groups, ["d1", "d2"]).where(F.struct("doc_id", "line") > F.col("first")).select("doc_id", "line"), "repeats")
-    total = lines.count()
-    heavy = spark.sparkContext.broadcast(_heavy(groups, total))
-    release(passed, groups)
+    total = passed.agg(F.sum("n")).first()[0] or 0
+    dealt = passed.where("sets is not null").select("sets").mapInArrow(lean(_dealt(max(16, total // SETS))), "bucket int, sets binary")
+    sets = table(dealt.groupBy("bucket").applyInPandas(_repeats, "doc_id long, line int, d1 long, d2 long, n long"), "sets")
+    equal = table(passed.where("doc_id is not null").select("doc_id", "line").unionByName(sets.where("n = 0").select("doc_id", "line")), "repeats")
+    heavy = spark.sparkContext.broadcast(_heavy(sets.where("n > 0"), total))
+    release(passed, sets)
 
     buckets = max(16, int(total / 40_000))
     packed = docs.mapInArrow(lean(_postings(rank, heavy, buckets, numerator)), "bucket int, " + ", ".join(f"c{k} binary" for k in range(len(_KINDS))))
@@ -396,11 +490,13 @@ def without_lines(docs: DataFrame, removed: DataFrame) -> DataFrame:
     whole, some = parted(own, F.xxhash64(F.col("_id").cast("long")), removed.select(F.xxhash64(F.col("doc_id").cast("long"))))
     per_doc = removed.groupBy(F.col("doc_id").alias("_doc")).agg(F.collect_set("line").alias("_gone"))
     out = some.join(per_doc, F.col("_id") == F.col("_doc"), "left")
-    # Only texts that lose a line go to Python, once: a filter on the result would else run it a second time, in workers of its own.
-    cut = _without.asNondeterministic()(F.when(F.col("_gone").isNotNull(), F.col("_row.text")), F.col("_gone"))
-    out = out.select("_row", "_gone", cut.alias("_cut"))
+    # Only texts that lose many lines go to Python, once: a filter on the result would else run it a second time, in workers of its own.
+    many = F.size("_gone") > FEW
+    cut = _without.asNondeterministic()(F.when(many, F.col("_row.text")), F.when(many, F.col("_gone")))
+    few = F.array_join(F.filter(F.split("_row.text", "\n", -1), lambda _, k: ~F.array_contains("_gone", k)), "\n")
+    out = out.select("_row", "_gone", F.when(F.col("_gone").isNull() | many, cut).otherwise(few).alias("_cut"))
     out = out.unionByName(whole.select("_row", F.lit(None).cast(out.schema["_gone"].dataType).alias("_gone"), F.lit(None).cast("string").alias("_cut")))
     text = F.col("_row.text")
-    n_lines = F.when(text.isNull(), 0).otherwise(F.length(text) - F.length(F.replace(text, F.lit("\n"), F.lit(""))) + 1)
+    n_lines = F.when(text.isNull(), 0).otherwise(F.octet_length(text) - F.octet_length(F.replace(text, F.lit("\n"), F.lit(""))) + 1)
     kept = [(F.when(F.col("_gone").isNull(), text).otherwise(F.col("_cut")) if c == "text" else F.col(f"_row.`{c}`")).alias(c) for c in columns]
     return out.select(*kept, n_lines.cast("int").alias("n_lines"), F.when(F.col("_gone").isNull(), 0).otherwise(F.size("_gone")).alias("n_removed"))
