@@ -31,7 +31,7 @@ FIRST = 4  # candidates kept for a line and word; lines that have more and stay
 STEPS = 4096  # earlier lines of its word that a line meets at first; if more are left, it meets them in the end too
 PART = 4096  # lines of a word's list that meet another part in one task in the end
 SEEN = 1 << 22
-HELD = 1 << 17  # lines of a task whose sets are told apart before they are passed on, about
+HELD = 1 << 15  # lines of a task whose sets are told apart before they are passed on, about
 SETS = 100_000  # lines whose sets meet in one task, about
 FEW = 64  # lines that go from a text without Python, at most: each of the text's lines is looked for among them
 
@@ -427,7 +427,8 @@ def repeated_lines(docs: DataFrame, numerator: int = NUMERATOR) -> DataFrame:
     rank = spark.sparkContext.broadcast(np.minimum((np.log2(counts.astype(np.float64) + 1) * 30).astype(np.uint64), np.uint64(1023)))
     total = passed.agg(F.sum("n")).first()[0] or 0
     dealt = passed.where("sets is not null").select("sets").mapInArrow(lean(_dealt(max(16, total // SETS))), "bucket int, sets binary")
-    sets = table(dealt.groupBy("bucket").applyInPandas(_repeats, "doc_id long, line int, d1 long, d2 long, n long"), "sets")
+    with small_batches(spark):
+        sets = table(dealt.groupBy("bucket").applyInPandas(_repeats, "doc_id long, line int, d1 long, d2 long, n long"), "sets")
     equal = table(passed.where("doc_id is not null").select("doc_id", "line").unionByName(sets.where("n = 0").select("doc_id", "line")), "repeats")
     heavy = spark.sparkContext.broadcast(_heavy(sets.where("n > 0"), total))
     release(passed, sets)
